@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import media, mixing, packing, token_files
+from pyspark.sql import functions as F
+
+from . import language, licences, media, mixing, ngram, packing, personal, token_files
 
 
 def table(spark, sf_dir: str, name: str):
@@ -15,17 +17,36 @@ def op1_mix_sources(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op3_disclosure(spark, sf_dir):
+    return personal.detect(table(spark, sf_dir, "documents"))
+
+
 def op4_best_fit_packing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op5_backoff_scoring(spark, sf_dir):
+    return ngram.score_documents(table(spark, sf_dir, "documents"), language.held_out(F.col("doc_id"), 10, 0))
+
+
+def op6_language_spans(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents")
+    model = language.fit(docs.filter(~language.held_out(F.col("doc_id"))))
+    out = language.identify(docs.select("doc_id", "text"), model)
+    return out.select("doc_id", language.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score", "n_spans")
+
+
 def op7_token_files(spark, sf_dir):
     return token_files.token_shard_roundtrip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op9_licence_digests(spark, sf_dir):
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
 def op10_media_columns(spark, sf_dir):
     return media.media_roundtrip(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op4_best_fit_packing, op7_token_files, op10_media_columns)}
-ORACLES: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_disclosure, op4_best_fit_packing, op5_backoff_scoring, op6_language_spans, op7_token_files, op9_licence_digests, op10_media_columns)}
+ORACLES: dict[str, str] = {"op9_licence_digests": licences.ORACLE}
