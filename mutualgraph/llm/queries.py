@@ -6,7 +6,7 @@ import public_tokenizers
 
 from pyspark.sql import functions as F
 
-from . import language, licences, media, mixing, ngram, packing, personal, token_files
+from . import language, licences, media, mixing, near_duplicates, ngram, packing, personal, token_files, vector_duplicates
 
 
 def table(spark, sf_dir: str, name: str):
@@ -17,6 +17,10 @@ def op1_mix_sources(spark, sf_dir):
     return mixing.mix(table(spark, sf_dir, "documents"))
 
 
+def op2_collision_counting(spark, sf_dir):
+    return vector_duplicates.vector_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def op3_disclosure(spark, sf_dir):
     return personal.detect(table(spark, sf_dir, "documents"))
 
@@ -40,6 +44,10 @@ def op7_token_files(spark, sf_dir):
     return token_files.token_shard_roundtrip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op8_super_minhash(spark, sf_dir):
+    return near_duplicates.near_duplicates(table(spark, sf_dir, "documents"), width=3, percent=85)
+
+
 def op9_licence_digests(spark, sf_dir):
     return licences.scan(table(spark, sf_dir, "documents"))
 
@@ -48,5 +56,5 @@ def op10_media_columns(spark, sf_dir):
     return media.media_roundtrip(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_disclosure, op4_best_fit_packing, op5_backoff_scoring, op6_language_spans, op7_token_files, op9_licence_digests, op10_media_columns)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_collision_counting, op3_disclosure, op4_best_fit_packing, op5_backoff_scoring, op6_language_spans, op7_token_files, op8_super_minhash, op9_licence_digests, op10_media_columns)}
 ORACLES: dict[str, str] = {"op9_licence_digests": licences.ORACLE}
