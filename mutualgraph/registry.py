@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+from .queries import measures, network  # noqa: F401  each module adds its queries
+
+QUERIES = network.QUERIES
+ORACLES = network.ORACLES
 
 
 def flagship(spark, sf_dir: str):
