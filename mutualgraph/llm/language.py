@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship
-from .words import LOWER, SPACE, flatten, spans
+from .words import LOWER, SPACE, flatten, slices, spans
 
 CELLS = 1 << 16
 
@@ -75,22 +75,18 @@ def fit(labelled: DataFrame, rows_per_language: int = 800, most_languages: int =
 def label_words(model: Model, column, penalty: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Language index of each word, its letters (weight), and each row's first word index."""
     raw, offs = flatten(column)
-    starts, ends, first = spans(raw, offs)
+    starts, _, first = spans(raw, offs)
     n, kinds = len(starts), len(model.languages)
     if n == 0:
         return np.zeros(0, np.int64), np.zeros(0), first
     cells = _cells(raw, offs)
     gains = np.empty((n, kinds), np.float32)
     for k in range(kinds):
-        sums = np.zeros(len(raw) + 1)
-        np.cumsum(model.gain[cells, k], out=sums[1:])
-        gains[:, k] = sums[ends] - sums[starts]
+        gains[:, k] = np.add.reduceat(model.gain[cells, k], starts)  # a word and the white space after it
     script = _SCRIPT[raw]
     per_script = np.empty((len(SCRIPTS), n), np.int32)
     for s in range(len(SCRIPTS)):
-        sums = np.zeros(len(raw) + 1, np.int32)
-        np.cumsum(script == s, out=sums[1:])
-        per_script[s] = sums[ends] - sums[starts]
+        per_script[s] = np.add.reduceat(script == s, starts, dtype=np.int32)
     letters = per_script.sum(0)
     main = np.where(letters > 0, per_script.argmax(0), len(SCRIPTS))
     may = model.allowed[main]
@@ -146,8 +142,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
         known = shared.value
         kinds = len(known.languages)
         for b in batches:
-            for lo in range(0, b.num_rows, 2048):
-                part = b.slice(lo, 2048)
+            for part in slices(b, "text", 6 << 20):
                 rows = part.num_rows
                 letter = part.column("_letter").to_numpy(zero_copy_only=False)
                 if kinds:

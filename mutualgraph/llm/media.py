@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from .common import new_path, ship, store
 from .token_files import open_fs
-from .words import flatten
+from .words import flatten, slices
 
 ROW = 64
 
@@ -132,8 +132,7 @@ def text_media(docs: DataFrame) -> DataFrame:
 
     def make(batches):
         for b in batches:
-            for lo in range(0, b.num_rows, 1024):
-                part = b.slice(lo, 1024)
+            for part in slices(b, "text"):
                 raw, offs = flatten(part.column("text"))
                 texts = [raw[i:j].tobytes() for i, j in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
                 media = [encode_pgm(np.frombuffer(payload(x), np.uint8).reshape(-1, ROW)) for x in texts]

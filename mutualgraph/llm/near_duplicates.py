@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .common import join_small, ship, store
 from .components import connected_components
-from .words import mix64, shingles, word_hashes
+from .words import mix64, shingles, slices, word_hashes
 
 SIGNATURE = 144
 _EMPTY = np.uint64((1 << 64) - 1)
@@ -83,8 +83,7 @@ def signatures(docs: DataFrame, width: int, percent: int, size: int = SIGNATURE)
 
     def sign(batches):
         for b in batches:
-            for lo in range(0, b.num_rows, 1024):
-                part = b.slice(lo, 1024)
+            for part in slices(b, "text"):
                 sets, offs = distinct_shingles(part.column("text"), width)
                 n = np.diff(offs)
                 full = np.flatnonzero(n)
@@ -111,8 +110,7 @@ def shingle_sets(docs: DataFrame, width: int) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            for lo in range(0, b.num_rows, 1024):
-                part = b.slice(lo, 1024)
+            for part in slices(b, "text"):
                 sets, offs = distinct_shingles(part.column("text"), width)
                 yield pa.RecordBatch.from_pydict({"doc_id": part.column("doc_id"), "set": pa.ListArray.from_arrays(pa.array(offs, pa.int32()), pa.array(sets.view(np.int64)))})
 

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from .common import partitions_for, ship, store
 from .token_files import with_end
 from .tokenise import encoder
+from .words import slices
 
 
 @dataclass(frozen=True)
@@ -70,8 +71,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, size: int, end_id: int =
     def cut(batches):
         enc = encoder(tokenizer_path)
         for b in batches:
-            for lo in range(0, b.num_rows, 2048):
-                part = b.slice(lo, 2048)
+            for part in slices(b, "text"):
                 ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                 lengths = np.diff(offs)
                 pieces = -(-lengths // size)

@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import new_path, ship, store
 from .tokenise import encoder
+from .words import slices
 
 MAGIC = b"MGTOK001"
 BLOCK_IDS = 1 << 21
@@ -103,8 +104,7 @@ def write_token_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id
         with fs.open_output_stream(f"{root}/{name}") as out:
             out.write(MAGIC)
             for b in batches:
-                for lo in range(0, b.num_rows, 2048):
-                    part = b.slice(lo, 2048)
+                for part in slices(b, "text"):
                     ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                     keys, i = part.column("doc_id").to_pylist(), 0
                     while i < len(keys):

@@ -13,8 +13,9 @@ import pandas as pd
 from .words import SPACE, flatten, hash_spans, spans
 
 #: Distinct pieces that a worker process remembers, at most.
-MEMORY = 1_000_000
-SLAB = 20_000
+MEMORY = 400_000
+SLAB = 10_000
+SEGMENTS = 8
 _memory: dict[str, "Encoder"] = {}
 
 
@@ -34,8 +35,8 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.vocabulary = self.tokenizer.get_vocab_size()
-        self.keys = np.zeros(0, np.uint64)
-        self.at = np.zeros(1, np.int64)
+        self.segments: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # sorted keys, where in ids, how many
+        self.known = 0
         self.ids = np.zeros(0, np.uint32)
 
     def _plain(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -91,29 +92,26 @@ class Encoder:
 
     def _lookup(self, keys, raw, begin, end):
         """Where in a pool of ids each distinct piece's ids are; unknown pieces are encoded and, up to MEMORY, remembered."""
-        at, length = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64)
-        pos = np.searchsorted(self.keys, keys)
-        known = np.zeros(len(keys), bool)
-        inside = pos < len(self.keys)
-        known[inside] = self.keys[pos[inside]] == keys[inside]
-        at[known] = self.at[pos[known]]
-        length[known] = self.at[pos[known] + 1] - self.at[pos[known]]
-        new = np.flatnonzero(~known)
-        if not len(new):
+        at, length, left = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64), np.arange(len(keys))
+        for held, start, size in self.segments:
+            pos = np.minimum(np.searchsorted(held, keys[left]), len(held) - 1)
+            hit = held[pos] == keys[left]
+            at[left[hit]], length[left[hit]] = start[pos[hit]], size[pos[hit]]
+            left = left[~hit]
+        if not len(left):
             return at, length, self.ids
         view = raw.tobytes()
-        ids, sizes = self._plain([view[b:e].decode("utf-8", "replace") for b, e in zip(begin[new].tolist(), end[new].tolist(), strict=True)])
-        offs = np.concatenate([[0], np.cumsum(sizes)])
-        at[new], length[new] = len(self.ids) + offs[:-1], sizes
+        ids, sizes = self._plain([view[b:e].decode("utf-8", "replace") for b, e in zip(begin[left].tolist(), end[left].tolist(), strict=True)])
+        at[left], length[left] = len(self.ids) + np.cumsum(sizes) - sizes, sizes
         pool = np.concatenate([self.ids, ids])
-        if len(self.keys) + len(new) <= MEMORY:
-            all_keys = np.concatenate([self.keys, keys[new]])
-            order = np.argsort(all_keys, kind="stable")
-            all_sizes = np.concatenate([np.diff(self.at), sizes])
-            all_at = np.concatenate([self.at[:-1], len(self.ids) + offs[:-1]])
-            self.ids = pool[_ranges(all_at[order], all_sizes[order])]
-            self.keys = all_keys[order]
-            self.at = np.concatenate([[0], np.cumsum(all_sizes[order])])
+        if self.known + len(left) <= MEMORY:
+            order = left[np.argsort(keys[left], kind="stable")]
+            self.segments.append((keys[order], at[order], length[order]))
+            self.ids, self.known = pool, self.known + len(left)
+            if len(self.segments) > SEGMENTS:
+                whole = [np.concatenate(c) for c in zip(*self.segments, strict=True)]
+                order = np.argsort(whole[0], kind="stable")
+                self.segments = [tuple(c[order] for c in whole)]
         return at, length, pool
 
 

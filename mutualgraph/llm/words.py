@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401  used as pa.compute
 
 #: White space: 0x20 and 0x09 to 0x0D.
 SPACE = np.zeros(256, bool)
@@ -124,3 +125,17 @@ def shingles(words: np.ndarray, first: np.ndarray, width: int) -> tuple[np.ndarr
         keep[i] = True
     sizes = np.bincount(row[keep], minlength=len(counts))
     return h[keep], np.concatenate([[0], np.cumsum(sizes)])
+
+
+def slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20):
+    """Consecutive parts of a batch whose texts hold about `most` bytes at most; a longer text is a part of its own.
+    This bounds the arrays that a task works with, whatever the batch holds."""
+    text = batch.column(column)
+    sizes = pa.compute.fill_null(pa.compute.binary_length(text), 0).to_numpy(zero_copy_only=False)
+    ends = np.cumsum(sizes, dtype=np.int64)
+    i = 0
+    while i < batch.num_rows:
+        before = int(ends[i - 1]) if i else 0
+        j = max(i + 1, int(np.searchsorted(ends, before + most, "right")))
+        yield batch.slice(i, j - i)
+        i = j
