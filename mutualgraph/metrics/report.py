@@ -1,41 +1,45 @@
-"""All measures of two networks' partitions in one long table."""
+"""All measures of two networks' partitions in one long table; with a `run` column, of many pairs of partitions at once."""
 
 from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.hetnet import HetNet
 from .combined import INSTANCES, combined
 from .consensus import contingency, information, rand
-from .quality import closeness_features, density, entropy, ndbi, silhouette, silhouette_squared
+from .quality import closeness_features, density, entropy, keyed, ndbi, silhouette, silhouette_squared
 
 EXACT_USERS = 5_000
 
 
-def quality_report(net: HetNet, S: DataFrame, partition: DataFrame, users: int | None = None) -> DataFrame:
-    """measure, net, value. Silhouette is exact up to EXACT_USERS users and of squared distances beyond."""
-    features = closeness_features(S)
-    n = partition.count() if users is None else users
-    sil = silhouette(features, partition) if n <= EXACT_USERS else silhouette_squared(features, partition)
-    parts = [("ndbi", ndbi(features, partition)), ("entropy", entropy(partition)), ("density", density(net.follow, partition)), ("silhouette", sil)]
-    return reduce(DataFrame.union, [df.select(F.lit(m).alias("measure"), F.lit(net.name).alias("net"), F.col(m).alias("value")) for m, df in parts])
+def quality_report(net: HetNet, S: DataFrame, partitions: DataFrame, side: int, users: int, pairs: DataFrame | None = None) -> DataFrame:
+    """run, measure, net, side, value. Silhouette is exact up to EXACT_USERS users and of squared distances beyond."""
+    features, part = closeness_features(S), keyed(partitions)
+    sil = silhouette(features, part, pairs) if users <= EXACT_USERS else silhouette_squared(features, part)
+    parts = [("ndbi", ndbi(features, part)), ("entropy", entropy(part)), ("density", density(net.follow, part)), ("silhouette", sil)]
+    return reduce(DataFrame.union, [df.select("run", F.lit(m).alias("measure"), F.lit(net.name).alias("net"), F.lit(side).alias("side"), F.col(m).alias("value")) for m, df in parts])
 
 
 def consensus_report(part1: DataFrame, part2: DataFrame, anchors: DataFrame) -> DataFrame:
-    table = contingency(part1, part2, anchors)
+    """run, measure, net ("both"), side (0), value."""
+    table = contingency(keyed(part1), keyed(part2), anchors)
     info = information(table)
     parts = [("rand", rand(table)), ("mi", info), ("vi", info), ("nmi", info)]
-    return reduce(DataFrame.union, [df.select(F.lit(m).alias("measure"), F.lit("both").alias("net"), F.col(m).alias("value")) for m, df in parts])
+    return reduce(DataFrame.union, [df.select("run", F.lit(m).alias("measure"), F.lit("both").alias("net"), F.lit(0).alias("side"), F.col(m).alias("value")) for m, df in parts])
 
 
-def combined_report(report: DataFrame, keys: list[str] = []) -> DataFrame:  # noqa: B006
-    """keys, measure (quality+consensus), value of the four instances from a report of both networks."""
-    nets = F.dense_rank().over(Window.partitionBy(*keys, "measure").orderBy("net"))
-    ranked = report.withColumn("_k", nets)
-    get = lambda m, k: F.max(F.when((F.col("measure") == m) & (F.col("_k") == k), F.col("value")))
+def combined_report(report: DataFrame) -> DataFrame:
+    """The four combined scores (measure "quality+consensus") of each run of a report of both networks."""
+    get = lambda m, k: F.max(F.when((F.col("measure") == m) & (F.col("side") == k), F.col("value")))
+    wide = report.groupBy("run").agg(*[get(q, k).alias(f"{q}{k}") for q, _ in INSTANCES for k in (1, 2)], *[get(c, 0).alias(c) for _, c in INSTANCES])
     scores = F.array(*[F.struct(F.lit(f"{q}+{c}").alias("measure"), combined(q, c, F.col(f"{q}1"), F.col(f"{q}2"), F.col(c)).alias("value")) for q, c in INSTANCES])
-    wide = ranked.groupBy(*keys).agg(*[get(q, k).alias(f"{q}{k}") for q, _ in INSTANCES for k in (1, 2)], *[get(c, 1).alias(c) for _, c in INSTANCES])
-    return wide.select(*keys, F.explode(scores).alias("s")).select(*keys, "s.measure", F.lit("both").alias("net"), "s.value")
+    return wide.select("run", F.explode(scores).alias("s")).select("run", "s.measure", F.lit("both").alias("net"), F.lit(0).alias("side"), "s.value")
+
+
+def evaluate(nets: list[HetNet], S: list[DataFrame], part1: DataFrame, part2: DataFrame, anchors: DataFrame, users: list[int], pairs: list[DataFrame | None] = [None, None]) -> DataFrame:  # noqa: B006
+    """run, measure, net, side, value: quality of both, consensus, and the combined scores."""
+    both = quality_report(nets[0], S[0], part1, 1, users[0], pairs[0]).union(quality_report(nets[1], S[1], part2, 2, users[1], pairs[1])).union(consensus_report(part1, part2, anchors))
+    return both.union(combined_report(both))

@@ -9,6 +9,8 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import store
+
 #: Node kinds of a post's attributes.
 ATTRIBUTES = ("word", "time", "location")
 
@@ -29,6 +31,10 @@ class HetNet:
         of_kind = self.attributes.filter(F.col("kind") == kind).select("post_id", "attr")
         return of_kind.join(self.posts, "post_id").groupBy("user_id", "attr").agg(F.count("*").alias("cnt"))
 
+    def stored(self) -> HetNet:
+        """The same with its relations written once, for plans that read them many times."""
+        return HetNet(self.name, *(store(df, f"{self.name}-{n}") for n, df in (("users", self.users), ("follow", self.follow), ("posts", self.posts), ("attributes", self.attributes))))
+
     def undirected(self) -> DataFrame:
         """src, dst of follow links in both directions, distinct."""
         return self.follow.union(self.follow.select("dst", "src")).distinct()
@@ -44,6 +50,9 @@ class AlignedSet:
     def pairs(self) -> list[tuple[int, int]]:
         return [p for p in combinations(range(len(self.nets)), 2) if p in self.anchors]
 
+    def stored(self) -> AlignedSet:
+        return AlignedSet([n.stored() for n in self.nets], {p: store(a, "anchors") for p, a in self.anchors.items()})
+
     def with_anchors(self, pair: tuple[int, int], anchors: DataFrame) -> AlignedSet:
         return AlignedSet(self.nets, self.anchors | {pair: anchors})
 

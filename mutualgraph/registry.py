@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from .queries import measures, network  # noqa: F401  each module adds its queries
+from .queries import clusters, measures, network, surrounding  # noqa: F401  each module adds its queries
 
 QUERIES = network.QUERIES
 ORACLES = network.ORACLES
