@@ -85,8 +85,3 @@ def _clean() -> None:
 def join_small(big: DataFrame, small: DataFrame, cond, how: str, rows: int, limit: int = 1_000_000) -> DataFrame:
     """Broadcast `small` only when its counted rows are at most `limit`; otherwise Spark's shuffled, skew-split join."""
     return big.join(F.broadcast(small) if rows <= limit else small.hint("merge"), cond, how)
-
-
-def partitions_for(spark: SparkSession, units: float, per_partition: float, least: int = 1) -> int:
-    """Partitions so that none holds more than about `per_partition` units."""
-    return max(least, int(-(-units // per_partition)))
