@@ -1,95 +1,18 @@
-"""Shared storage, code shipping and size checks used by the corpus operators."""
+"""What the corpus operators share: words, and the package's storage and join helpers."""
 
 from __future__ import annotations
 
-import atexit
-import os
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
+from pyspark.sql import SparkSession
 
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+from ..storage import drop_stored, join_small, new_path, shared_dir, ship, store
 
 #: Words are maximal runs of anything but the six ASCII white-space bytes.
 WORD = r"[^\x20\x09-\x0D]+"
 
-_shipped: set[str] = set()
-_own_dir: dict[str, str] = {}
-_stored: list[tuple[SparkSession, str]] = []
-
-
-def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers, wherever they run."""
-    app = spark.sparkContext.applicationId
-    if app in _shipped:
-        return
-    root = Path(__file__).resolve().parents[1]
-    fd, path = tempfile.mkstemp(prefix="mutualgraph-", suffix=".zip")
-    os.close(fd)
-    with zipfile.ZipFile(path, "w") as z:
-        for f in sorted(root.rglob("*.py")):
-            z.write(f, f.relative_to(root.parent))
-    spark.sparkContext.addPyFile(path)
-    _shipped.add(app)
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors and the driver share: spark.checkpoint.dir, or, in local mode only, one of our own."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    app = spark.sparkContext.applicationId
-    if app not in _own_dir:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-        _own_dir[app] = "file://" + tempfile.mkdtemp(prefix="mutualgraph-shared-")
-    return _own_dir[app]
-
-
-def new_path(spark: SparkSession, label: str) -> str:
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    _stored.append((spark, path))
-    return path
-
-
-def store(df: DataFrame, label: str) -> DataFrame:
-    """Write df as Parquet in the shared folder and read it again: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = new_path(spark, label)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def drop_stored(df: DataFrame) -> None:
-    """Delete a table that store() wrote; nothing may read it afterwards."""
-    files = df.inputFiles()
-    for spark, path in list(_stored):
-        if files and f"/{path.rsplit('/', 1)[1]}/" in files[0]:
-            _delete(spark, path)
-            _stored.remove((spark, path))
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    p = spark._jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
-@atexit.register
-def _clean() -> None:
-    for spark, path in _stored:
-        try:
-            _delete(spark, path)
-        except Exception:  # noqa: BLE001  the session may be gone at exit
-            return
-
-
-def join_small(big: DataFrame, small: DataFrame, cond, how: str, rows: int, limit: int = 1_000_000) -> DataFrame:
-    """Broadcast `small` only when its counted rows are at most `limit`; otherwise Spark's shuffled, skew-split join."""
-    return big.join(F.broadcast(small) if rows <= limit else small.hint("merge"), cond, how)
-
 
 def partitions_for(spark: SparkSession, units: float, per_partition: float, least: int = 1) -> int:
     """Partitions so that none holds more than about `per_partition` units."""
     return max(least, int(-(-units // per_partition)))
+
+
+__all__ = ["WORD", "drop_stored", "join_small", "new_path", "partitions_for", "shared_dir", "ship", "store"]

@@ -135,8 +135,8 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
     ship(spark)
     shared = spark.sparkContext.broadcast(model)  # 65,536 cells a language, whatever the data's size
     names = ["lang_pred", "score", "n_spans"] + ["spans"] * with_spans
-    base = docs.drop(*names).withColumn("_letter", F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False)))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.drop("_letter").schema.fields) + ", lang_pred string, score double, n_spans long" + ", spans string" * with_spans
+    base = docs.drop(*names).withColumn("_mg_letter", F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False)))
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.drop("_mg_letter").schema.fields) + ", lang_pred string, score double, n_spans long" + ", spans string" * with_spans
 
     def run(batches):
         known = shared.value
@@ -144,7 +144,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
         for b in batches:
             for part in slices(b, "text", 6 << 20):
                 rows = part.num_rows
-                letter = part.column("_letter").to_numpy(zero_copy_only=False)
+                letter = part.column("_mg_letter").to_numpy(zero_copy_only=False)
                 if kinds:
                     label, weight, first = label_words(known, part.column("text"), penalty)
                     row = np.repeat(np.arange(rows), np.diff(first))

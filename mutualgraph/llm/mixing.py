@@ -95,7 +95,8 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (3, 1, 2), share: float =
     Nothing sorts a source: keys fall into buckets by their distribution function, per-bucket sizes are summed (with
     map-side partial sums), and only rows of the one bucket that the line falls into are ordered.
     """
-    narrow = store(_keyed(docs, seed, quality).select("_id", "_src", "_size", "_key"), "sized")
+    needed = docs.select("doc_id", "source", "text", (F.lit(None) if quality is None else quality).cast("double").alias("_worth"))
+    narrow = store(_keyed(needed, seed, None if quality is None else F.col("_worth")).select("_id", "_src", "_size", "_key"), "sized")
     out = _decided(narrow, *_lines(narrow, weights, share, cap))
     return out.select(F.col("_id").alias("doc_id"), F.col("_size").alias("size"), F.col("_ssize").alias("source_size"), F.col("_target").alias("target"), (F.col("_size") * F.col("_times")).alias("taken"), F.col("_times").alias("epochs"), F.col("_src").alias("source"))
 
@@ -103,7 +104,8 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (3, 1, 2), share: float =
 def mixed_documents(docs: DataFrame, weights: tuple[float, ...] = (3, 1, 2), share: float = 1.5, cap: float = 2.0, seed: int = 20240501, quality: Column | None = None) -> DataFrame:
     """The rows of docs, all columns, each as often as mix() takes it. Texts aren't shuffled: each row decides by its
     source's line."""
-    rows = _keyed(docs, seed, quality)
+    whole = docs.select(F.struct(*docs.columns).alias("_row"), "doc_id", "source", "text", (F.lit(None) if quality is None else quality).cast("double").alias("_worth"))
+    rows = _keyed(whole, seed, None if quality is None else F.col("_worth"))
     narrow = store(rows.select("_id", "_src", "_size", "_key"), "sized")
     out = _decided(rows, *_lines(narrow, weights, share, cap)).filter("_times > 0")
-    return out.select(*[docs[c] for c in docs.columns], F.explode(F.array_repeat(F.lit(1), F.col("_times").cast("int"))).alias("_copy")).drop("_copy")
+    return out.select("_row", F.explode(F.array_repeat(F.lit(1), F.col("_times").cast("int"))).alias("_copy")).select("_row.*")

@@ -108,8 +108,9 @@ def disclosing_terms(found: DataFrame, docs: DataFrame, min_support: int, genera
 
 
 def _with_base(docs: DataFrame) -> DataFrame:
+    """_row (all columns of docs), doc_id, text, _text (null is empty), _spans and _key (of texts with a span)."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    rows = docs.withColumn("_text", text).withColumn("_spans", base_spans(F.col("_text")))
+    rows = docs.select(F.struct(*docs.columns).alias("_row"), "doc_id", "text", text.alias("_text")).withColumn("_spans", base_spans(F.col("_text")))
     return rows.withColumn("_key", F.when(F.size("_spans") > 0, F.md5("_text")))
 
 
@@ -120,10 +121,10 @@ def _term_spans(text: Column, terms: Column, base: Column) -> Column:
 
 
 def find(docs: DataFrame, keep_columns: bool = False, min_support: int = 3, generalise_at: float = 0.9, remove_at: float = 0.97, small: int = 1_000_000) -> DataFrame:
-    """doc_id and _text, _spans (the four kinds), _all (with term spans), _terms; with keep_columns also docs' columns.
+    """doc_id and _text, _spans (the four kinds), _all (with term spans), _terms; with keep_columns also _row, docs' columns.
 
     Null text is empty. Places are code points, end exclusive. Term spans touch no base span. Repeated rows each give a
-    row. Columns of docs that begin with an underscore and clash are replaced.
+    row; other columns of docs, whatever their names, don't matter.
     """
     rows = _with_base(docs)
     found = store(rows.select("doc_id", F.when(F.col("_key").isNotNull(), F.col("_text")).alias("_text"), "_spans", "_key"), "found")
@@ -161,5 +162,5 @@ def sanitise(docs: DataFrame, **options) -> DataFrame:
     start = F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out"))
     safe = F.aggregate("_all", start, step, lambda acc: F.concat(acc["out"], F.substr(text, (acc["at"] + 1).cast("int"))))
     out = out.withColumn("_safe", F.when(F.size("_all") > 0, safe).otherwise(F.col("text")))
-    cols = [F.col("_safe").alias(c) if c == "text" else F.when(F.size("_all") > 0, F.length("_safe").cast(docs.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns]
+    cols = [F.col("_safe").alias(c) if c == "text" else F.when(F.size("_all") > 0, F.length("_safe").cast(docs.schema[c].dataType)).otherwise(F.col("_row")[c]).alias(c) if c == "n_chars" else F.col("_row")[c].alias(c) for c in docs.columns]
     return out.select(*cols)
