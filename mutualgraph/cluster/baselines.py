@@ -67,10 +67,7 @@ def kmeans_rows(net: HetNet, k: int, seed: int = 0, S: DataFrame | None = None,
 
     def work(held):
         users, lap = _held(held)
-        if lap.m is None:
-            raise ValueError("too many users for dense rows: use engine='tables'")
-        d = np.sqrt(np.where(lap.degree > 0, lap.degree, 1))
-        yield _labelled(users, lap, lambda live: kmeans((lap.m * d[:, None] * d[None])[live], k, seed))
+        yield _labelled(users, lap, lambda live: kmeans(lap.rows(seed)[live], k, seed))
 
     return store(in_one_task(tables, work, _TYPES), "kmeans").select("user_id", "cluster")
 

@@ -12,7 +12,8 @@ ATTRIBUTES = T.StructType([T.StructField("post_id", T.LongType()), T.StructField
 
 
 def read(spark: SparkSession, path: str, schema: T.StructType, format: str = "parquet", **options) -> DataFrame:
-    """Rows of a file or a partitioned folder; malformed CSV and JSON rows are dropped."""
+    """Rows of a file or a partitioned folder; CSV and JSON rows that are malformed in
+    the columns that are read are dropped."""
     reader = spark.read.schema(schema).options(**({"mode": "DROPMALFORMED"} if format in ("csv", "json") else {}) | options)
     return reader.format(format).load(path)
 
