@@ -71,7 +71,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, size: int, end_id: int =
     def cut(batches):
         enc = encoder(tokenizer_path)
         for b in batches:
-            for part in slices(b, "text"):
+            for part in slices(b, "text", 5 << 20):
                 ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                 lengths = np.diff(offs)
                 pieces = -(-lengths // size)

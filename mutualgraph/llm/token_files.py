@@ -104,7 +104,7 @@ def write_token_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id
         with fs.open_output_stream(f"{root}/{name}") as out:
             out.write(MAGIC)
             for b in batches:
-                for part in slices(b, "text"):
+                for part in slices(b, "text", 5 << 20):
                     ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                     keys, i = part.column("doc_id").to_pylist(), 0
                     while i < len(keys):

@@ -13,9 +13,11 @@ import pandas as pd
 from .words import SPACE, flatten, hash_spans, spans
 
 #: Distinct pieces that a worker process remembers, at most.
-MEMORY = 400_000
+MEMORY = 1_000_000
 SLAB = 10_000
 SEGMENTS = 8
+#: Words on which the model alone is compared with the whole tokenizer before it is used.
+SAMPLES = [" the", "The", " Hello", "hello", " internationalisation", "Zyxgrth", " QWERTY", " a", "I", " thndndwh", "don", " ERROR", "camelCase", " snakeLikeWordsOfSomeLength"]
 _memory: dict[str, "Encoder"] = {}
 
 
@@ -26,6 +28,15 @@ def encoder(path: str) -> "Encoder":
     return _memory[path]
 
 
+def _spaced(text: str) -> str:
+    """A leading blank as byte-level tokenizers write it."""
+    return "\u0120" + text[1:] if text[:1] == " " else text
+
+
+def _lowered(text: str) -> str:
+    return text.strip(" ").lower()
+
+
 class Encoder:
     def __init__(self, path: str):
         import os
@@ -38,15 +49,35 @@ class Encoder:
         self.segments: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # sorted keys, where in ids, how many
         self.known = 0
         self.ids = np.zeros(0, np.uint32)
+        self.direct = next((d for d in (_spaced, _lowered) if self._agrees(d)), None)
+
+    def _agrees(self, prepare) -> bool:
+        """Whether the model alone, on words as `prepare` writes them, gives what the whole tokenizer gives."""
+        model = self.tokenizer.model
+        try:
+            return all([k.id for k in model.tokenize(prepare(t))] == self.tokenizer.encode(t, add_special_tokens=False).ids for t in SAMPLES)
+        except Exception:  # noqa: BLE001  a model that can't tokenise such words has no short way
+            return False
+
+    def _whole(self, texts: list[str]) -> list[list[int]]:
+        """The library's ids, a slab at a time."""
+        return [e.ids for i in range(0, len(texts), SLAB) for e in self.tokenizer.encode_batch_fast(texts[i : i + SLAB], add_special_tokens=False)]
 
     def _plain(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        parts, sizes = [], []
-        for i in range(0, len(texts), SLAB):
-            for e in self.tokenizer.encode_batch_fast(texts[i : i + SLAB], add_special_tokens=False):
-                ids = e.ids
-                parts.extend(ids)
-                sizes.append(len(ids))
-        return np.array(parts, np.uint32), np.array(sizes, np.int64)
+        """Ids of texts. A word of ASCII letters, alone or after a blank, is one unit for the tokenizer's patterns, so its
+        ids come from the model directly, at a third of the cost."""
+        found: list = [None] * len(texts)
+        rest = []
+        for i, t in enumerate(texts):
+            word = t[1:] if t[:1] == " " else t
+            if self.direct is not None and len(word) <= 100 and word.isascii() and word.isalpha():
+                found[i] = [k.id for k in self.tokenizer.model.tokenize(self.direct(t))]
+            else:
+                rest.append(i)
+        for i, ids in zip(rest, self._whole([texts[i] for i in rest]), strict=True):
+            found[i] = ids
+        sizes = np.array([len(x) for x in found], np.int64)
+        return np.fromiter((k for x in found for k in x), np.uint32, int(sizes.sum())), sizes
 
     def encode(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all rows in order (uint32), and row offsets. Null rows have none."""
@@ -106,7 +137,7 @@ class Encoder:
         pool = np.concatenate([self.ids, ids])
         if self.known + len(left) <= MEMORY:
             order = left[np.argsort(keys[left], kind="stable")]
-            self.segments.append((keys[order], at[order], length[order]))
+            self.segments.append((keys[order], at[order].astype(np.uint32), length[order].astype(np.uint32)))
             self.ids, self.known = pool, self.known + len(left)
             if len(self.segments) > SEGMENTS:
                 whole = [np.concatenate(c) for c in zip(*self.segments, strict=True)]
