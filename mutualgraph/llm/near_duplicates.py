@@ -224,3 +224,23 @@ def without_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     repeats = kept.filter("_n > 1 and _s > 0").limit(1).count()
     out = join_small(docs, kept.select("_id"), docs["doc_id"].cast("long").eqNullSafe(F.col("_id")), "left_semi", kept.count(), 4_000_000)
     return out.dropDuplicates(["doc_id"]) if repeats else out
+
+
+#: The rows of near_duplicates(documents, 3, 85) by counting the shingles that documents share, for tables small enough for that.
+ORACLE = r"""
+WITH RECURSIVE worded AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+sets AS (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 3 THEN [array_to_string(w, ' ')]
+    ELSE list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2]) END) AS s FROM worded),
+sized AS (SELECT doc_id, len(s) AS n, sha256(array_to_string(list_sort(s), chr(10))) AS class FROM sets),
+classes AS (SELECT class, min(doc_id) AS rep, any_value(n) AS n FROM sized WHERE n > 0 GROUP BY class),
+members AS MATERIALIZED (SELECT rep, n, unnest(s) AS shingle FROM classes JOIN sets ON rep = doc_id),
+links AS MATERIALIZED (
+  SELECT a.rep AS a, b.rep AS b FROM members a JOIN members b ON a.shingle = b.shingle AND a.rep <> b.rep
+  GROUP BY a.rep, b.rep, a.n, b.n HAVING 100 * count(*) >= 85 * (a.n + b.n - count(*))),
+reach AS (SELECT a AS node, b AS other FROM links UNION SELECT reach.node, links.b FROM reach JOIN links ON reach.other = links.a),
+least_ AS (SELECT node, least(node, min(other)) AS component FROM reach GROUP BY node)
+SELECT d.doc_id, d.n AS n_shingles, coalesce(component, rep, d.doc_id) AS component_id, coalesce(component, rep, d.doc_id) = d.doc_id AS kept
+FROM sized d LEFT JOIN classes c ON d.class = c.class AND d.n > 0 LEFT JOIN least_ ON node = rep
+"""

@@ -164,3 +164,57 @@ def sanitise(docs: DataFrame, **options) -> DataFrame:
     out = out.withColumn("_safe", F.when(F.size("_all") > 0, safe).otherwise(F.col("text")))
     cols = [F.col("_safe").alias(c) if c == "text" else F.when(F.size("_all") > 0, F.length("_safe").cast(docs.schema[c].dataType)).otherwise(F.col("_row")[c]).alias(c) if c == "n_chars" else F.col("_row")[c].alias(c) for c in docs.columns]
     return out.select(*cols)
+
+
+def _sql_spans(kind: str, pattern: str, valid: str) -> str:
+    """Matches (value) of a plain pattern with their places: what stands between matches and the matches give them."""
+    rank = KINDS.index(kind)
+    return f"""
+SELECT doc_id, '{kind}' AS kind, {rank} AS rank, value, place::BIGINT AS "start", (place + length(value))::BIGINT AS "end" FROM (
+  SELECT doc_id, found[i] AS value, list_sum(list_transform(parts[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(found[1:i - 1], lambda x: length(x))), 0) AS place
+  FROM (SELECT doc_id, found, parts, unnest(range(1, len(found) + 1)) AS i FROM (
+    SELECT doc_id, regexp_extract_all(text, '{pattern}') AS found, string_split_regex(text, '{pattern}') AS parts FROM docs)))
+WHERE {valid}"""
+
+
+_SQL_DIGITS = "regexp_replace(value, '[^0-9]', '', 'g')"
+_SQL_DOUBLED = f"list_transform(range(1, length({_SQL_DIGITS}) + 1), lambda i: ({_SQL_DIGITS})[-i]::INT * (2 - i % 2))"
+_SQL_PLAIN = {
+    "email": (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", "true"),
+    "ip": (r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)", "len(list_filter(string_split(value, '.'), lambda x: length(ltrim(x, '0')) > 3 OR x::HUGEINT > 255)) = 0"),
+    "card": (r"[0-9](?:[\x20-]?[0-9])+", f"length({_SQL_DIGITS}) BETWEEN 14 AND 19 AND list_sum(list_transform({_SQL_DOUBLED}, lambda d: d // 10 + d % 10)) % 10 = 0"),
+    "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", f"length({_SQL_DIGITS}) BETWEEN 10 AND 15"),
+}
+
+
+def _sql_listed(rows: str) -> str:
+    return f"""coalesce(string_agg(kind || ':' || "start" || ':' || "end", ',' ORDER BY "start", rank) FILTER ({rows}), '')"""
+
+
+#: The rows of detect(documents) with plain patterns, for doc_ids that differ.
+ORACLE = f"""
+WITH docs AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+base AS MATERIALIZED ({" UNION ALL ".join(_sql_spans(k, *v) for k, v in _SQL_PLAIN.items())}),
+words AS MATERIALIZED ({_sql_spans("term", TERM, "true")}),
+held AS (SELECT DISTINCT doc_id, text, kind || ':' || lower(value) AS value FROM base JOIN docs USING (doc_id)),
+protected AS (SELECT value, count(*) AS n_value FROM held GROUP BY value HAVING count(DISTINCT text) >= 3),
+terms AS MATERIALIZED (SELECT DISTINCT doc_id, lower(value) AS term FROM words),
+known AS (SELECT term, count(*) AS n_term FROM terms GROUP BY term),
+together AS (
+  SELECT value, term, count(*) AS n_both FROM held JOIN protected USING (value) JOIN terms USING (doc_id)
+  GROUP BY value, term HAVING count(DISTINCT text) >= 3),
+size AS (SELECT count(*)::DOUBLE AS total FROM docs),
+flagged AS (
+  SELECT value, term FROM together JOIN protected USING (value) JOIN known USING (term), size
+  WHERE total > n_value AND log2(n_both * total / (n_term * n_value)) / log2(total / n_value) >= 0.9),
+told AS (SELECT DISTINCT doc_id, term FROM held JOIN flagged USING (value)),
+extra AS (
+  SELECT w.* FROM words w JOIN told ON w.doc_id = told.doc_id AND lower(w.value) = told.term
+  WHERE NOT EXISTS (SELECT 1 FROM base b WHERE b.doc_id = w.doc_id AND b."start" < w."end" AND b."end" > w."start")),
+listed AS (
+  SELECT doc_id, {", ".join(f"count(*) FILTER (kind = '{k}') AS n_{k}" for k in PATTERNS)}, {_sql_listed("kind <> 'term'")} AS base,
+    {_sql_listed("true")} AS spans, count(*) FILTER (kind = 'term') AS n_terms
+  FROM (SELECT * FROM base UNION ALL SELECT * FROM extra) GROUP BY doc_id)
+SELECT doc_id, {", ".join(f"coalesce(n_{k}, 0) AS n_{k}" for k in PATTERNS)}, sha256(coalesce(base, '')) AS base_sha256, coalesce(spans, '') AS spans, coalesce(n_terms, 0) AS n_terms
+FROM docs LEFT JOIN listed USING (doc_id)
+"""

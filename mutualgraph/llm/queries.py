@@ -57,4 +57,9 @@ def op10_media_columns(spark, sf_dir):
 
 
 QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_collision_counting, op3_disclosure, op4_best_fit_packing, op5_backoff_scoring, op6_language_spans, op7_token_files, op8_super_minhash, op9_licence_digests, op10_media_columns)}
-ORACLES: dict[str, str] = {"op9_licence_digests": licences.ORACLE}
+ORACLES: dict[str, str] = {
+    "op2_collision_counting": vector_duplicates.ORACLE,
+    "op3_disclosure": personal.ORACLE,
+    "op8_super_minhash": near_duplicates.ORACLE,
+    "op9_licence_digests": licences.ORACLE,
+}

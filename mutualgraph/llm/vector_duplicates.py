@@ -156,3 +156,20 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
     rows = out.select("vec_id", "n_links", F.when(F.col("_component") != -(1 << 63), F.col("_component")).alias("component_id"))
     rows = rows.union(read.filter("dim = 0").select("vec_id", F.lit(0).cast("long"), F.col("vec_id").alias("component_id")))
     return rows.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+
+
+#: The same rows by all pairs of vectors, at the defaults, for tables small enough for that.
+ORACLE = """
+WITH RECURSIVE given AS (SELECT row_number() OVER () AS r, vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+good AS (
+  SELECT r, vec_id, len(e) AS dim, list_transform(e, lambda x: x / list_max(list_transform(e, lambda y: abs(y)))) AS e FROM given
+  WHERE len(e) > 0 AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND list_max(list_transform(e, lambda y: abs(y))) > 0),
+normed AS (SELECT r, vec_id, dim, e, sqrt(list_sum(list_transform(e, lambda x: x * x))) AS n FROM good),
+links AS MATERIALIZED (
+  SELECT a.r, a.vec_id AS a, b.vec_id AS b FROM normed a JOIN normed b ON a.r <> b.r AND a.dim = b.dim
+  WHERE list_inner_product(a.e, b.e) / (a.n * b.n) >= 0.95),
+reach AS (SELECT a AS node, b AS other FROM links UNION SELECT reach.node, links.b FROM reach JOIN links ON reach.other = links.a),
+least_ AS (SELECT node, least(node, min(other)) AS component_id FROM reach GROUP BY node)
+SELECT vec_id, (SELECT count(*) FROM links l WHERE l.r = g.r) AS n_links, coalesce(component_id, vec_id) AS component_id, coalesce(component_id, vec_id) = vec_id AS kept
+FROM given g LEFT JOIN least_ ON node = vec_id
+"""
