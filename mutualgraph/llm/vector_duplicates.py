@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+from statistics import NormalDist
 
 import numpy as np
 import pyarrow as pa
@@ -15,6 +16,8 @@ from .components import connected_components, roots
 
 #: Vectors of a block, about; two blocks are compared in one task.
 BLOCK = 1024
+#: Projections that cells may use.
+AXES = range(2, 7)
 
 
 def calibrate(cosine: float, projections: int, width: float = 1.45, miss: float = 1e-5) -> tuple[float, int]:
@@ -35,7 +38,20 @@ def calibrate(cosine: float, projections: int, width: float = 1.45, miss: float
 
 
 def projection(dim: int, count: int) -> np.ndarray:
-    return np.random.default_rng(1000003 * dim + count).standard_normal((dim, count))
+    """Random directions, all of length sqrt(dim): projections of unit vectors then have a deviation of 1."""
+    lines = np.random.default_rng(1000003 * dim + count).standard_normal((dim, count))
+    return lines * (math.sqrt(dim) / np.linalg.norm(lines, axis=0))
+
+
+def cell_axes(classes: int) -> int:
+    """How many projections make up a cell: one more for each fourfold number of different vectors, so that cells of
+    ordinary density keep to a few blocks. Each leaves about 0.6 of the pairs to compare."""
+    return min(max(AXES.start, AXES.start + math.floor(math.log(max(classes, 1) / (16 * BLOCK), 4))), AXES.stop - 1)
+
+
+def cell_width(cosine: float, axes: int, miss: float) -> float:
+    """So wide that a pair at the threshold lies in one cell or two neighbours, on all axes, but for a chance of `miss`."""
+    return -NormalDist().inv_cdf(miss / (2 * axes)) * math.sqrt(2 - 2 * cosine)
 
 
 def collisions(left: np.ndarray, right: np.ndarray, half: float) -> np.ndarray:
@@ -53,65 +69,69 @@ def collisions(left: np.ndarray, right: np.ndarray, half: float) -> np.ndarray:
     return counts
 
 
-def _read(vectors: DataFrame, projections: int, cell: float) -> DataFrame:
-    """vec_id, dim (0 if it can't link), h1, h2 (digest of the vector), c0, c1 (cell of two projections) and unit."""
+def _read(vectors: DataFrame, projections: int) -> DataFrame:
+    """vec_id, dim (0 if it can't link), h1, h2 (digest of the vector), line (its first projections) and unit."""
 
     def run(batches):
+        lines = {}
         for b in batches:
             ids, out = b.column("vec_id"), []
             for v in b.column("v").to_pylist():
                 x = np.array(v, np.float64) if v and None not in v else np.zeros(0)
                 top = np.abs(x).max() if len(x) and np.isfinite(x).all() else 0.0
                 if top == 0:
-                    out.append((0, 0, 0, 0, 0, b""))
+                    out.append((0, 0, 0, [], b""))
                     continue
                 x = x + 0.0
                 digest = np.frombuffer(hashlib.md5(x.tobytes()).digest(), np.int64)
                 unit = x / top
                 unit = unit / np.sqrt(unit @ unit)
-                at = np.floor((unit @ projection(len(x), projections)[:, :2]) / cell).astype(int)
-                out.append((len(x), int(digest[0]), int(digest[1]), int(at[0]), int(at[1]), unit.tobytes()))
-            cols = list(zip(*out, strict=True)) if out else [[]] * 6
-            kinds = (pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
-            yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=["vec_id", "dim", "h1", "h2", "c0", "c1", "unit"])
+                if len(x) not in lines:
+                    lines[len(x)] = projection(len(x), projections)[:, : AXES.stop - 1]
+                out.append((len(x), int(digest[0]), int(digest[1]), (unit @ lines[len(x)]).tolist(), unit.tobytes()))
+            cols = list(zip(*out, strict=True)) if out else [[]] * 5
+            kinds = (pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.float64()), pa.binary())
+            yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=["vec_id", "dim", "h1", "h2", "line", "unit"])
 
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
-    return rows.mapInArrow(run, "vec_id long, dim int, h1 long, h2 long, c0 int, c1 int, unit binary")
+    return rows.mapInArrow(run, "vec_id long, dim int, h1 long, h2 long, line array<double>, unit binary")
 
 
-def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int = 40, reach: float = 4.0, small: int = 1_000_000) -> DataFrame:
+def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int = 40, cell_miss: float = 1.3e-4, axes: int | None = None, small: int = 1_000_000) -> DataFrame:
     """vec_id, n_links, component_id, kept for each row of vectors (vec_id, embedding).
 
     Vectors that are null, empty, zero, or hold null or non-finite components link with nothing; vectors of different
-    lengths too. Equal vectors form a class and are compared once. The first two projections put classes into cells as
-    wide as `reach` deviations of a pair at the threshold, so that such a pair lies in one cell or two neighbours but for
-    a chance of 1.3e-4; cells are cut into blocks of about BLOCK, and each pair of neighbouring blocks counts collisions
+    lengths too. Equal vectors form a class and are compared once. The first projections (two to six, by `cell_axes`, or
+    `axes`) put classes into cells so wide that a pair at the threshold lies in one cell or two neighbours but for a
+    chance of `cell_miss`; cells are cut into blocks of about BLOCK, and each pair of neighbouring blocks counts collisions
     over all projections, checks pairs that reach the calibrated count by cosine in double precision, and returns
     each vector's number of links and a spanning forest of them, never the pairs.
     """
     ship(vectors.sparkSession)
     half, need = calibrate(cosine, projections)
-    cell = reach * math.sqrt(2 - 2 * cosine)
-    read = store(_read(vectors, projections, cell), "vectors")
+    read = store(_read(vectors, projections), "vectors")
     good = read.filter("dim > 0")
-    classes = store(good.groupBy("dim", "h1", "h2").agg(F.coalesce(F.min("vec_id"), F.lit(-(1 << 63))).alias("rep"), F.count("*").alias("n"), F.first("c0").alias("c0"), F.first("c1").alias("c1"), F.first("unit").alias("unit")), "classes")
+    classes = store(good.groupBy("dim", "h1", "h2").agg(F.coalesce(F.min("vec_id"), F.lit(-(1 << 63))).alias("rep"), F.count("*").alias("n"), F.first("line").alias("line"), F.first("unit").alias("unit")), "classes")
+    axes = min(projections, axes or cell_axes(classes.count()))
+    width = cell_width(cosine, axes, cell_miss)
+    classes = classes.withColumn("cell", F.transform(F.slice("line", 1, axes), lambda x: F.floor(x / width).cast("int"))).drop("line")
 
     # One row a cell: the projections of unit vectors lie within a few deviations, so cells don't grow with the data.
-    cells = store(classes.groupBy("dim", "c0", "c1").agg(F.count("*").alias("m")).withColumn("subs", F.ceil(F.col("m") / BLOCK).cast("int")).drop("m"), "cells")
+    cells = store(classes.groupBy("dim", "cell").agg(F.count("*").alias("m")).withColumn("subs", F.ceil(F.col("m") / BLOCK).cast("int")).drop("m"), "cells")
     n_cells = cells.count()
-    near = cells
-    for c in ("c0", "c1"):
-        near = near.withColumn(c[1] + "d", F.explode(F.array(F.lit(-1), F.lit(0), F.lit(1))))
-    other = cells.select(F.col("dim").alias("odim"), F.col("c0").alias("o0"), F.col("c1").alias("o1"), F.col("subs").alias("osubs"))
-    near = near.join(other, (F.col("dim") == F.col("odim")) & (F.col("c0") + F.col("0d") == F.col("o0")) & (F.col("c1") + F.col("1d") == F.col("o1")))
+    near = cells.withColumn("to", F.array().cast("array<int>"))
+    for k in range(axes):  # a neighbour's cell, axis by axis
+        near = near.withColumn("step", F.explode(F.array(F.lit(-1), F.lit(0), F.lit(1)))).withColumn("to", F.array_append("to", F.col("cell")[k] + F.col("step"))).drop("step")
+    other = cells.select(F.col("dim").alias("odim"), F.col("cell").alias("ocell"), F.col("subs").alias("osubs"))
+    near = near.filter(F.col("cell") <= F.col("to")).join(other, (F.col("dim") == F.col("odim")) & (F.col("to") == F.col("ocell")))
     grid = near.withColumn("sub", F.explode(F.sequence(F.lit(0), F.col("subs") - 1))).withColumn("osub", F.explode(F.sequence(F.lit(0), F.col("osubs") - 1)))
-    mine, theirs = F.struct("c0", "c1", "sub"), F.struct(F.col("o0"), F.col("o1"), F.col("osub"))
-    grid = grid.filter(mine <= theirs).select("dim", F.xxhash64("dim", "c0", "c1", "sub", "o0", "o1", "osub").alias("task"), "c0", "c1", "sub", "o0", "o1", "osub")
-    ends = grid.select("dim", "c0", "c1", "sub", "task", F.lit(0).alias("side")).union(grid.filter(mine != theirs).select("dim", "o0", "o1", "osub", "task", F.lit(1)))
-    ends = store(ends.groupBy("dim", "c0", "c1", "sub").agg(F.collect_list(F.struct("task", "side")).alias("tasks")), "block-pairs")
+    mine, theirs = F.struct("cell", "sub"), F.struct(F.col("ocell"), F.col("osub"))
+    grid = grid.filter(mine <= theirs).select("dim", F.xxhash64("dim", "cell", "sub", "ocell", "osub").alias("task"), "cell", "sub", "ocell", "osub")
+    ends = grid.select("dim", "cell", "sub", "task", F.lit(0).alias("side")).union(grid.filter(mine != theirs).select("dim", "ocell", "osub", "task", F.lit(1)))
+    ends = store(ends.groupBy("dim", "cell", "sub").agg(F.collect_list(F.struct("task", "side")).alias("tasks")), "block-pairs")
 
-    placed = join_small(classes, cells, ["dim", "c0", "c1"], "inner", n_cells, small).withColumn("sub", F.pmod(F.xxhash64("rep"), F.col("subs")).cast("int"))
-    dealt = join_small(placed, ends, ["dim", "c0", "c1", "sub"], "inner", ends.count(), small // 10).select(F.explode("tasks").alias("t"), "rep", "n", "unit", "dim").select("t.task", "t.side", "rep", "n", "unit", "dim")
+    placed = join_small(classes, cells, ["dim", "cell"], "inner", n_cells, small).withColumn("sub", F.pmod(F.xxhash64("rep"), F.col("subs")).cast("int"))
+    dealt = join_small(placed, ends, ["dim", "cell", "sub"], "inner", ends.count(), small // 10).select(F.explode("tasks").alias("t"), "rep", "n", "unit", "dim").select("t.task", "t.side", "rep", "n", "unit", "dim")
 
     def compare(t: pa.Table) -> pa.Table:
         side, rep, n = (t.column(c).to_numpy() for c in ("side", "rep", "n"))

@@ -127,7 +127,8 @@ def test_mixed_documents_repeat_rows(docs):
     assert Counter(r.doc_id for r in got.select("doc_id").collect()) == Counter({k: v for k, v in want.items() if v})
 
 
-def test_vectors_against_brute_force(spark):
+@pytest.mark.parametrize("axes", [None, 4])
+def test_vectors_against_brute_force(spark, axes):
     rng = np.random.default_rng(1)
     base = rng.standard_normal((300, 16))
     near = base[:60] + 0.05 * rng.standard_normal((60, 16))
@@ -136,7 +137,7 @@ def test_vectors_against_brute_force(spark):
     rows = [(i, v.tolist()) for i, v in enumerate(x)]
     n = len(rows)
     rows += [(n, None), (n + 1, [0.0] * 16), (n + 2, [1.0, None] + [0.0] * 14), (n + 3, [float("nan")] * 16), (n + 4, [float("inf")] + [0.0] * 15), (n + 5, []), (n + 6, base[0, :8].tolist())]
-    got = {r.vec_id: r for r in vector_duplicates.vector_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    got = {r.vec_id: r for r in vector_duplicates.vector_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), axes=axes).collect()}
     u = x / np.linalg.norm(x, axis=1, keepdims=True)
     link = (u @ u.T >= 0.95) & ~np.eye(n, dtype=bool)
     label = np.arange(n)
@@ -152,6 +153,14 @@ def test_vectors_against_brute_force(spark):
         assert (got[i].n_links, got[i].component_id, got[i].kept) == (0, i, True)
 
 
+def test_cells_follow_the_number_of_vectors():
+    axes = [vector_duplicates.cell_axes(n) for n in (0, 1, 10**4, 10**5, 10**6, 10**7, 10**12)]
+    assert axes == sorted(axes) and axes[0] == 2 and axes[-1] == 6
+    gaps = np.random.default_rng(3).standard_normal((400_000, 6)) * math.sqrt(0.1)
+    for k in (2, 6):
+        assert (np.abs(gaps[:, :k]) > vector_duplicates.cell_width(0.95, k, 1e-2)).any(1).mean() < 1.1e-2
+
+
 def test_collisions_and_calibration():
     rng = np.random.default_rng(0)
     a, b = rng.standard_normal((30, 8)).astype(np.float32), rng.standard_normal((50, 8)).astype(np.float32)
