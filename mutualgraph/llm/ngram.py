@@ -126,9 +126,8 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
             found, place = distinct(h[real])
             count = np.bincount(place[train[real]], minlength=len(found))
             cut = _cuts(found, shards)
-            for s in range(shards):
-                if cut[s] < cut[s + 1]:
-                    out.append((bucket, k, s, found[cut[s] : cut[s + 1]].tobytes(), _thin(count[cut[s] : cut[s + 1]])))
+            for s in np.flatnonzero(np.diff(cut)).tolist():
+                out.append((bucket, k, s, found[cut[s] : cut[s + 1]].tobytes(), _thin(count[cut[s] : cut[s + 1]])))
         return _table(out, ("bucket", "k", "shard", "grams", "counts"))
 
     def answer(table: pa.Table) -> pa.Table:
