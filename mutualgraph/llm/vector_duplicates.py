@@ -14,8 +14,10 @@ from pyspark.sql import functions as F
 from .common import join_small, ship, store
 from .components import connected_components, roots
 
-#: Vectors of a block, about; two blocks are compared in one task.
-BLOCK = 1024
+#: Vectors of a block, about; two blocks are compared in one task: a few dozen MB, and each vector goes to few tasks.
+BLOCK = 8192
+#: Vectors whose collisions with as many others are counted at once.
+TILE = 1024
 #: Projections that cells may use.
 AXES = range(2, 7)
 
@@ -46,7 +48,7 @@ def projection(dim: int, count: int) -> np.ndarray:
 def cell_axes(classes: int) -> int:
     """How many projections make up a cell: one more for each fourfold number of different vectors, so that cells of
     ordinary density keep to a few blocks. Each leaves about 0.6 of the pairs to compare."""
-    return min(max(AXES.start, AXES.start + math.floor(math.log(max(classes, 1) / (16 * BLOCK), 4))), AXES.stop - 1)
+    return min(max(AXES.start, AXES.start + math.floor(math.log(max(classes, 1) / (2 * BLOCK), 4))), AXES.stop - 1)
 
 
 def cell_width(cosine: float, axes: int, miss: float) -> float:
@@ -144,9 +146,9 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
         a = np.flatnonzero(side == 0)
         b = a if own else np.flatnonzero(side == 1)
         degree, left, right = np.zeros(len(rep), np.int64), [], []
-        for lo in range(0, len(a), BLOCK):
-            for so in range(0, len(b), BLOCK):
-                x, y = a[lo : lo + BLOCK], b[so : so + BLOCK]
+        for lo in range(0, len(a), TILE):
+            for so in range(0, len(b), TILE):
+                x, y = a[lo : lo + TILE], b[so : so + TILE]
                 i, j = np.nonzero(collisions(line[x], line[y], np.float32(half)) >= need)
                 if own:
                     i, j = i[x[i] < y[j]], j[x[i] < y[j]]
