@@ -76,35 +76,44 @@ def _listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def disclosing_terms(found: DataFrame, docs: DataFrame, min_support: int, generalise_at: float, remove_at: float, small: int) -> DataFrame:
-    """_key, _terms: for each text that holds a protected value, the terms that give it away, and whether to remove them.
-
-    A protected value is a base span's value that at least `min_support` documents hold. How far a term gives it away is
-    their pointwise mutual information over documents, as a share of the value's information content:
-    log2(n_both D / (n_term n_value)) / log2(D / n_value), 1 when the term never occurs without the value.
-    Every count is over all documents; both must stand together in `min_support` distinct texts, so that copies alone
-    give nothing away.
+def disclosing_terms(found: DataFrame, docs: DataFrame, doubt: float, generalise_at: float, remove_at: float, small: int) -> DataFrame:
+    """_key, _terms: for each text that holds a base span, the terms that give a value of it away, and whether to remove them.
+
+    Every base span's value is protected, however rare. How far a term gives it away is their pointwise mutual
+    information over documents, as a share of the value's information content:
+    log2(c n_both D / (n_term n_value)) / log2(D / n_value), 1 at most. Counts are over all documents; c is
+    t / (t + doubt) for the t distinct texts that hold both, so few texts, or many copies of one, weigh less than many.
+
+    Values that stand in the same texts have the same counts, so they are taken together: a text with many values of its
+    own costs its terms once.
     """
     held = found.filter(F.size("_spans") > 0)
     values = held.select("_key", F.explode(F.array_distinct(F.transform("_spans", lambda s: F.concat_ws(":", s["kind"], F.lower(s["value"]))))).alias("value"))
     per_text = store(values.groupBy("_key", "value").agg(F.count("*").alias("n")), "values")
-    protected = per_text.groupBy("value").agg(F.sum("n").alias("n_value"), F.count("*").alias("texts")).filter((F.col("texts") >= min_support)).drop("texts")
-    protected = store(protected, "protected")
-    shared = join_small(per_text, protected, "value", "inner", protected.count(), small)
-    texts = held.groupBy("_key").agg(F.any_value("_text").alias("_text"))
-    terms = texts.select("_key", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("_text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    both = shared.join(terms, "_key").groupBy("value", "term").agg(F.sum("n").alias("n_both"), F.count("*").alias("texts"), F.first("n_value").alias("n_value"))
-    both = store(both.filter(F.col("texts") >= min_support), "together")
+    mark = lambda seed: F.sum(F.xxhash64("_key", F.lit(seed)).cast("decimal(20,0)"))
+    protected = store(per_text.groupBy("value").agg(F.md5(F.concat_ws(":", F.count("*"), mark(1), mark(2))).alias("group"), F.sum("n").alias("n_value")), "protected")
+    shared = join_small(per_text, protected, "value", "inner", protected.count(), small).groupBy("_key", "group").agg(F.first("n").alias("n"), F.first("n_value").alias("n_value"))
+    texts = held.groupBy("_key").agg(F.any_value("_text").alias("_text"), F.count("*").alias("_n"))
+    terms = texts.select("_key", "_n", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("_text"), F.lit(TERM), F.lit(0)))).alias("term"))
+    terms = store(terms, "held-terms")
+    total = F.lit(float(found.count()))
+    certain = F.col("texts") / (F.col("texts") + F.lit(float(doubt)))
+    share = F.log2(certain * F.col("n_both") * total / (F.col("n_term") * F.col("n_value"))) / F.log2(total / F.col("n_value"))
+    scored = F.when(total > F.col("n_value"), share)
+    both = shared.join(terms, "_key").groupBy("group", "term").agg(F.sum("n").alias("n_both"), F.count("*").alias("texts"), F.first("n_value").alias("n_value"))
+    # A term stands in as many documents at least as hold it beside a base span: pairs too low with that count can't pass with the whole one.
+    least = terms.groupBy("term").agg(F.sum("_n").alias("n_term"))
+    both = store(both.join(least, "term").filter(scored >= generalise_at).drop("n_term"), "together")
     candidates = store(both.select("term").distinct(), "terms")
-    all_terms = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit(TERM), F.lit(0)))).alias("term"))
+    all_terms = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce(F.col("text").cast("string"), F.lit(""))), F.lit(TERM), F.lit(0)))).alias("term"))
     n_terms = candidates.count()
-    known = join_small(all_terms, candidates, "term", "left_semi", n_terms, small).groupBy("term").agg(F.count("*").alias("n_term")) if n_terms else candidates.withColumn("n_term", F.lit(1))
-    total = F.lit(float(found.count()))
-    share = F.log2(F.col("n_both") * total / (F.col("n_term") * F.col("n_value"))) / F.log2(total / F.col("n_value"))
-    flagged = both.join(known, "term").withColumn("_share", F.when(total > F.col("n_value"), share)).filter(F.col("_share") >= generalise_at)
+    if n_terms <= small:
+        all_terms = join_small(all_terms, candidates, "term", "left_semi", n_terms, small)
+    known = all_terms.groupBy("term").agg(F.count("*").alias("n_term")) if n_terms else candidates.withColumn("n_term", F.lit(1))
+    flagged = both.join(known, "term").withColumn("_share", scored).filter(F.col("_share") >= generalise_at)
+    at = shared.join(terms, "_key").join(flagged.select("group", "term", "_share"), ["group", "term"]).groupBy("_key", "term").agg(F.max("_share").alias("_share"))
     marked = F.struct("term", (F.col("_share") >= remove_at).alias("remove"))
-    at = per_text.join(flagged, "value").select("_key", marked.alias("_m")).distinct()
-    return store(at.groupBy("_key").agg(F.collect_set("_m").alias("_terms")), "disclosing")
+    return store(at.groupBy("_key").agg(F.collect_list(marked).alias("_terms")), "disclosing")
 
 
 def _with_base(docs: DataFrame) -> DataFrame:
@@ -120,7 +129,7 @@ def _term_spans(text: Column, terms: Column, base: Column) -> Column:
     return F.filter(spans, lambda s: ~F.exists(base, lambda b: (b["start"] < s["end"]) & (b["end"] > s["start"])))
 
 
-def find(docs: DataFrame, keep_columns: bool = False, min_support: int = 3, generalise_at: float = 0.9, remove_at: float = 0.97, small: int = 1_000_000) -> DataFrame:
+def find(docs: DataFrame, keep_columns: bool = False, doubt: float = 0.5, generalise_at: float = 0.9, remove_at: float = 0.97, small: int = 1_000_000) -> DataFrame:
     """doc_id and _text, _spans (the four kinds), _all (with term spans), _terms; with keep_columns also _row, docs' columns.
 
     Null text is empty. Places are code points, end exclusive. Term spans touch no base span. Repeated rows each give a
@@ -128,7 +137,7 @@ def find(docs: DataFrame, keep_columns: bool = False, min_support: int = 3, gene
     """
     rows = _with_base(docs)
     found = store(rows.select("doc_id", F.when(F.col("_key").isNotNull(), F.col("_text")).alias("_text"), "_spans", "_key"), "found")
-    told = disclosing_terms(found, docs, min_support, generalise_at, remove_at, small)
+    told = disclosing_terms(found, docs, doubt, generalise_at, remove_at, small)
     base = rows if keep_columns else found
     none = F.array().cast(_EMPTY)
     # Rows without a key can't join, and must not meet in one partition: they get keys of their own.

@@ -212,6 +212,39 @@ def test_disclosing_terms_are_found_and_replaced(spark):
     assert safe[0] == "Call the [...] office number 0 [...] [PHONE] please" and safe[7] == rows[7][1]
 
 
+def test_values_of_one_or_two_texts_are_protected(spark):
+    one, two = "Quibbler please write to a@b.cd or c@d.ef today", "please ask Vexley tel +1 (234) 555-67{} today"
+    rows = [(0, one), (1, two.format("89")), (2, two.format("89") + " now")] + [(i, f"please write or ask today number {i} now") for i in range(3, 400)]
+    got = {r.doc_id: r for r in personal.detect(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert "term:0:8" in got[0].spans.split(",") and got[0].n_terms == 1
+    assert all(got[i].n_terms == 2 and f"term:{two.index('Vexley')}:{two.index('Vexley') + 6}" in got[i].spans.split(",") for i in (1, 2))
+    assert not any(r.n_terms for i, r in got.items() if i > 2)
+    copies = [(i, one) for i in range(50)] + rows[3:]  # copies of a text are no more evidence than the text
+    got = {r.doc_id: r for r in personal.find(spark.createDataFrame(copies, "doc_id long, text string")).collect()}
+    assert all(not got[i]["_terms"] for i in range(50))
+
+
+def test_disclosing_terms_against_brute_force(spark, tiny):
+    df = spark.read.parquet(f"{tiny}/documents.parquet").select("doc_id", "text")
+    rows = [(r.doc_id, r["_key"], [f"{x.kind}:{x.value.lower()}" for x in r["_spans"]], sorted(x.term for x in r["_terms"] or [])) for r in personal.find(df, keep_columns=True).collect()]
+    terms = {r.doc_id: set(re.findall(r"[^\W\d_]{3,}", (r.text or "").lower())) for r in df.collect()}
+    n_term = Counter(t for x in terms.values() for t in x)
+    at = {}
+    for i, key, values, _ in rows:
+        for v in values:
+            at.setdefault(v, {})[i] = key
+    want = {i: set() for i in terms}
+    for docs_ in at.values():
+        for t in set().union(*(terms[i] for i in docs_)):
+            both = [i for i in docs_ if t in terms[i]]
+            texts = len({docs_[i] for i in both})
+            p = texts / (texts + 0.5) * len(both) / n_term[t]
+            if math.log2(p * len(rows) / len(docs_)) / math.log2(len(rows) / len(docs_)) >= 0.9:
+                for i in both:
+                    want[i].add(t)
+    assert any(want.values()) and {i: set(x) for i, _, _, x in rows} == want
+
+
 def test_sanitise_keeps_rows_and_columns(docs):
     out = personal.sanitise(docs)
     assert out.columns == docs.columns and out.count() == docs.count()
