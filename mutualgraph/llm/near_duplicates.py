@@ -6,6 +6,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from .common import join_small, ship, store
 from .components import connected_components
@@ -13,6 +14,8 @@ from .words import mix64, shingles, slices, word_hashes
 
 SIGNATURE = 144
 _EMPTY = np.uint64((1 << 64) - 1)
+#: What tells sets apart, whatever the doc_id of their texts.
+DIGEST = ["n_shingles", "f1", "f2"]
 #: Members of a bucket that are compared in one task, at most; larger buckets are compared block by block.
 BLOCK = 256
 
@@ -76,6 +79,12 @@ def _sums(values: np.ndarray, offs: np.ndarray) -> np.ndarray:
     return total[offs[1:]] - total[offs[:-1]]
 
 
+def _digest(sets: np.ndarray, offs: np.ndarray) -> dict[str, pa.Array]:
+    """n_shingles, f1 and f2: each set's size and a 128-bit digest of it."""
+    sums = (_sums(mix64(x), offs).view(np.int64) for x in (sets, sets ^ np.uint64(0xA0761D6478BD642F)))
+    return dict(zip(DIGEST, (pa.array(np.diff(offs), pa.int64()), *map(pa.array, sums)), strict=True))
+
+
 def signatures(docs: DataFrame, width: int, percent: int, size: int = SIGNATURE) -> DataFrame:
     """doc_id, n_shingles, f1, f2 (a 128-bit digest of the set) and bands (one hash each; none for an empty set)."""
     ship(docs.sparkSession)
@@ -95,9 +104,7 @@ def signatures(docs: DataFrame, width: int, percent: int, size: int = SIGNATURE)
                 lists[full] = bands
                 yield pa.RecordBatch.from_pydict({
                     "doc_id": part.column("doc_id"),
-                    "n_shingles": pa.array(n, pa.int64()),
-                    "f1": pa.array(_sums(mix64(sets), offs).view(np.int64)),
-                    "f2": pa.array(_sums(mix64(sets ^ np.uint64(0xA0761D6478BD642F)), offs).view(np.int64)),
+                    **_digest(sets, offs),
                     "bands": pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(lists)]), pa.int32()), pa.array(key.reshape(-1).view(np.int64))),
                 })
 
@@ -105,16 +112,29 @@ def signatures(docs: DataFrame, width: int, percent: int, size: int = SIGNATURE)
 
 
 def shingle_sets(docs: DataFrame, width: int) -> DataFrame:
-    """doc_id, set: whole distinct shingle sets, ascending."""
+    """n_shingles, f1, f2, set: whole distinct shingle sets, ascending, and their digests."""
     ship(docs.sparkSession)
 
     def run(batches):
         for b in batches:
             for part in slices(b, "text"):
                 sets, offs = distinct_shingles(part.column("text"), width)
-                yield pa.RecordBatch.from_pydict({"doc_id": part.column("doc_id"), "set": pa.ListArray.from_arrays(pa.array(offs, pa.int32()), pa.array(sets.view(np.int64)))})
+                yield pa.RecordBatch.from_pydict({**_digest(sets, offs), "set": pa.ListArray.from_arrays(pa.array(offs, pa.int32()), pa.array(sets.view(np.int64)))})
+
+    return docs.select("text").mapInArrow(run, "n_shingles long, f1 long, f2 long, set array<long>")
+
+
+def with_digests(docs: DataFrame, width: int) -> DataFrame:
+    """docs with the digests of their sets as _n_shingles, _f1 and _f2 (text is a string)."""
+    ship(docs.sparkSession)
+
+    def run(batches):
+        for b in batches:
+            for part in slices(b, "text"):
+                digest = _digest(*distinct_shingles(part.column("text"), width))
+                yield pa.RecordBatch.from_arrays([*part.columns, *digest.values()], [*part.schema.names, *(f"_{c}" for c in digest)])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, set array<long>")
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, *(StructField(f"_{c}", LongType()) for c in DIGEST)]))
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, size: int = SIGNATURE, small: int = 1_000_000) -> DataFrame:
@@ -122,26 +142,37 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, size: in
 
     Sets are of distinct `width`-word shingles of lower-cased (A-Z) whole texts (64-bit hashes); a shorter text is one
     shingle, a text without words, or null, has an empty set and links with nothing. Documents link if 100 x common >=
-    percent x union, which is confirmed on full sets. component_id is the smallest doc_id reachable. Repeated rows each
-    give a row; other columns are ignored; a null doc_id counts as the smallest long in links and comes out as null.
+    percent x union, which is confirmed on full sets. component_id is the smallest doc_id reachable, null if none there
+    has one. Of each component one set is kept, in the rows that have it and component_id. Repeated rows each give a row;
+    other columns are ignored; different texts may share a doc_id or have none.
 
     Equal sets form a class first, so copies cost one comparison. Classes that share a band are compared with the band's
     smallest member; bands whose members that leaves in different components are compared pair by pair across components,
     in blocks within a task. So every pair that shares a band is either in one component or compared, and no pair rows
     of a group are made.
     """
+    return _grouped(docs, width, percent, size, small).select("doc_id", "n_shingles", "component_id", "kept")
+
+
+def _grouped(docs: DataFrame, width: int = 5, percent: int = 80, size: int = SIGNATURE, small: int = 1_000_000) -> DataFrame:
+    """The rows of near_duplicates with f1 and f2. Classes have numbers of their own (rep); doc_ids only name the outcome."""
     signed = store(signatures(docs, width, percent, size), "signatures")
     full = signed.filter("n_shingles > 0")
-    classes = store(full.groupBy("n_shingles", "f1", "f2").agg(F.coalesce(F.min("doc_id"), F.lit(-(1 << 63))).alias("rep"), F.first("bands").alias("bands")), "classes")
+    classes = store(full.groupBy(*DIGEST).agg(F.min("doc_id").alias("least"), F.first("bands").alias("bands")).withColumn("rep", F.monotonically_increasing_id()), "classes")
 
     banded = classes.select("rep", "n_shingles", F.explode("bands").alias("band"))
     head = F.min(F.struct("rep", "n_shingles"))
     buckets = store(banded.groupBy("band").agg(head.alias("head"), F.count("*").alias("members")).filter("members > 1").select("band", F.col("head.rep").alias("head"), F.col("head.n_shingles").alias("head_n"), "members"), "buckets")
     member = store(join_small(banded, buckets, "band", "inner", buckets.count(), small), "members")
 
-    ids = store(member.select(F.col("rep").alias("_id")).distinct(), "candidates")
-    known = docs.withColumn("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))).select("doc_id", "text")
-    sets = store(shingle_sets(join_small(known, ids, known["doc_id"] == ids["_id"], "left_semi", ids.count(), small), width).groupBy("doc_id").agg(F.first("set").alias("set")), "sets")
+    ids = store(member.select("rep").distinct(), "candidates")
+    n_ids = ids.count()
+    wanted = store(join_small(classes.select("rep", "least", *DIGEST), ids, "rep", "left_semi", n_ids, small), "wanted")
+    # doc_ids only find texts, perhaps more than those of candidates; the digests say which set is whose.
+    known, least = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), wanted.select("least").distinct()
+    texts = join_small(known, least, known["doc_id"].eqNullSafe(least["least"]), "left_semi", n_ids, small)
+    sets = join_small(shingle_sets(texts, width), wanted.select("rep", *DIGEST), DIGEST, "inner", n_ids, small)
+    sets = store(sets.groupBy("rep").agg(F.first("set").alias("set")), "sets")
 
     stars = member.filter((F.col("rep") != F.col("head")) & _alike("n_shingles", "head_n", percent)).select(F.col("rep").alias("a"), F.col("head").alias("b")).distinct()
     links = store(_confirmed(stars, sets, percent), "links")
@@ -156,12 +187,17 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, size: in
     more = store(_across(join_small(at, open_, "band", "left_semi", open_.count(), small), sets, percent), "more-links")
     final = store(connected_components(links.union(more)), "components")
 
-    whole = classes.select("n_shingles", "f1", "f2", "rep").join(final, F.col("rep") == F.col("node"), "left").select(F.col("n_shingles").alias("_n"), F.col("f1").alias("_f1"), F.col("f2").alias("_f2"), F.coalesce("component", "rep").alias("_component"))
+    linked = store(classes.select("rep", "least", *DIGEST).join(final, F.col("rep") == F.col("node")).drop("node"), "linked")
+    first = linked.groupBy("component").agg(F.min(F.struct(F.col("least").isNull().alias("none"), "least", *DIGEST)).alias("head"))
+    whole = classes.select("rep", "least", *DIGEST).join(linked.join(first, "component").select("rep", "head"), "rep", "left")
+    alone = F.col("head").isNull()
+    is_head = alone | (F.struct(*DIGEST) == F.struct(*(F.col(f"head.{c}") for c in DIGEST)))
+    whole = whole.select(*(F.col(c).alias(f"_{c}") for c in DIGEST), F.when(alone, F.col("least")).otherwise(F.col("head.least")).alias("component_id"), is_head.alias("_head"))
     mine = signed.drop("bands")
-    out = full.drop("bands").join(whole, (F.col("n_shingles") == F.col("_n")) & (F.col("f1") == F.col("_f1")) & (F.col("f2") == F.col("_f2")))
-    rows = out.select("doc_id", "n_shingles", F.when((F.col("_component") != -(1 << 63)), F.col("_component")).alias("component_id"))
-    rows = rows.union(mine.filter("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")))
-    return rows.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    out = full.drop("bands").join(whole, (F.col("n_shingles") == F.col("_n_shingles")) & (F.col("f1") == F.col("_f1")) & (F.col("f2") == F.col("_f2")))
+    rows = out.select("doc_id", *DIGEST, "component_id", "_head")
+    rows = rows.union(mine.filter("n_shingles = 0").select("doc_id", *DIGEST, F.col("doc_id").alias("component_id"), F.lit(True).alias("_head")))
+    return rows.withColumn("kept", F.col("_head") & F.col("doc_id").eqNullSafe(F.col("component_id"))).drop("_head")
 
 
 def _alike(a: str, b: str, percent: int):
@@ -170,8 +206,8 @@ def _alike(a: str, b: str, percent: int):
 
 
 def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    one = sets.select(F.col("doc_id").alias("a"), F.col("set").alias("x"))
-    two = sets.select(F.col("doc_id").alias("b"), F.col("set").alias("y"))
+    one = sets.select(F.col("rep").alias("a"), F.col("set").alias("x"))
+    two = sets.select(F.col("rep").alias("b"), F.col("set").alias("y"))
     both = pairs.join(one, "a").join(two, "b").withColumn("common", F.size(F.array_intersect("x", "y")))
     return both.filter(100 * F.col("common") >= percent * (F.size("x") + F.size("y") - F.col("common"))).select("a", "b")
 
@@ -182,7 +218,7 @@ def _across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     own = F.pmod(F.xxhash64("rep"), blocks).cast("int")
     tasks = F.transform(F.sequence(F.lit(0), blocks - 1), lambda k: F.struct(F.least(k, own).alias("i"), F.greatest(k, own).alias("j")))
     dealt = members.withColumn("own", own).withColumn("task", F.explode(tasks)).select("band", "task.i", "task.j", "own", "rep", "component")
-    with_sets = dealt.join(sets, dealt["rep"] == sets["doc_id"]).select("band", "i", "j", "own", "rep", "component", "set")
+    with_sets = dealt.join(sets, "rep").select("band", "i", "j", "own", "rep", "component", "set")
 
     def compare(t: pa.Table) -> pa.Table:
         rep, comp, own_ = (t.column(c).to_numpy() for c in ("rep", "component", "own"))
@@ -217,13 +253,27 @@ def _across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def without_near_duplicates(docs: DataFrame, **options) -> DataFrame:
-    """The rows of docs that stay: of each component the document with the smallest id, once."""
-    found = near_duplicates(docs, **options)
-    kept = found.filter("kept").groupBy(F.col("doc_id").alias("_id")).agg(F.count("*").alias("_n"), F.max("n_shingles").alias("_s"))
-    kept = store(kept, "kept")
-    repeats = kept.filter("_n > 1 and _s > 0").limit(1).count()
-    out = join_small(docs, kept.select("_id"), docs["doc_id"].cast("long").eqNullSafe(F.col("_id")), "left_semi", kept.count(), 4_000_000)
-    return out.dropDuplicates(["doc_id"]) if repeats else out
+    """The rows of docs that stay: one of each component, with its smallest doc_id, and all texts without words.
+
+    A doc_id that one row alone has names that row. Rows without a doc_id, or with one that others have too, are told
+    apart by the digest of their set.
+    """
+    found = store(_grouped(docs, **options), "found")
+    ids = store(found.groupBy(F.col("doc_id").alias("_id")).agg(F.count("*").alias("_n"), F.max("kept").alias("_kept")).filter("_kept"), "kept")
+    clear, shared = ids.filter("_n = 1 and _id is not null").select("_id"), ids.filter("_n > 1 or _id is null").select("_id")
+    key, most = docs["doc_id"].cast("long"), 4_000_000
+    out = join_small(docs, clear, key == F.col("_id"), "left_semi", clear.count(), most)
+    n_shared = shared.count()
+    if not n_shared:
+        return out
+    told = with_digests(join_small(docs, shared, key.eqNullSafe(F.col("_id")), "left_semi", n_shared, most), options.get("width", 5))
+    heads = found.filter("kept").select(F.col("doc_id").alias("_id"), *(F.col(c).alias(f"_k_{c}") for c in DIGEST)).distinct()
+    same = told["doc_id"].cast("long").eqNullSafe(F.col("_id"))
+    for c in DIGEST:
+        same &= told[f"_{c}"] == F.col(f"_k_{c}")
+    told = told.join(heads, same, "left_semi")
+    once = told.filter("_n_shingles > 0").dropDuplicates([f"_{c}" for c in DIGEST]).union(told.filter("_n_shingles = 0"))
+    return out.union(once.select(*(once[c] for c in docs.columns)))
 
 
 #: The rows of near_duplicates(documents, 3, 85) by counting the shingles that documents share, for tables small enough for that.

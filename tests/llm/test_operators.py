@@ -411,6 +411,17 @@ def test_near_duplicates_against_brute_force(docs, plain, width, percent):
         assert (r.n_shingles, r.component_id, r.kept) == (len(sets[r.doc_id]), want[r.doc_id], want[r.doc_id] == r.doc_id)
 
 
+def test_near_duplicates_with_null_and_shared_ids(spark):
+    a, b, c, d, e = (" ".join(f"{x}{i}" for i in range(60)) for x in "abcde")
+    rows = [(None, a), (None, b), (None, b), (7, c), (7, d), (8, d + " more"), (3, e), (9, e + " more"), (9, a + " more"), (5, ""), (5, None), (None, " ")]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = Counter((r.doc_id, r.text) for r in near_duplicates.without_near_duplicates(df).collect())
+    want = Counter([(9, a + " more"), (None, b), (7, c), (7, d), (3, e), (5, ""), (5, None), (None, " ")])
+    assert got == want
+    found = Counter((r.doc_id, r.component_id, r.kept) for r in near_duplicates.near_duplicates(df).filter("n_shingles > 0").collect())
+    assert found == Counter([(None, 9, False), (None, None, True), (None, None, True), (7, 7, True), (7, 7, True), (8, 7, False), (3, 3, True), (9, 3, False), (9, 9, True)])
+
+
 def test_bands_split_over_components_are_compared(spark):
     """Many documents that share bands with a pivot they aren't like: links among them must be found across blocks."""
     rnd = random.Random(5)
