@@ -62,12 +62,25 @@ KNOWN = [
 COPYRIGHT = r"(?m)^[^a-z0-9\n]*(copyright|\(c\)|©)[^\n]*$"
 
 
-def canonical(text: Column) -> Column:
-    """Lower case (A-Z), copyright lines out, spellings made one, everything but a-z and 0-9 made single blanks."""
+def canonical_lines(text: Column) -> Column:
+    """Lower case (A-Z), copyright lines out, spellings made one, runs of anything but a-z, 0-9 and line ends made a blank.
+
+    No step reaches over a line end, so the lines of this are those of text, each normalised by itself but for outer blanks.
+    """
     out = F.regexp_replace(F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), COPYRIGHT, " ")
     for a, b in SPELLINGS:
         out = F.replace(out, F.lit(a), F.lit(b))
-    return F.trim(F.regexp_replace(out, "[^a-z0-9]+", " "))
+    return F.regexp_replace(out, "[^a-z0-9\n]+", " ")
+
+
+def joined_lines(lines: Column) -> Column:
+    """One canonical text of canonical lines: single blanks and no line ends."""
+    return F.trim(F.regexp_replace(lines, "[ \n]+", " "))
+
+
+def canonical(text: Column) -> Column:
+    """Lower case (A-Z), copyright lines out, spellings made one, everything but a-z and 0-9 made single blanks."""
+    return joined_lines(canonical_lines(text))
 
 
 def digest(text: Column) -> Column:
@@ -89,11 +102,14 @@ def scan(docs: DataFrame, known=None) -> DataFrame:
     """
     spark = docs.sparkSession
     table = known_digests(spark, known)
+    sizes = spark.createDataFrame(list(known or KNOWN), "licence string, _text string").select(F.length(canonical(F.col("_text"))).alias("size")).filter("size > 0")
+    sizes = F.broadcast(sizes.agg(F.collect_set("size").alias("_sizes")))
     lookup = F.broadcast(table.agg(F.map_from_entries(F.collect_list(F.struct("digest", "licence"))).alias("_map")))
-    # Only lines that hold a letter or digit and are no longer than the longest known text could match: the rest skip hashing.
-    longest = 4 * max(len(t) for _, t in (known or KNOWN))
-    lines = F.filter(F.split(F.coalesce(F.col("text"), F.lit("")), "\n"), lambda x: (F.length(x) <= longest) & x.rlike("(?i)licen|released|rights reserved|permission|public|software" if known is None else "[A-Za-z0-9]"))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), digest(F.col("text")).alias("digest"), F.transform(lines, digest).alias("_lines"))
+    # A canonical line can only be a known text if it has the length of one: the rest skip hashing.
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), canonical_lines(F.col("text")).alias("_text")).join(sizes, F.lit(True), "left")
+    lines = F.transform(F.split(F.coalesce(F.col("_text"), F.lit("")), "\n"), lambda x: F.trim(x))
+    hashes = F.transform(F.filter(lines, lambda x: F.array_contains(F.col("_sizes"), F.length(x))), lambda x: F.sha2(x, 256))
+    rows = rows.select("doc_id", F.sha2(joined_lines(F.col("_text")), 256).alias("digest"), hashes.alias("_lines"))
     # The known table is joined to whole texts by hash, and to lines through the same table as a map.
     joined = rows.join(F.broadcast(table), "digest", "left").join(lookup, F.lit(True), "left")
     found = F.filter(F.transform("_lines", lambda x: F.element_at(F.col("_map"), x)), lambda x: x.isNotNull())

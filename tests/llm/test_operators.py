@@ -471,6 +471,14 @@ def test_licences(spark):
     assert got[3].digest is None and all(got[i].licences == "" for i in (3, 4, 5))
 
 
+def test_licence_lines_are_normalised_before_any_filter(spark):
+    lines = ["All  rights reserved", "All rights\treserved", "All Rights-Reserved", "All rights, reserved.", "all rights" + " " * 9000 + "reserved\r", "\u2028All * rights -- reserved"]
+    rows = [(i, f"first\n{x}\nlast") for i, x in enumerate(lines)] + [(90, "\n".join(lines)), (91, "Copyright 2020 x\r\nAll\nrights reserved"), (92, "(c) x all rights reserved\n")]
+    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(got[i].n_licence_lines == 1 and got[i].licences == "proprietary" for i in range(len(lines))) and got[90].n_licence_lines == len(lines)
+    assert got[91].n_licence_lines == 0 and got[91].whole_licence == "proprietary" and got[92].licences == ""
+
+
 def test_media_round_trip(docs, plain):
     got = media.media_roundtrip(docs).collect()
     want = Counter()
