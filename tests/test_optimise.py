@@ -184,3 +184,18 @@ def test_settings_without_anchors_and_single_cluster(aligned):
     for links, k in ((net.anchors[0, 1].limit(0), [3, 3]), (net.anchors[0, 1].limit(1), [3, 3]), (net.anchors[0, 1], [1, 1]), (net.anchors[0, 1], [80, 2])):
         got = mutual.mutual_cluster(net.with_anchors((0, 1), links), k, closenesses=S, max_iter=5)
         assert got.partition(0).count() == 61 and got.partition(0).filter(F.col("cluster").isNull()).count() == 0
+
+
+@pytest.mark.parametrize("variant", [{"how": "argmax"}, {"init": "spectral"}, {"init": "random"}])
+@pytest.mark.parametrize("engine", ["tables", "auto"])
+def test_table_engine_refuses_variants_it_lacks(spark, monkeypatch, variant, engine):
+    from types import SimpleNamespace
+
+    from mutualgraph.cluster import mutual
+
+    monkeypatch.setattr(mutual, "fits", lambda tables: False)
+    users = spark.createDataFrame([(1,)], "user_id long")
+    s = spark.createDataFrame([(1, 1, 1.0)], "src long, dst long, s double")
+    nets = SimpleNamespace(nets=[SimpleNamespace(users=users)] * 2, pairs=lambda: [], anchors={})
+    with pytest.raises(ValueError, match="table engine has"):
+        mutual.mutual_cluster(nets, [1, 1], closenesses=[s, s], engine=engine, **variant)
