@@ -16,9 +16,15 @@ _shipped: set[str] = set()
 _own_dir: dict[str, str] = {}
 _stored: list[tuple[SparkSession, str]] = []
 
+#: Bytes of rows that go to a Python worker at once, where the session leaves that open: whole texts make large rows.
+BATCH_BYTES = 4 << 20
+_BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
+
 
 def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers, wherever they run."""
+    """Make this package importable in Python workers, wherever they run, and keep the batches they get small."""
+    if spark.conf.get(_BATCH, None) is None:
+        spark.conf.set(_BATCH, str(BATCH_BYTES))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
