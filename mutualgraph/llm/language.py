@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship
-from .words import LOWER, SPACE, flatten, slices, spans
+from .words import LOWER, SPACE, flatten, released, slices, spans
 
 CELLS = 1 << 16
 
@@ -142,7 +142,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
         known = shared.value
         kinds = len(known.languages)
         for b in batches:
-            for part in slices(b, "text", 6 << 20):
+            for part in slices(b, "text"):
                 rows = part.num_rows
                 letter = part.column("_mg_letter").to_numpy(zero_copy_only=False)
                 if kinds:
@@ -169,7 +169,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
                     cols.append(pa.array([",".join(x) for x in texts], pa.string()))
                 yield pa.RecordBatch.from_arrays(cols, names=[f.name for f in part.schema][:-1] + names)
 
-    return base.mapInArrow(run, schema)
+    return base.mapInArrow(released(run), schema)
 
 
 def held_out(doc_id, parts: int = 4, part: int = 2):

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from .common import new_path, ship, store
 from .token_files import open_fs
-from .words import flatten, slices
+from .words import flatten, released, slices
 
 ROW = 64
 
@@ -138,7 +138,7 @@ def text_media(docs: DataFrame) -> DataFrame:
                 media = [encode_pgm(np.frombuffer(payload(x), np.uint8).reshape(-1, ROW)) for x in texts]
                 yield pa.RecordBatch.from_pydict({"doc_id": part.column("doc_id"), "n_bytes": pa.array(np.diff(offs)), "media": pa.array(media, pa.binary())})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(make, "doc_id long, n_bytes long, media binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(released(make), "doc_id long, n_bytes long, media binary")
 
 
 def media_features(media: DataFrame) -> DataFrame:
@@ -162,7 +162,7 @@ def media_features(media: DataFrame) -> DataFrame:
                 rows.append((key, n, len(body), hashlib.sha256(body).hexdigest(), zlib.crc32(body[-ROW:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(samples)))
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [[]] * 8, kinds, strict=True)], names=names)
 
-    return media.select("doc_id", "n_bytes", "media").mapInArrow(features, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+    return media.select("doc_id", "n_bytes", "media").mapInArrow(released(features), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
 
 
 def media_roundtrip(docs: DataFrame) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql.types import LongType, StructField, StructType
 
 from .common import join_small, ship, store
 from .components import connected_components
-from .words import mix64, shingles, slices, word_hashes
+from .words import mix64, released, shingles, slices, word_hashes
 
 SIGNATURE = 144
 _EMPTY = np.uint64((1 << 64) - 1)
@@ -108,7 +108,7 @@ def signatures(docs: DataFrame, width: int, percent: int, size: int = SIGNATURE)
                     "bands": pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(lists)]), pa.int32()), pa.array(key.reshape(-1).view(np.int64))),
                 })
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(sign, "doc_id long, n_shingles long, f1 long, f2 long, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(released(sign), "doc_id long, n_shingles long, f1 long, f2 long, bands array<long>")
 
 
 def shingle_sets(docs: DataFrame, width: int) -> DataFrame:
@@ -121,7 +121,7 @@ def shingle_sets(docs: DataFrame, width: int) -> DataFrame:
                 sets, offs = distinct_shingles(part.column("text"), width)
                 yield pa.RecordBatch.from_pydict({**_digest(sets, offs), "set": pa.ListArray.from_arrays(pa.array(offs, pa.int32()), pa.array(sets.view(np.int64)))})
 
-    return docs.select("text").mapInArrow(run, "n_shingles long, f1 long, f2 long, set array<long>")
+    return docs.select("text").mapInArrow(released(run), "n_shingles long, f1 long, f2 long, set array<long>")
 
 
 def with_digests(docs: DataFrame, width: int) -> DataFrame:
@@ -134,7 +134,7 @@ def with_digests(docs: DataFrame, width: int) -> DataFrame:
                 digest = _digest(*distinct_shingles(part.column("text"), width))
                 yield pa.RecordBatch.from_arrays([*part.columns, *digest.values()], [*part.schema.names, *(f"_{c}" for c in digest)])
 
-    return docs.mapInArrow(run, StructType([*docs.schema.fields, *(StructField(f"_{c}", LongType()) for c in DIGEST)]))
+    return docs.mapInArrow(released(run), StructType([*docs.schema.fields, *(StructField(f"_{c}", LongType()) for c in DIGEST)]))
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, size: int = SIGNATURE, small: int = 1_000_000) -> DataFrame:
@@ -249,7 +249,7 @@ def _across(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                     group[top(comp[x])] = top(comp[y])
         return pa.table({"a": pa.array([int(a) for a, _ in found], pa.int64()), "b": pa.array([int(b) for _, b in found], pa.int64())})
 
-    return with_sets.groupBy("band", "i", "j").applyInArrow(compare, "a long, b long")
+    return with_sets.groupBy("band", "i", "j").applyInArrow(released(compare), "a long, b long")
 
 
 def without_near_duplicates(docs: DataFrame, **options) -> DataFrame:

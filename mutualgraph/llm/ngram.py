@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import ship, store
-from .words import mix64, word_hashes
+from .words import mix64, released, word_hashes
 
 END, START = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 _STEP = np.uint64(0xD1342543DE82EF95)
@@ -146,7 +146,7 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
         return _table(out, ("bucket", "k", "shard", "grams", "counts"))
 
     message = "bucket int, k int, shard int, grams binary, counts binary"
-    answers = store(dealt.groupBy("bucket").applyInArrow(ask, message).repartition(shards, "shard").groupBy("shard").applyInArrow(answer, message), "ngram-counts")
+    answers = store(dealt.groupBy("bucket").applyInArrow(released(ask), message).repartition(shards, "shard").groupBy("shard").applyInArrow(released(answer), message), "ngram-counts")
     whole = [np.frombuffer(r["counts"], np.int64) for r in answers.filter("bucket = -1 and k = 1").select("counts").collect()]  # two numbers a shard
     total, kinds = (int(sum(x[i] for x in whole)) for i in (0, 1))
     learned = int(learned or 0)
@@ -185,7 +185,7 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
 
     mine = answers.filter("bucket >= 0").select("bucket", "k", "shard", "counts").repartition(buckets, "bucket")
     result = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return dealt.groupBy("bucket").cogroup(mine.groupBy("bucket")).applyInArrow(score, result)
+    return dealt.groupBy("bucket").cogroup(mine.groupBy("bucket")).applyInArrow(released(score), result)
 
 
 def _cuts(found: np.ndarray, shards: int) -> np.ndarray:

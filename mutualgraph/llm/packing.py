@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from .common import partitions_for, ship, store
 from .token_files import with_end
 from .tokenise import encoder
-from .words import slices
+from .words import released, slices
 
 
 @dataclass(frozen=True)
@@ -71,7 +71,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, size: int, end_id: int =
     def cut(batches):
         enc = encoder(tokenizer_path)
         for b in batches:
-            for part in slices(b, "text", 5 << 20):
+            for part in slices(b, "text"):
                 ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                 lengths = np.diff(offs)
                 pieces = -(-lengths // size)
@@ -93,7 +93,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, size: int, end_id: int =
                 yield pa.RecordBatch.from_pydict(cols)
 
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids array<int>" * with_ids
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(cut, schema)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(released(cut), schema)
 
 
 def pack(docs: DataFrame, tokenizer_path: str, capacity: Capacity = Capacity(), score: str = "norm", end_id: int = 0, chunk: int = 16384, with_ids: bool = False) -> DataFrame:
@@ -127,4 +127,4 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: Capacity = Capacity(),
         return t.to_batches()[0], used + (int(which.max()) + 1 if len(which) else 0)
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in stored.schema.fields) + ", sequence_id long, offset long"
-    return stored.repartition(parts).mapInArrow(fill, schema)
+    return stored.repartition(parts).mapInArrow(released(fill), schema)

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import new_path, ship, store
 from .tokenise import encoder
-from .words import slices
+from .words import released, slices
 
 MAGIC = b"MGTOK001"
 BLOCK_IDS = 1 << 21
@@ -104,7 +104,7 @@ def write_token_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id
         with fs.open_output_stream(f"{root}/{name}") as out:
             out.write(MAGIC)
             for b in batches:
-                for part in slices(b, "text", 5 << 20):
+                for part in slices(b, "text"):
                     ids, offs = with_end(*enc.encode(part.column("text")), end_id)
                     keys, i = part.column("doc_id").to_pylist(), 0
                     while i < len(keys):
@@ -119,7 +119,7 @@ def write_token_shards(docs: DataFrame, tokenizer_path: str, folder: str, end_id
             fs.delete_file(f"{root}/{name}")
 
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id", F.xxhash64("text"))
-    rows = dealt.sortWithinPartitions("doc_id", F.xxhash64("text")).select("doc_id", "text").mapInArrow(write, "shard long, path string, n_docs long, n_ids long, n_bytes long")
+    rows = dealt.sortWithinPartitions("doc_id", F.xxhash64("text")).select("doc_id", "text").mapInArrow(released(write), "shard long, path string, n_docs long, n_ids long, n_bytes long")
     return store(rows, "token-manifest")
 
 
@@ -153,7 +153,7 @@ def read_token_shards(manifest: DataFrame) -> DataFrame:
                         base += int(lengths.sum())
 
     count = max(1, manifest.count())
-    return shards.select("path", "base").repartition(count, "path").mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return shards.select("path", "base").repartition(count, "path").mapInArrow(released(read), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_shard_roundtrip(docs: DataFrame, tokenizer_path: str, folder: str | None = None, end_id: int = 0) -> DataFrame:

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from .common import join_small, ship, store
 from .components import connected_components, roots
+from .words import released
 
 #: Vectors of a block, about; two blocks are compared in one task: a few dozen MB, and each vector goes to few tasks.
 BLOCK = 8192
@@ -96,7 +97,7 @@ def _read(vectors: DataFrame, projections: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names=["vec_id", "dim", "h1", "h2", "line", "unit"])
 
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
-    return rows.mapInArrow(run, "vec_id long, dim int, h1 long, h2 long, line array<double>, unit binary")
+    return rows.mapInArrow(released(run), "vec_id long, dim int, h1 long, h2 long, line array<double>, unit binary")
 
 
 def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int = 40, cell_miss: float = 1.3e-4, axes: int | None = None, small: int = 1_000_000) -> DataFrame:
@@ -169,7 +170,7 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
             "b": pa.array(np.concatenate([degree[some], rep[q]])),
         })
 
-    found = store(dealt.groupBy("task").applyInArrow(compare, "edge boolean, a long, b long"), "links")
+    found = store(dealt.groupBy("task").applyInArrow(released(compare), "edge boolean, a long, b long"), "links")
     degree = found.filter("not edge").groupBy(F.col("a").alias("_node")).agg(F.sum("b").alias("_degree"))
     label = connected_components(found.filter("edge").select("a", "b"))
     of = classes.select("dim", "h1", "h2", "rep", "n").join(degree, F.col("rep") == F.col("_node"), "left").join(label, F.col("rep") == F.col("node"), "left")

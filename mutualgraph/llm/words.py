@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import ctypes
+import inspect
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401  used as pa.compute
@@ -15,7 +18,7 @@ LOWER[65:91] += 32
 _BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _powers = {"n": 0, "up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
-SLICE = 1 << 22
+SLICE = 1 << 18
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -127,7 +130,7 @@ def shingles(words: np.ndarray, first: np.ndarray, width: int) -> tuple[np.ndarr
     return h[keep], np.concatenate([[0], np.cumsum(sizes)])
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20):
+def slices(batch: pa.RecordBatch, column: str, most: int = 1 << 20):
     """Consecutive parts of a batch whose texts hold about `most` bytes at most; a longer text is a part of its own.
     This bounds the arrays that a task works with, whatever the batch holds."""
     text = batch.column(column)
@@ -139,3 +142,33 @@ def slices(batch: pa.RecordBatch, column: str, most: int = 3 << 20):
         j = max(i + 1, int(np.searchsorted(ends, before + most, "right")))
         yield batch.slice(i, j - i)
         i = j
+
+
+def released(run):
+    """`run`, a generator over a task's batches, or a function of a group's table or of two, that gives freed memory back
+    to the system at its end: Python workers outlive tasks, and what they keep counts while later stages run."""
+
+    def over_batches(batches):
+        try:
+            yield from run(batches)
+        finally:
+            _release()
+
+    def over_group(table):
+        out = run(table)
+        _release()
+        return out
+
+    def over_two(left, right):
+        out = run(left, right)
+        _release()
+        return out
+
+    return over_batches if inspect.isgeneratorfunction(run) else over_two if run.__code__.co_argcount == 2 else over_group
+
+
+def _release() -> None:
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
+    if trim is not None:
+        trim(0)
