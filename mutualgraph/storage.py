@@ -88,6 +88,18 @@ def _clean() -> None:
             return
 
 
+#: Bytes of rows that may be broadcast, about (a hashed copy takes a few times that on the driver and each executor).
+BROADCAST_BYTES = 24 << 20
+_WIDTHS = {"boolean": 1, "string": 48, "binary": 64}
+
+
+def row_bytes(df: DataFrame) -> int:
+    """About what a row takes: eight bytes a number, and a guess for what varies."""
+    return 16 + sum(_WIDTHS.get(kind, 128 if kind[:5] in ("array", "struc", "map<s") else 8) for _, kind in df.dtypes)
+
+
 def join_small(big: DataFrame, small: DataFrame, cond, how: str, rows: int, limit: int = 1_000_000) -> DataFrame:
-    """Broadcast `small` only when its counted rows are at most `limit`; otherwise Spark's shuffled, skew-split join."""
-    return big.join(F.broadcast(small) if rows <= limit else small.hint("merge"), cond, how)
+    """Broadcast `small` only when its counted rows are at most `limit` and take BROADCAST_BYTES at most; otherwise
+    Spark's shuffled, skew-split join."""
+    fits = rows <= limit and rows * row_bytes(small) <= BROADCAST_BYTES
+    return big.join(F.broadcast(small) if fits else small.hint("merge"), cond, how)
