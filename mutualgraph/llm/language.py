@@ -142,7 +142,7 @@ def identify(docs: DataFrame, model: Model, penalty: float = 8.0, with_spans: bo
         known = shared.value
         kinds = len(known.languages)
         for b in batches:
-            for part in slices(b, "text"):
+            for part in slices(b, "text", 3 << 20):
                 rows = part.num_rows
                 letter = part.column("_mg_letter").to_numpy(zero_copy_only=False)
                 if kinds:
