@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import store
+from .licence_texts import KNOWN
+
 # Equivalent spellings, as pairs of a pattern on lower-case text and its canonical form.
 SPELLINGS = [
     ("licence", "license"),
@@ -21,43 +24,6 @@ SPELLINGS = [
     ("https", "http"),
 ]
 
-# Licence notices and short licence texts, by SPDX id.
-KNOWN = [
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
-    ("MIT", "Released under the MIT License."),
-    ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."),
-    ("CC-BY-4.0", "Licensed under CC BY 4.0."),
-    ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
-    ("CC0-1.0", "Released under CC0 1.0."),
-    ("GPL-3.0-only", "This work is licensed under the GNU General Public License, version 3."),
-    ("GPL-2.0-only", "This work is licensed under the GNU General Public License, version 2."),
-    ("BSD-3-Clause", "Released under the BSD 3-Clause License."),
-    ("BSD-2-Clause", "Released under the BSD 2-Clause License."),
-    ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
-    ("Unlicense", "This is free and unencumbered software released into the public domain."),
-    ("proprietary", "All rights reserved."),
-    (
-        "ISC",
-        "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, "
-        "provided that the above copyright notice and this permission notice appear in all copies. "
-        'THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED '
-        "WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR "
-        "CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, "
-        "NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
-    ),
-    (
-        "MIT",
-        "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation "
-        'files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, '
-        "merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished "
-        "to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies "
-        'or substantial portions of the Software. THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, '
-        "INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT "
-        "SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT "
-        "OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
-    ),
-]
-
 #: A line that only says who holds the copyright, on lower-case text.
 COPYRIGHT = r"(?m)^[^a-z0-9\n]*(copyright|\(c\)|©)[^\n]*$"
 
@@ -88,33 +54,47 @@ def digest(text: Column) -> Column:
 
 
 def known_digests(spark, known=None) -> DataFrame:
-    """licence, digest: one row a known text; its size is that of the list, whatever the corpus."""
-    rows = spark.createDataFrame(list(known or KNOWN), "licence string, _text string")
-    return rows.select("licence", digest(F.col("_text")).alias("digest")).dropDuplicates(["digest"])
+    """licence, digest: one row a known text, the first id in order where texts are the same once normalised."""
+    rows = spark.createDataFrame(list(known if known is not None else KNOWN), "licence string, _text string")
+    rows = rows.select("licence", canonical(F.col("_text")).alias("_text")).filter("_text <> ''")
+    return rows.groupBy(F.sha2("_text", 256).alias("digest")).agg(F.min("licence").alias("licence"))
 
 
-def scan(docs: DataFrame, known=None) -> DataFrame:
+#: Known texts up to which they are broadcast, as a table and as a map; beyond, lines become rows and both joins are shuffled.
+MOST_KNOWN = 20_000
+
+
+def scan(docs: DataFrame, known=None, most_known: int = MOST_KNOWN) -> DataFrame:
     """doc_id, digest, whole_licence, n_licence_lines, licences.
 
     digest is of the whole canonical text; whole_licence its licence, or null; n_licence_lines counts lines that are
     known notices; licences are the distinct ids of both, sorted and comma-joined. Null text: null digest, no licence.
-    Text with nothing left after normalisation matches nothing. Repeated rows each give a row; other columns are ignored.
+    Text with nothing left after normalisation matches nothing. Repeated rows each give a row; null doc_ids stay null;
+    other columns are ignored, whatever their names; an empty table gives an empty one. Texts of any length are read whole.
     """
     spark = docs.sparkSession
+    known = list(known if known is not None else KNOWN)
     table = known_digests(spark, known)
-    sizes = spark.createDataFrame(list(known or KNOWN), "licence string, _text string").select(F.length(canonical(F.col("_text"))).alias("size")).filter("size > 0")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), canonical_lines(F.col("text")).alias("_text"))
+    lines = F.transform(F.split(F.coalesce(F.col("_text"), F.lit("")), "\n"), lambda x: F.trim(x))
+    if len(known) > most_known:
+        return _scan_joined(rows.withColumn("_lines", lines), table)
+    sizes = spark.createDataFrame(known or [("", "")], "licence string, _text string").select(F.length(canonical(F.col("_text"))).alias("size")).filter("size > 0")
     sizes = F.broadcast(sizes.agg(F.collect_set("size").alias("_sizes")))
     lookup = F.broadcast(table.agg(F.map_from_entries(F.collect_list(F.struct("digest", "licence"))).alias("_map")))
     # A canonical line can only be a known text if it has the length of one: the rest skip hashing.
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), canonical_lines(F.col("text")).alias("_text")).join(sizes, F.lit(True), "left")
-    lines = F.transform(F.split(F.coalesce(F.col("_text"), F.lit("")), "\n"), lambda x: F.trim(x))
+    rows = rows.join(sizes, F.lit(True), "left")
     hashes = F.transform(F.filter(lines, lambda x: F.array_contains(F.col("_sizes"), F.length(x))), lambda x: F.sha2(x, 256))
     rows = rows.select("doc_id", F.sha2(joined_lines(F.col("_text")), 256).alias("digest"), hashes.alias("_lines"))
     # The known table is joined to whole texts by hash, and to lines through the same table as a map.
     joined = rows.join(F.broadcast(table), "digest", "left").join(lookup, F.lit(True), "left")
-    found = F.filter(F.transform("_lines", lambda x: F.element_at(F.col("_map"), x)), lambda x: x.isNotNull())
+    return _described(joined.withColumn("_found", F.filter(F.transform("_lines", lambda x: F.element_at(F.col("_map"), x)), lambda x: x.isNotNull())))
+
+
+def _described(rows: DataFrame) -> DataFrame:
+    """scan()'s columns of doc_id, digest, licence (of the whole text) and _found (of each known line)."""
     whole = F.when(F.col("licence").isNotNull(), F.array("licence")).otherwise(F.array().cast("array<string>"))
-    return joined.withColumn("_found", found).select(
+    return rows.select(
         "doc_id",
         "digest",
         F.col("licence").alias("whole_licence"),
@@ -123,6 +103,17 @@ def scan(docs: DataFrame, known=None) -> DataFrame:
     )
 
 
+def _scan_joined(rows: DataFrame, table: DataFrame) -> DataFrame:
+    """The same by shuffled hash joins, for any number of known texts. Only distinct digests of lines meet the table."""
+    rows = rows.select(F.monotonically_increasing_id().alias("_row"), "doc_id", F.sha2(joined_lines(F.col("_text")), 256).alias("digest"), F.transform(F.filter("_lines", lambda x: x != ""), lambda x: F.sha2(x, 256)).alias("_lines"))
+    rows = store(rows, "licence-lines")
+    lines = rows.select("_row", F.explode("_lines").alias("digest")).groupBy("_row", "digest").agg(F.count("*").alias("n"))
+    hits = lines.join(table, "digest").select("_row", F.explode(F.array_repeat("licence", F.col("n").cast("int"))).alias("_hit"))
+    hits = hits.groupBy("_row").agg(F.collect_list("_hit").alias("_found"))
+    out = rows.join(table, "digest", "left").join(hits, "_row", "left")
+    return _described(out.withColumn("_found", F.coalesce("_found", F.array().cast("array<string>"))))
+
+
 def _sql_canonical(x: str) -> str:
     out = f"regexp_replace(translate({x}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{COPYRIGHT}', ' ', 'g')"
     for a, b in SPELLINGS:
@@ -137,11 +128,11 @@ def _values() -> str:
 ORACLE = f"""
 WITH known AS (SELECT sha256({_sql_canonical('t')}) AS digest, min(licence) AS licence FROM (VALUES {_values()}) v(licence, t) GROUP BY 1),
 docs AS (SELECT row_number() OVER () AS r, doc_id, text, sha256({_sql_canonical('text')}) AS digest FROM documents),
-lines AS (SELECT r, sha256({_sql_canonical('line')}) AS digest FROM (SELECT r, unnest(string_split(text, chr(10))) AS line FROM docs) WHERE regexp_matches(line, '(?i)licen|released|rights reserved|permission|public|software')),
+lines AS (SELECT r, sha256({_sql_canonical('line')}) AS digest FROM (SELECT r, unnest(string_split(text, chr(10))) AS line FROM docs)),
 hits AS (SELECT r, licence FROM lines JOIN known USING (digest)),
-both_ AS (SELECT r, licence FROM hits UNION SELECT r, licence FROM docs JOIN known USING (digest))
-SELECT doc_id, d.digest, k.licence AS whole_licence,
-  (SELECT count(*) FROM hits h WHERE h.r = d.r) AS n_licence_lines,
-  coalesce((SELECT string_agg(licence, ',' ORDER BY licence) FROM both_ b WHERE b.r = d.r), '') AS licences
-FROM docs d LEFT JOIN known k USING (digest)
+both_ AS (SELECT r, licence FROM hits UNION SELECT r, licence FROM docs JOIN known USING (digest)),
+lined AS (SELECT r, count(*) AS n FROM hits GROUP BY r),
+named AS (SELECT r, string_agg(licence, ',' ORDER BY licence) AS ids FROM both_ GROUP BY r)
+SELECT doc_id, d.digest, k.licence AS whole_licence, coalesce(n, 0) AS n_licence_lines, coalesce(ids, '') AS licences
+FROM docs d LEFT JOIN known k USING (digest) LEFT JOIN lined USING (r) LEFT JOIN named USING (r)
 """

@@ -479,12 +479,48 @@ def test_components_of_chains(spark):
     assert all(got[i] == 100 for i in range(100, 301)) and got[900] == got[7] == got[5] == 5 and got[2050] == 2000
 
 
-def test_licences(spark):
+def plain_canonical(t):
+    t = lower(t)
+    t = "\n".join(" " if re.match(r"[^a-z0-9\n]*(copyright|\(c\)|©)", x) else x for x in t.split("\n"))
+    for a, b in licences.SPELLINGS:
+        t = t.replace(a, b)
+    return re.sub("[^a-z0-9]+", " ", t).strip()
+
+
+@pytest.mark.parametrize("most_known", [licences.MOST_KNOWN, 0])
+def test_licences_against_brute_force(spark, docs, most_known):
+    rnd = random.Random(4)
+    british = [("license", "licence"), ("License", "Licence"), ("acknowledgment", "acknowledgement"), ("organization", "organisation"), ("authorization", "authorisation"), ("and", "&")]
+    rows = [(i, r.text) for i, r in enumerate(docs.select("text").collect())]
+    for licence, text in licences.KNOWN:
+        for style in range(3):
+            t = text.upper() if style == 1 else text
+            if style == 2:
+                for a, b in british[:3]:
+                    t = t.replace(a, b)
+            t = re.sub(" ", lambda m: rnd.choice([" ", "  ", "\t", " - "]) if style else " ", t)
+            rows.append((len(rows), f"Copyright 20{style}0 the holder\n{t}\n"))
+            rows.append((len(rows), f"words before\n{t}\nand after\n{t}"))
+    rows.append((len(rows), "x " * 1_500_000 + "\nAll rights reserved."))
+    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string"), most_known=most_known).collect()}
+    known = {}
+    for licence, text in sorted(licences.KNOWN, reverse=True):
+        known[plain_canonical(text)] = licence
+    assert len(got) == len(rows) and len({i for i, _ in licences.KNOWN if len(_) > 150}) >= 15
+    for i, t in rows:
+        whole = known.get(plain_canonical(t)) if t is not None else None
+        lines = [known[c] for c in map(plain_canonical, (t or "").split("\n")) if c in known]
+        assert (got[i].whole_licence, got[i].n_licence_lines, got[i].licences) == (whole, len(lines), ",".join(sorted({*lines, *([whole] if whole else [])}))), t[:200]
+    assert sum(r.whole_licence is not None for r in got.values()) == 3 * len(licences.KNOWN)
+
+
+def test_licences_edges(spark, docs):
     mit = next(t for i, t in licences.KNOWN if i == "MIT" and len(t) > 100)
-    rows = [(1, "Copyright (c) 2020 Somebody\n" + mit.upper().replace(",", " ,").replace(".", ".\n")), (2, "text\nReleased under the MIT licence!\nmore\nLicensed under CC BY 4.0"), (3, None), (4, "***"), (5, "nothing")]
-    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    rows = [(1, "Copyright (c) 2020 Somebody\n" + mit.upper().replace(",", " ,").replace(".", ".\n")), (2, "text\nReleased under the MIT licence!\nmore\nLicensed under CC BY 4.0"), (3, None), (4, "***"), (5, "nothing"), (2, "same id")]
+    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows[:5], "doc_id long, text string")).collect()}
     assert got[1].whole_licence == "MIT" and got[2].whole_licence is None and got[2].licences == "CC-BY-4.0,MIT" and got[2].n_licence_lines == 2
     assert got[3].digest is None and all(got[i].licences == "" for i in (3, 4, 5))
+    assert licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).count() == 6 and licences.scan(docs, known=[]).count() == docs.count()
 
 
 def test_licence_lines_are_normalised_before_any_filter(spark):
