@@ -111,6 +111,38 @@ def test_mixing_fills_targets(docs, plain):
     assert sorted(map(str, got)) == sorted(map(str, mixing.mix(docs).collect()))
 
 
+@pytest.mark.parametrize("worth", [None, 0.02, 50.0])
+def test_mixing_takes_what_a_plain_sort_takes(spark, monkeypatch, worth):
+    """The line found by rounds is that of sorting all keys of a source, at any scale of quality, ids repeated or null."""
+    monkeypatch.setattr(mixing, "EDGE_ROWS", 3)
+    rnd = random.Random(9)
+    rows = [(rnd.choice([None, *range(300)]), "w " * rnd.randint(0, 30) + str(rnd.randint(0, 3)), rnd.choice(["a", "b", None])) for _ in range(2000)]
+    df = spark.createDataFrame(rows + rows[:40] * 5, "doc_id long, text string, source string")
+    options = {"weights": (1, 2), "share": 0.7, "quality": None if worth is None else F.lit(worth)}
+    got = Counter((r.source, r.doc_id, r["size"], r.taken) for r in mixing.mix(df, **options).collect())
+    narrow, _ = mixing._narrow(*mixing._needed(df, options["quality"]), 20240501)
+    target = {r.source: r.target for r in mixing.mix(df, **options).collect()}
+    least = -(1 << 63)
+    want = Counter()
+    for source, goal in target.items():
+        mine = sorted((r for r in narrow.collect() if r["_src"] == source), key=lambda r: (r["_key"], least if r["_id"] is None else r["_id"], r["_size"], r["_hash"], r["_worth"], r["_rank"]))
+        total = sum(r["_size"] for r in mine)
+        rest, sofar, epochs = goal - goal // total * total, 0, goal // total
+        taken = [i for i, r in enumerate(mine) if (sofar := sofar + r["_size"]) - r["_size"] / 2 <= rest and sofar - r["_size"] < rest]
+        for i, r in enumerate(mine):
+            want[source, r["_id"], r["_size"], r["_size"] * (epochs + (i <= max(taken)))] += 1
+    assert got == want
+
+
+def test_mixing_rows_of_one_id_have_fates_of_their_own(spark):
+    rows = [(7, "w " * 10, "a")] * 400 + [(i, "w " * 10, "a") for i in range(8, 100)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    got = mixing.mix(df, weights=(1,), share=0.5)
+    assert abs(got.agg(F.sum("taken")).first()[0] - 2460) <= 5
+    assert mixing.mixed_documents(df, weights=(1,), share=0.5).count() == 246
+    assert mixing.mixed_documents(df, weights=(1,), share=1.5).filter("doc_id = 7").count() == got.select(F.sum("epochs")).first()[0] + 400 - got.filter("doc_id <> 7").agg(F.sum("epochs")).first()[0]
+
+
 def test_mixing_prefers_quality(spark):
     rows = spark.createDataFrame([(i, "w " * 10, "a", i % 2) for i in range(2000)], "doc_id long, text string, source string, good int")
     got = mixing.mix(rows, weights=(1,), share=0.3, quality=F.when(F.col("good") == 1, 4.0).otherwise(1.0)).filter("taken > 0")
