@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import io
+import uuid
 import zlib
 
 import numpy as np
@@ -94,31 +95,39 @@ def grey(samples: np.ndarray) -> np.ndarray:
     return samples if samples.ndim == 2 else samples.astype(np.float64) @ np.array([0.299, 0.587, 0.114])
 
 
-def area_resize(samples: np.ndarray, height: int, width: int) -> np.ndarray:
-    """Mean over each target cell's area, with parts of samples at its edges, from one integral image."""
-    total = np.zeros((samples.shape[0] + 1, samples.shape[1] + 1))
-    np.cumsum(np.cumsum(samples, axis=0, dtype=np.float64), axis=1, out=total[1:, 1:])
-    ys, xs = np.linspace(0, samples.shape[0], height + 1), np.linspace(0, samples.shape[1], width + 1)
+#: Samples of an image that are summed at once.
+STRIP = 1 << 18
 
-    def along(a, at, axis):
-        lo = np.minimum(at.astype(np.int64), a.shape[axis] - 2)
-        part = (at - lo).reshape((-1, 1) if axis == 0 else (1, -1))
-        return np.take(a, lo, axis) * (1 - part) + np.take(a, lo + 1, axis) * part
 
-    edge = along(along(total, ys, 0), xs, 1)
-    return np.diff(np.diff(edge, axis=0), axis=1) / ((samples.shape[0] / height) * (samples.shape[1] / width))
+def area_resize(samples: np.ndarray, height: int, width: int) -> np.ndarray:
+    """Mean over each target cell's area, with parts of samples at its edges, from an integral image. Of that only the
+    rows at cell edges are kept: strips of rows are summed on top of what lies above them, so memory doesn't grow with the image."""
+    rows, columns = samples.shape[:2]
+    ys, xs = np.linspace(0, rows, height + 1), np.linspace(0, columns, width + 1)
+    whole = np.minimum(ys.astype(np.int64), rows - 1)
+    above, edge = np.zeros(columns), np.empty((height + 1, columns))
+    step = max(1, STRIP // columns)
+    for lo in range(0, rows, step):
+        strip = np.cumsum(grey(samples[lo : lo + step]), axis=0, dtype=np.float64)
+        for k in np.flatnonzero((whole >= lo) & (whole < lo + len(strip))):
+            at = whole[k] - lo
+            before = strip[at - 1] if at else 0.0
+            edge[k] = above + before + (strip[at] - before) * (ys[k] - whole[k])
+        above = above + strip[-1]
+    total = np.concatenate([np.zeros((height + 1, 1)), np.cumsum(edge, axis=1)], axis=1)
+    lo = np.minimum(xs.astype(np.int64), columns - 1)
+    total = total[:, lo] * (1 - (xs - lo)) + total[:, lo + 1] * (xs - lo)
+    return np.diff(np.diff(total, axis=0), axis=1) / ((rows / height) * (columns / width))
 
 
 def difference_hash(samples: np.ndarray, size: int = 8) -> str:
     """Hex of whether each cell is darker than its right neighbour, after resizing to size x (size + 1)."""
-    small = area_resize(grey(samples), size, size + 1)
+    small = area_resize(samples, size, size + 1)
     return np.packbits(small[:, 1:] > small[:, :-1] + 1e-9).tobytes().hex()
 
 
-def npy_tile(samples: np.ndarray, side: int = 16) -> bytes:
-    out = io.BytesIO()
-    np.save(out, np.clip(np.rint(area_resize(grey(samples), side, side)), 0, 255).astype(np.uint8))
-    return out.getvalue()
+def tile(samples: np.ndarray, side: int = 16) -> np.ndarray:
+    return np.clip(np.rint(area_resize(samples, side, side)), 0, 255).astype(np.uint8)
 
 
 def payload(text: bytes) -> bytes:
@@ -126,77 +135,114 @@ def payload(text: bytes) -> bytes:
     return text + bytes(-len(text) % ROW if text else ROW)
 
 
+#: How texts are stored: an image of n rows takes the (n mod 2)-th.
+FORMATS = (encode_pgm, encode_bmp)
+#: Tiles of a file, at most.
+TILES = 4096
+_UNREADABLE = (ValueError, TypeError, IndexError)
+
+
 def text_media(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes and media: each text's payload as an 8-bit grey image of ROW columns in raw PGM. Null is empty."""
+    """doc_id, n_bytes and media: each text's payload as an 8-bit grey image of ROW columns, in raw PGM if its rows are
+    even in number and in BMP if odd. Null text is empty; repeated rows each give a row; null doc_ids stay null; an empty
+    table gives an empty one; other columns, whatever their names, are ignored."""
     ship(docs.sparkSession)
 
     def make(batches):
         for b in batches:
             for part in slices(b, "text"):
                 raw, offs = flatten(part.column("text"))
-                texts = [raw[i:j].tobytes() for i, j in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-                media = [encode_pgm(np.frombuffer(payload(x), np.uint8).reshape(-1, ROW)) for x in texts]
+                grids = [np.frombuffer(payload(raw[i:j].tobytes()), np.uint8).reshape(-1, ROW) for i, j in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+                media = [FORMATS[len(x) % 2](x) for x in grids]
                 yield pa.RecordBatch.from_pydict({"doc_id": part.column("doc_id"), "n_bytes": pa.array(np.diff(offs)), "media": pa.array(media, pa.binary())})
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(released(make), "doc_id long, n_bytes long, media binary")
 
 
-def media_features(media: DataFrame) -> DataFrame:
-    """From stored media (doc_id, n_bytes, media): digests of the decoded samples and of the stored form, and the
-    difference hash. Media that can't be decoded give nulls; null media too."""
-    ship(media.sparkSession)
-    names = ("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string())
-
-    def features(batches):
-        for b in batches:
-            rows = []
-            for key, n, data in zip(b.column("doc_id").to_pylist(), b.column("n_bytes").to_pylist(), b.column("media"), strict=True):
-                data = data.as_py()
-                try:
-                    samples = decode_image(data)
-                except (ValueError, TypeError, IndexError):
-                    rows.append((key, n, None, None, None, data and len(data), data and hashlib.sha256(data).hexdigest(), None))
-                    continue
-                body = samples.tobytes()
-                rows.append((key, n, len(body), hashlib.sha256(body).hexdigest(), zlib.crc32(body[-ROW:]), len(data), hashlib.sha256(data).hexdigest(), difference_hash(samples)))
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True) if rows else [[]] * 8, kinds, strict=True)], names=names)
-
-    return media.select("doc_id", "n_bytes", "media").mapInArrow(released(features), "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string")
+_DESCRIBED = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+_INDEX = _DESCRIBED + ", path string, row long"
 
 
-def media_roundtrip(docs: DataFrame) -> DataFrame:
-    """Store every text as an image, read the stored images back, and describe them."""
-    return media_features(store(text_media(docs), "media"))
+def described(data: bytes | None, side: int) -> tuple[tuple, np.ndarray | None]:
+    """payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, feature of stored media, and its tile. What
+    can't be decoded has a digest of the stored form alone; null media have nothing."""
+    stored = (None, None) if data is None else (len(data), hashlib.sha256(data).hexdigest())
+    try:
+        samples = decode_image(data)
+        body = np.ascontiguousarray(samples)
+        return (body.nbytes, hashlib.sha256(body).hexdigest(), zlib.crc32(body.reshape(-1).view(np.uint8)[-ROW:]), *stored, difference_hash(samples)), tile(samples, side)
+    except _UNREADABLE:
+        return (None, None, None, *stored, None), None
 
 
 def write_tiles(media: DataFrame, folder: str | None = None, side: int = 16) -> DataFrame:
-    """Write one NPY file a task, of stacked side x side tiles; returns path, row (in the file), doc_id and feature."""
+    """From stored media (doc_id, n_bytes, media): digests of the decoded samples and of the stored form, the difference
+    hash, and the path of an NPY file of stacked side x side tiles and the tile's row there. Stored; a row for each row.
+
+    Files hold TILES tiles at most, written as they fill. Media that can't be decoded, and null media, keep their row with
+    null path, row and feature. Repeated rows have a tile each; an empty table writes nothing; other columns are ignored.
+    """
     spark = media.sparkSession
     ship(spark)
     folder = folder or new_path(spark, "tiles")
+    names = [c.split()[0] for c in _INDEX.split(", ")]
+    kinds = [pa.int64() if c.endswith("long") else pa.string() for c in _INDEX.split(", ")]
 
     def write(batches):
-        import uuid
+        rows, tiles = [], []
+
+        def flush():
+            path = None
+            if tiles:
+                fs, root = open_fs(folder)
+                fs.create_dir(root, recursive=True)
+                name = f"tiles-{uuid.uuid4().hex}.npy"
+                out = io.BytesIO()
+                np.save(out, np.stack(tiles))
+                with fs.open_output_stream(f"{root}/{name}") as f:
+                    f.write(out.getvalue())
+                path = f"{folder}/{name}"
+            whole = [(*told, None if row is None else path, row) for *told, row in rows]
+            out = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*whole, strict=True), kinds, strict=True)], names=names)
+            rows.clear()
+            tiles.clear()
+            return out
+
+        for b in batches:
+            for key, n, data in zip(b.column("doc_id").to_pylist(), b.column("n_bytes").to_pylist(), b.column("media"), strict=True):
+                told, small = described(data.as_py(), side)
+                rows.append((key, n, *told, None if small is None else len(tiles)))
+                if small is not None:
+                    tiles.append(small)
+                if len(rows) == TILES:
+                    yield flush()
+        if rows:
+            yield flush()
+
+    return store(media.select("doc_id", "n_bytes", "media").mapInArrow(released(write), _INDEX), "tile-index")
+
+
+def read_tiles(index: DataFrame) -> DataFrame:
+    """index, as write_tiles gives it, with tile_crc32 in place of path and row: of the tile's bytes as read from its file;
+    null where there is no tile. A file is read once for the rows of it that stand together."""
+    ship(index.sparkSession)
 
-        keys, tiles, hashes = [], [], []
+    def read(batches):
+        held, stack = None, None
         for b in batches:
-            for key, data in zip(b.column("doc_id").to_pylist(), b.column("media").to_pylist(), strict=True):
-                try:
-                    samples = decode_image(data)
-                except (ValueError, TypeError, IndexError):
-                    continue
-                keys.append(key)
-                tiles.append(np.load(io.BytesIO(npy_tile(samples, side))))
-                hashes.append(difference_hash(samples))
-        if tiles:
-            fs, root = open_fs(folder)
-            fs.create_dir(root, recursive=True)
-            name = f"tiles-{uuid.uuid4().hex}.npy"
-            out = io.BytesIO()
-            np.save(out, np.stack(tiles))
-            with fs.open_output_stream(f"{root}/{name}") as f:
-                f.write(out.getvalue())
-            yield pa.RecordBatch.from_pydict({"path": [f"{folder}/{name}"] * len(keys), "row": pa.array(range(len(keys)), pa.int64()), "doc_id": pa.array(keys, pa.int64()), "feature": hashes})
-
-    return store(media.select("doc_id", "media").mapInArrow(write, "path string, row long, doc_id long, feature string"), "tile-index")
+            crc = []
+            for path, row in zip(b.column("path").to_pylist(), b.column("row").to_pylist(), strict=True):
+                if path is not None and path != held:
+                    fs, name = open_fs(path)
+                    with fs.open_input_stream(name) as f:
+                        stack, held = np.load(io.BytesIO(f.read())), path
+                crc.append(None if path is None else zlib.crc32(np.ascontiguousarray(stack[row])))
+            yield pa.RecordBatch.from_arrays([*b.columns[:-2], pa.array(crc, pa.int64())], names=[*b.schema.names[:-2], "tile_crc32"])
+
+    return index.mapInArrow(released(read), _DESCRIBED + ", tile_crc32 long")
+
+
+def media_roundtrip(docs: DataFrame, folder: str | None = None, side: int = 16) -> DataFrame:
+    """Store every text as an image, read the stored images back, describe them, write their NPY tiles and read those
+    back. Rows as text_media() has them."""
+    return read_tiles(write_tiles(store(text_media(docs), "media"), folder, side))

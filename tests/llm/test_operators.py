@@ -563,15 +563,26 @@ def test_licence_lines_are_normalised_before_any_filter(spark):
     assert got[91].n_licence_lines == 0 and got[91].whole_licence == "proprietary" and got[92].licences == ""
 
 
+def plain_resize(g, height, width):
+    fine = np.repeat(np.repeat(g.astype(float), height, 0), width, 1)
+    return fine.reshape(height, len(g), width, g.shape[1]).mean((1, 3))
+
+
 def test_media_round_trip(docs, plain):
     got = media.media_roundtrip(docs).collect()
     want = Counter()
     for i, t in plain:
         raw = t.encode()
         p = raw + bytes(-len(raw) % 64 if raw else 64)
-        stored = b"P5\n64 %d\n255\n" % (len(p) // 64) + p
-        want[i, len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]), len(stored), hashlib.sha256(stored).hexdigest()] += 1
-    assert Counter(tuple(r)[:7] for r in got) == want and all(len(r.feature) == 16 for r in got)
+        grid = np.frombuffer(p, np.uint8).reshape(-1, 64)
+        if len(grid) > 400:
+            continue
+        stored = b"P5\n64 %d\n255\n" % len(grid) + p if len(grid) % 2 == 0 else media.encode_bmp(grid)
+        small = plain_resize(grid, 8, 9)
+        bits = "".join("1" if x else "0" for x in (small[:, 1:] > small[:, :-1] + 1e-9).ravel())
+        tile = np.clip(np.rint(plain_resize(grid, 16, 16).round(9)), 0, 255).astype(np.uint8)
+        want[i, len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]), len(stored), hashlib.sha256(stored).hexdigest(), f"{int(bits, 2):016x}", zlib.crc32(tile)] += 1
+    assert len(got) == len(plain) and Counter(tuple(r) for r in got if r.payload_bytes <= 400 * 64) == want
 
 
 def test_image_formats():
@@ -589,18 +600,26 @@ def test_image_formats():
         media.decode_image(b"GIF89a")
 
 
-def test_area_resize_against_brute_force():
+def test_area_resize_against_brute_force(monkeypatch):
     g = np.random.default_rng(0).integers(0, 256, (6, 9)).astype(float)
-    fine = np.repeat(np.repeat(g, 4, 0), 5, 1)
-    assert np.allclose(media.area_resize(g, 4, 5), fine.reshape(4, 6, 5, 9).mean((1, 3)))
-    assert np.allclose(media.area_resize(g, 6, 9), g)
-
-
-def test_tiles(docs):
-    index = media.write_tiles(media.text_media(docs)).collect()
-    assert len(index) == docs.count()
-    tile = np.load(index[0].path.removeprefix("file://"))[index[0].row]
-    assert tile.shape == (16, 16) and tile.dtype == np.uint8
+    for strip in (1, 20, 1 << 18):
+        monkeypatch.setattr(media, "STRIP", strip)
+        assert np.allclose(media.area_resize(g, 4, 5), plain_resize(g, 4, 5)) and np.allclose(media.area_resize(g, 6, 9), g)
+        assert np.allclose(media.area_resize(g, 13, 20), plain_resize(g, 13, 20)) and np.allclose(media.area_resize(g[:1], 3, 2), plain_resize(g[:1], 3, 2))
+
+
+def test_tiles_keep_every_row(spark, docs, monkeypatch):
+    monkeypatch.setattr(media, "TILES", 7)
+    images = media.text_media(docs)
+    bad = spark.createDataFrame([(1, 3, b"GIF89a"), (2, None, None), (3, 1, b"P5\n9 9\n255\nx"), (4, 1, b"BM")], "doc_id long, n_bytes long, media binary")
+    index = media.write_tiles(images.union(bad))
+    rows = index.collect()
+    assert len(rows) == docs.count() + 4 and sum(r.path is None and r.row is None and r.feature is None for r in rows) == 4
+    assert len({(r.path, r.row) for r in rows}) == docs.count() + 1 and max(r.row or 0 for r in rows) < 7
+    one = next(r for r in rows if r.path)
+    got = np.load(one.path.removeprefix("file://"))[one.row]
+    assert got.shape == (16, 16) and got.dtype == np.uint8
+    assert sum(r.tile_crc32 is None for r in media.read_tiles(index).collect()) == 4
 
 
 def test_empty_tables(spark, empty):
