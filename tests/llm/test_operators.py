@@ -384,6 +384,75 @@ def test_language_on_held_out_rows(spark, small):
     assert np.mean([r.lang == r.lang_pred for r in got]) > 0.97 and all(0 <= r.score <= 1 for r in got)
 
 
+def test_language_predictions_against_brute_force(spark, tiny):
+    """Every prediction and score, from counts to Viterbi, in plain Python."""
+    d = spark.read.parquet(f"{tiny}/documents.parquet").collect()
+    train = [r for r in d if zlib.crc32(str(r.doc_id).encode()) % 4 != 2 and r.lang is not None and r.text is not None]
+    langs = sorted({r.lang for r in train})
+
+    def windows(t):
+        b = bytes(32 if c in b" \t\n\v\f\r" else c + 32 if 65 <= c <= 90 else c for c in t.encode())
+        p = b"  " + b
+        return [((p[i + 2] * 0x9E3779B1 ^ p[i + 1] * 0x85EBCA77 ^ p[i] * 0xC2B2AE3D) & 0xFFFFFFFF) >> 16 for i in range(len(b))]
+
+    def script(c):
+        return next((s for s, lo, hi in language.SCRIPT_RANGES if lo <= ord(c) <= hi), "none" if ord(c) < 0xC0 or ord(c) in (0xD7, 0xF7) else "other")
+
+    seen, letters = {k: Counter() for k in langs}, {k: Counter() for k in langs}
+    for r in train:
+        seen[r.lang].update(windows(r.text))
+        letters[r.lang].update(s for s in map(script, r.text) if s != "none")
+    size = {k: sum(seen[k].values()) + 0.5 * 65536 for k in langs}
+    logs = {c: [math.log((seen[k][c] + 0.5) / size[k]) for k in langs] for c in set().union(*seen.values())}
+    none = [math.log(0.5 / size[k]) for k in langs]
+    got = {r.doc_id: r for r in queries.op6_language_spans(spark, tiny).collect()}
+    sample = [r for r in d if r.text and len(r.text) < 6000][:120]
+    for r in sample:
+        words, at = list(WORDS.finditer(r.text)), windows(r.text)
+        place = [len(r.text[: m.start()].encode()) for m in words] + [len(at)]
+        value, back, weight = [0.0] * len(langs), [], []
+        for i, m in enumerate(words):
+            in_word = Counter(s for s in map(script, m[0]) if s != "none")
+            weight.append(sum(in_word.values()))
+            gain = [0.0] * len(langs)
+            if in_word:
+                for c in at[place[i] : place[i + 1]]:
+                    row = logs.get(c, none)
+                    mean = sum(row) / len(langs)
+                    gain = [g + x - mean for g, x in zip(gain, row, strict=True)]
+                main = max(in_word, key=lambda s: (in_word[s], -language.SCRIPTS.index(s)))
+                may = [letters[k][main] / max(sum(letters[k].values()), 1) >= 0.01 for k in langs]
+                gain = [g if ok or not any(may) else -1e3 for g, ok in zip(gain, may, strict=True)]
+            best = max(range(len(langs)), key=lambda k: (value[k], -k))
+            step = [k if i == 0 or value[k] >= value[best] - 8.0 else best for k in range(len(langs))]
+            value = [(value[k] if step[k] == k else value[best] - 8.0) + gain[k] for k in range(len(langs))]
+            back.append(step)
+        votes, now = [0] * len(langs), max(range(len(langs)), key=lambda k: (value[k], -k))
+        for i in range(len(words) - 1, -1, -1):
+            votes[now] += weight[i]
+            now = back[i][now]
+        if not any(c.isalpha() for c in r.text):
+            assert (got[r.doc_id].lang_pred, got[r.doc_id].score) == ("und", 0)
+        else:
+            assert got[r.doc_id].lang_pred == langs[votes.index(max(votes))] and got[r.doc_id].score == pytest.approx(max(votes) / sum(votes))
+
+
+def test_scripts_of_code_points():
+    text = "aß ếạ Ж ω א ع अ ก ქ 한 か 漢 ሀ Ꭰ \u2014 ! 7 \U0001f600 \U00020000 \ua500"
+    raw = np.frombuffer(text.encode(), np.uint8)
+    names = [*language.SCRIPTS, "none"]
+    at = np.flatnonzero((raw & 0xC0) != 0x80)
+    got = [names[k] for k in language.scripts_of(raw)[at]]
+    want = "latin latin none latin latin none cyrillic none greek none hebrew none arabic none devanagari none thai none georgian none hangul none kana none han none ethiopic none cherokee none none none none none none none none none han none other"
+    assert got == want.split() and (np.delete(language.scripts_of(raw), at) == language.NO_SCRIPT).all()
+
+
+def test_too_many_languages_are_an_error(spark):
+    rows = spark.createDataFrame([(i, "text", f"l{i}") for i in range(9)], "doc_id long, text string, lang string")
+    with pytest.raises(ValueError, match="languages"):
+        language.fit(rows, most_languages=8)
+
+
 def test_language_spans_and_odd_rows(spark, docs, empty):
     rng = random.Random(1)
     make = lambda alphabet, n: " ".join("".join(rng.choice(alphabet) for _ in range(rng.randint(3, 8))) for _ in range(n))
