@@ -114,7 +114,7 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
     size, learned = rows.agg(F.sum(F.octet_length("text")), F.sum((~F.col("held_out")).cast("long"))).first()
     buckets = max(1, -(-(size or 0) // bucket_bytes))
     shards = buckets
-    dealt = rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id", F.xxhash64("text")), F.lit(buckets)).cast("int")).repartition(buckets, "bucket")
+    dealt = rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id", F.xxhash64("text")), F.lit(buckets)).cast("int")).repartitionById(buckets, "bucket")
 
     def ask(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
@@ -128,7 +128,7 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
             cut = _cuts(found, shards)
             for s in np.flatnonzero(np.diff(cut)).tolist():
                 out.append((bucket, k, s, found[cut[s] : cut[s + 1]].tobytes(), _thin(count[cut[s] : cut[s + 1]])))
-        return _table(out, ("bucket", "k", "shard", "grams", "counts"))
+        return _table(out)
 
     def answer(table: pa.Table) -> pa.Table:
         out, shard = [], table.column("shard")[0].as_py()
@@ -142,13 +142,14 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
             for bucket, x in zip(part.column("bucket").to_pylist(), asked, strict=True):
                 out.append((bucket, k, shard, b"", _thin(total[place[at : at + len(x)]])))
                 at += len(x)
-            out.append((-1, k, shard, b"", np.array([total.sum(), (total > 0).sum()], np.int64).tobytes()))
-        return _table(out, ("bucket", "k", "shard", "grams", "counts"))
-
-    message = "bucket int, k int, shard int, grams binary, counts binary"
-    answers = store(dealt.groupBy("bucket").applyInArrow(released(ask), message).repartition(shards, "shard").groupBy("shard").applyInArrow(released(answer), message), "ngram-counts")
-    whole = [np.frombuffer(r["counts"], np.int64) for r in answers.filter("bucket = -1 and k = 1").select("counts").collect()]  # two numbers a shard
-    total, kinds = (int(sum(x[i] for x in whole)) for i in (0, 1))
+            out.append((-1, k, shard, b"", b"", int(total.sum()), int((total > 0).sum())))
+        return _table(out)
+
+    # A bucket, and a shard, is a partition of its own.
+    message = "bucket int, k int, shard int, grams binary, counts binary, total long, kinds long"
+    asked = dealt.groupBy("bucket").applyInArrow(released(ask), message).repartitionById(shards, "shard")
+    answers = store(asked.groupBy("shard").applyInArrow(released(answer), message), "ngram-counts")
+    total, kinds = (int(x or 0) for x in answers.filter("bucket = -1 and k = 1").agg(F.sum("total"), F.sum("kinds")).first())
     learned = int(learned or 0)
 
     def score(docs_: pa.Table, told: pa.Table) -> pa.Table:
@@ -183,7 +184,7 @@ def score_documents(docs: DataFrame, held_out, order: int = 2, mass: float = 4.0
             "score": pa.array(machine.traverse(offs)),
         })
 
-    mine = answers.filter("bucket >= 0").select("bucket", "k", "shard", "counts").repartition(buckets, "bucket")
+    mine = answers.filter("bucket >= 0").select("bucket", "k", "shard", "counts").repartitionById(buckets, "bucket")
     result = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     return dealt.groupBy("bucket").cogroup(mine.groupBy("bucket")).applyInArrow(released(score), result)
 
@@ -204,7 +205,33 @@ def _thick(data: bytes) -> np.ndarray:
     return np.frombuffer(data, f"<u{data[0]}", offset=1).astype(np.int64)
 
 
-def _table(rows: list[tuple], names: tuple[str, ...]) -> pa.Table:
-    kinds = {"bucket": pa.int32(), "k": pa.int32(), "shard": pa.int32(), "grams": pa.binary(), "counts": pa.binary()}
-    cols = list(zip(*rows, strict=True)) if rows else [[] for _ in names]
-    return pa.table({n: pa.array(c, kinds[n]) for n, c in zip(names, cols, strict=True)})
+def _table(rows: list[tuple]) -> pa.Table:
+    """Messages; the last two numbers, the total and the kinds of a shard's n-grams, are null but where it tells them."""
+    kinds = {"bucket": pa.int32(), "k": pa.int32(), "shard": pa.int32(), "grams": pa.binary(), "counts": pa.binary(), "total": pa.int64(), "kinds": pa.int64()}
+    cols = list(zip(*((*r, None, None)[:7] for r in rows), strict=True)) if rows else [[] for _ in kinds]
+    return pa.table({n: pa.array(c, t) for (n, t), c in zip(kinds.items(), cols, strict=True)})
+
+
+_SQL_CRC = """xor(list_reduce(list_prepend(4294967295::BIGINT, list_transform(string_split(doc_id::VARCHAR, ''), lambda x: ascii(x)::BIGINT)),
+  lambda c, b: list_reduce(list_prepend(xor(c, b), range(8)), lambda a, i: xor(a >> 1, 3988292384 * (a & 1)))), 4294967295)"""
+
+#: The rows of op5's query over documents at order 2 and mass 4, scores to six places, for doc_ids that differ.
+ORACLE = rf"""
+WITH docs AS (
+  SELECT doc_id, coalesce({_SQL_CRC} % 10 = 0, false) AS held_out,
+    list_append(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ 	-
+]+'), ' ') AS w FROM documents),
+toks AS MATERIALIZED (SELECT doc_id, held_out, unnest(list_prepend('  ', w[:-2])) AS h, unnest(w) AS t FROM docs),
+one AS (SELECT t, count(*) AS c FROM toks WHERE NOT held_out GROUP BY t),
+two AS (SELECT h, t, count(*) AS c2 FROM toks WHERE NOT held_out GROUP BY h, t),
+before AS (SELECT t AS h, c AS ch FROM one WHERE t <> ' ' UNION ALL SELECT '  ', count(*) FROM docs WHERE NOT held_out),
+whole AS (SELECT coalesce(sum(c), 0)::BIGINT AS n, count(*) AS v FROM one),
+scored AS (
+  SELECT doc_id, held_out, n, coalesce(c, 0) AS c, coalesce(ch, 0) AS ch, coalesce(c2, 0) AS c2, (coalesce(c, 0) + 0.1::DOUBLE) / (n + 0.1::DOUBLE * (v + 1)) AS p
+  FROM toks LEFT JOIN one USING (t) LEFT JOIN two USING (h, t) LEFT JOIN before USING (h), whole)
+SELECT doc_id, held_out, n_tokens, n_known, train_tokens, round(b, 6) AS base_score, round(m, 6) AS score, round(m / n_tokens, 6) AS mean_score, round((m - b) / n_tokens, 6) AS mean_gain
+FROM (
+  SELECT doc_id, held_out, count(*) AS n_tokens, count(*) FILTER (c > 0) AS n_known, any_value(n) AS train_tokens,
+    sum(log10(p)) AS b, sum(log10(CASE WHEN ch > 0 THEN (c2 + 4 * p) / (ch + 4) ELSE p END)) AS m
+  FROM scored GROUP BY doc_id, held_out)
+"""

@@ -30,7 +30,10 @@ def op4_best_fit_packing(spark, sf_dir):
 
 
 def op5_backoff_scoring(spark, sf_dir):
-    return ngram.score_documents(table(spark, sf_dir, "documents"), language.held_out(F.col("doc_id"), 10, 0))
+    out = ngram.score_documents(table(spark, sf_dir, "documents"), language.held_out(F.col("doc_id"), 10, 0))
+    each = {"mean_score": F.col("score") / F.col("n_tokens"), "mean_gain": (F.col("score") - F.col("base_score")) / F.col("n_tokens")}
+    out = out.withColumns(each)
+    return out.withColumns({c: F.round(c, 6) for c in ("base_score", "score", *each)})
 
 
 def op6_language_spans(spark, sf_dir):
@@ -60,6 +63,7 @@ QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_collision_counting, op3_
 ORACLES: dict[str, str] = {
     "op2_collision_counting": vector_duplicates.ORACLE,
     "op3_disclosure": personal.ORACLE,
+    "op5_backoff_scoring": ngram.ORACLE,
     "op8_super_minhash": near_duplicates.ORACLE,
     "op9_licence_digests": licences.ORACLE,
 }
