@@ -8,9 +8,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.hetnet import AlignedSet, HetNet
-from ..optimize.local import Laplacian, assign, kmeans, orthonormal, spectral
+from ..operators.closeness import closeness, symmetric_part
+from ..optimize.local import Laplacian, SimilarityRows, assign, indicator, kmeans, orthonormal, spectral
 from ..storage import store
-from .onetask import batch, fits, in_one_task
+from .onetask import Prepared, batch
 
 _SCHEMA = [("net", pa.int32()), ("user_id", pa.int64()), ("cluster", pa.int32())]
 _TYPES = "net int, user_id long, cluster int"
@@ -21,14 +22,9 @@ def social_entries(net: HetNet) -> DataFrame:
     return net.undirected().select("src", "dst", F.lit(1.0).alias("s"))
 
 
-def _tables(users: DataFrame, S: DataFrame, i: int = 0) -> dict[str, DataFrame]:
-    return {f"u{i}": users.select(F.col("user_id").alias("a"), F.lit(0).alias("b"), F.lit(0.0).alias("v")), f"s{i}": S.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.col("s").alias("v"))}
-
-
-def _held(held: dict, i: int = 0) -> tuple[np.ndarray, Laplacian]:
-    users = np.unique(held[f"u{i}"][0])
-    a, b, v = held[f"s{i}"]
-    return users, Laplacian(len(users), np.searchsorted(users, a), np.searchsorted(users, b), v)
+def _closeness(net: HetNet, weights, form: str) -> DataFrame:
+    S = closeness(net, weights, form)
+    return store(symmetric_part(S) if form == "matrix" else S, f"closeness-{net.name}")
 
 
 def _labelled(users: np.ndarray, lap: Laplacian, label_of_live) -> pa.RecordBatch:
@@ -39,55 +35,94 @@ def _labelled(users: np.ndarray, lap: Laplacian, label_of_live) -> pa.RecordBatc
     return batch(_SCHEMA, net=np.zeros(len(users), int), user_id=users, cluster=label)
 
 
-def normalized_cut(net: HetNet, k: int, seed: int = 0, S: DataFrame | None = None, engine: str = "auto") -> DataFrame:
-    """user_id, cluster by the relaxed normalised cut of one network: of its links, or of S. Isolated users get -1."""
-    S = S if S is not None else social_entries(net)
-    tables = _tables(net.users, S)
-    if engine == "tables" or (engine == "auto" and not fits(tables)):
-        from .distributed import spectral_partition
-
-        return spectral_partition(net.users, S, k, seed)
+def _alone(net: HetNet, S, weights, form: str, engine: str, label, tables, name: str) -> DataFrame:
+    """user_id, cluster by label(lap, live) in a task, or by tables(S)."""
+    if S is None and weights is None:
+        S = social_entries(net)
+    prepared = None
+    if engine != "tables":
+        prepared = Prepared.of([net], weights or "uniform", form, None if S is None else [S])
+    if prepared is None or (engine == "auto" and not prepared.whole):
+        return tables(S if S is not None else _closeness(net, weights, form))
+    laplacian = prepared.reader()
 
     def work(held):
-        users, lap = _held(held)
+        users, lap = laplacian(held, 0)
+        yield _labelled(users, lap, lambda live: label(lap, live))
+
+    return store(prepared.run(work, _TYPES), name).select("user_id", "cluster")
+
+
+def normalized_cut(net: HetNet, k: int, seed: int = 0, S: DataFrame | None = None, engine: str = "auto", weights=None, form: str = "pair") -> DataFrame:
+    """user_id, cluster by the relaxed normalised cut of one network: of its links, of S, or of the closeness by `weights`.
+    Every user has a row; isolated ones get -1."""
+
+    def label(lap, live):
         x = spectral(lap, min(k, lap.n), seed)
-        yield _labelled(users, lap, lambda live: assign(x[live], lap.degree[live], "kmeans_rows", seed))
+        return assign(x[live], lap.degree[live], "kmeans_rows", seed)
 
-    return store(in_one_task(tables, work, _TYPES), "ncut").select("user_id", "cluster")
+    def tables(S_):
+        from .distributed import spectral_partition
 
+        return spectral_partition(net.users, S_, k, seed)
 
-def kmeans_rows(net: HetNet, k: int, seed: int = 0, S: DataFrame | None = None, engine: str = "auto") -> DataFrame:
-    """user_id, cluster by K-means on adjacency rows: of links, or of S. Isolated users get -1."""
-    S = S if S is not None else social_entries(net)
-    tables = _tables(net.users, S)
-    if engine == "tables" or (engine == "auto" and not fits(tables, 20_000_000)):
-        from .kmeans import lloyd
+    return _alone(net, S, weights, form, engine, label, tables, "ncut")
 
-        return lloyd(S.select(F.col("src").alias("user_id"), F.col("dst").alias("dim"), F.col("s").alias("x")), k, seed=seed)
+
+def spectral_check(net: HetNet, k: int, seed: int = 0) -> DataFrame:
+    """orthonormal, smallest: whether the relaxed rows of net's links have X'X = I, and cost no more than the indicator rows
+    of the partition that they lead to, which meet the same constraint."""
+    prepared = Prepared.of([net], "social", "pair", [social_entries(net)])
+    laplacian = prepared.reader()
 
     def work(held):
-        users, lap = _held(held)
-        yield _labelled(users, lap, lambda live: kmeans(lap.rows(seed)[live], k, seed))
+        _, lap = laplacian(held, 0)
+        x, live = spectral(lap, k, seed), np.flatnonzero(lap.degree > 0)
+        label = np.zeros(lap.n, np.int64)
+        label[live] = assign(x[live], lap.degree[live], "kmeans_rows", seed)
+        y = indicator(label, lap.degree, k)
+        cost = lambda v: float(np.trace(v.T @ lap(v)))
+        yield pa.RecordBatch.from_pydict({"orthonormal": [bool(np.abs(x.T @ x - np.eye(k)).max() < 1e-9)], "smallest": [cost(x) <= cost(y) + 1e-9]})
+
+    return prepared.run(work, "orthonormal boolean, smallest boolean")
+
 
-    return store(in_one_task(tables, work, _TYPES), "kmeans").select("user_id", "cluster")
+def kmeans_rows(net: HetNet, k: int, seed: int = 0, S: DataFrame | None = None, engine: str = "auto", weights=None, form: str = "pair", restarts: int = 3) -> DataFrame:
+    """user_id, cluster by K-means on whole rows: of links, of S, or of the closeness by `weights`. Every user has a row;
+    isolated ones get -1. `restarts` is the task's; tables start once."""
 
+    def label(lap, live):
+        return kmeans(SimilarityRows(lap, np.flatnonzero(live)), k, seed, restarts=restarts)
+
+    def tables(S_):
+        from .kmeans import lloyd
 
-def propagation(aligned: AlignedSet, k: list[int], closenesses: list[DataFrame], restart: float = 0.15, hops: int = 5, gamma: float = 0.5, seed: int = 0) -> list[DataFrame]:
+        got = lloyd(S_.select(F.col("src").alias("user_id"), F.col("dst").alias("dim"), F.col("s").alias("x")), k, seed=seed)
+        return net.users.join(got, "user_id", "left").select("user_id", F.coalesce("cluster", F.lit(-1)).alias("cluster"))
+
+    return _alone(net, S, weights, form, engine, label, tables, "kmeans")
+
+
+def propagation(aligned: AlignedSet, k: list[int], closenesses: list[DataFrame] | None = None, restart: float = 0.15, hops: int = 5, gamma: float = 0.5, seed: int = 0, weights="uniform", form: str = "matrix", rounds: int = 40, engine: str = "auto", prepared: Prepared | None = None) -> list[DataFrame]:
     """Partitions of both networks from user intimacy that spreads within and across them.
 
     Our reading of an idea that is only sketched: over the users of both networks, a step goes along row-normalised
     closeness, or with probability gamma from an anchor to its counterpart; intimacy is the restart series cut after
     `hops`, its symmetric part is factorised at rank k by orthogonal iteration (only products with it are formed), and
-    each network's users are grouped by K-means on their rows of the factor.
+    each network's users are grouped by K-means on their rows of the factor. engine as in mutual_cluster.
     """
     anchors = aligned.anchors[0, 1]
-    tables = _tables(aligned.nets[0].users, closenesses[0], 0) | _tables(aligned.nets[1].users, closenesses[1], 1)
-    tables["a"] = anchors.select(F.col("u1").alias("a"), F.col("u2").alias("b"), F.lit(1.0).alias("v"))
-    if not fits(tables):
-        raise ValueError("too large for one task; sparsify closeness first")
+    if engine != "tables" and prepared is None:
+        prepared = Prepared.of(aligned.nets[:2], weights, form, closenesses)
+    if engine == "tables" or prepared is None or (engine == "auto" and not prepared.whole):
+        from .distributed import propagation_tables
+
+        return propagation_tables(aligned, closenesses or [_closeness(n, weights, form) for n in aligned.nets[:2]], k, restart, hops, gamma, seed, rounds)
+    laplacian = prepared.reader()
+    more = {"a": anchors.select(F.col("u1").alias("a"), F.col("u2").alias("b"), F.lit(1.0).alias("v"))}
 
     def work(held):
-        (ua, la), (ub, lb) = _held(held, 0), _held(held, 1)
+        (ua, la), (ub, lb) = (laplacian(held, i) for i in (0, 1))
         n = len(ua) + len(ub)
         a, b, _ = held["a"]
         ok = np.isin(a, ua) & np.isin(b, ub)
@@ -122,7 +157,7 @@ def propagation(aligned: AlignedSet, k: list[int], closenesses: list[DataFrame],
 
         width = min(n, 2 * max(k) + 5)
         q = orthonormal(np.random.default_rng(seed).standard_normal((n, width)))
-        for _ in range(40):
+        for _ in range(rounds):
             q = orthonormal((series(q, False) + series(q, True)) / 2 + q)
         small = q.T @ (series(q, False) + series(q, True)) / 2
         w, v = np.linalg.eigh((small + small.T) / 2)
@@ -130,7 +165,7 @@ def propagation(aligned: AlignedSet, k: list[int], closenesses: list[DataFrame],
         for i, (users, kk, s) in enumerate(((ua, k[0], slice(0, len(ua))), (ub, k[1], slice(len(ua), n)))):
             yield batch(_SCHEMA, net=np.full(len(users), i), user_id=users, cluster=kmeans(factor[s, : max(k)], kk, seed))
 
-    out = store(in_one_task(tables, work, _TYPES), "propagation")
+    out = store(prepared.run(work, _TYPES, more), "propagation")
     return [out.filter(F.col("net") == i).select("user_id", "cluster") for i in (0, 1)]
 
 

@@ -2,126 +2,207 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..linalg.blocks import map_rows, spmm, sums
-from ..model.hetnet import AlignedSet
+from ..linalg.factorised import Factors
+from ..model.hetnet import AlignedSet, HetNet
 from ..operators.closeness import degrees
 from ..optimize.curvilinear import Grams, Settings, run
 from ..storage import drop_stored, store
-from .kmeans import lloyd
+from .kmeans import FeatureTable, SquareTable, lloyd, lloyd_rows
 
 _ROW = "array<double>"
 
 
-def normalised(S: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Stored entries (src, dst, w = s / sqrt(d d)), and degree (user_id, d)."""
-    d = store(degrees(S).filter("d > 0"), "degree")
-    a, b = d.select(F.col("user_id").alias("src"), F.col("d").alias("da")), d.select(F.col("user_id").alias("dst"), F.col("d").alias("db"))
-    w = S.join(a, "src").join(b, "dst").select("src", "dst", (F.col("s") / F.sqrt(F.col("da") * F.col("db"))).alias("w"))
-    return store(w, "entries"), d
+class EntryOperator:
+    """A symmetric S as a table of entries (src, dst, s)."""
+
+    def __init__(self, S: DataFrame):
+        d = self.degree = store(degrees(S).filter("d > 0"), "degree")
+        a, b = d.select(F.col("user_id").alias("src"), F.col("d").alias("da")), d.select(F.col("user_id").alias("dst"), F.col("d").alias("db"))
+        self.entries = store(S.join(a, "src").join(b, "dst").select("src", "dst", "s", (F.col("s") / F.sqrt(F.col("da") * F.col("db"))).alias("w")), "entries")
+
+    def scaled(self, rows: DataFrame) -> DataFrame:
+        """D^-1/2 S D^-1/2 times rows (user_id, vec)."""
+        return spmm(self.entries.select("src", "dst", "w"), rows)
+
+    def similarity_rows(self):
+        return FeatureTable(self.entries.select(F.col("src").alias("user_id"), F.col("dst").alias("dim"), F.col("s").alias("x")))
+
+
+class FactorOperator:
+    """The symmetric part of row-normalised closeness, by its factors: S is never formed."""
+
+    def __init__(self, net: HetNet, weights):
+        self.factors = Factors(net, weights)
+        one = net.users.select("user_id", F.array(F.lit(1.0)).alias("vec"))
+        self.degree = store(self.factors.symmetric_times(one).select("user_id", F.col("vec")[0].alias("d")).filter("d > 0"), "degree")
+
+    def _by_root(self, rows: DataFrame) -> DataFrame:
+        return rows.join(self.degree, "user_id").select("user_id", F.transform("vec", lambda v: v / F.sqrt("d")).alias("vec"))
+
+    def scaled(self, rows: DataFrame) -> DataFrame:
+        return self._by_root(self.factors.symmetric_times(store(self._by_root(rows), "scaled")))
+
+    def similarity_rows(self):
+        return SquareTable(self.degree.select("user_id", F.lit(0.0).alias("xx")), self.factors.symmetric_times)
 
 
 @dataclass
 class _Net:
-    entries: DataFrame
-    state: DataFrame  # user_id, t, x, lx (and x0, the row before)
+    operator: EntryOperator | FactorOperator
+    state: DataFrame  # user_id, x, lx, t0, t1, ... (and x0, the row before)
     k: int
+    links: list[int]  # its pairs; t0 belongs to the first
     z: DataFrame | None = None
     r: np.ndarray | None = None
-    gram: np.ndarray | None = None  # of its scaled anchor rows
     steps: int = 0
+    grams: list[np.ndarray] = field(default_factory=list)  # of its scaled anchor rows, by pair
+    raw: list = field(default_factory=list)
+
+
+@dataclass
+class _Pair:
+    nets: tuple[int, int]
+    anchors: DataFrame  # u1, u2, both with similarity
+    factor: float
+    cross: np.ndarray | None = None  # of the scaled anchor rows of its first network with its second's
 
 
 class TableProblem:
-    """Two networks. Each step stores one table of rows with gradient and product, and sums its Gram matrices."""
+    """Any number of networks. Each step stores one table of rows with gradient and product, and sums its Gram matrices."""
 
-    def __init__(self, S: list[DataFrame], anchors: DataFrame, k: list[int], cfg: Settings, seed: int):
-        self.cfg, self.count, self.anchors = cfg, 2, anchors
+    def __init__(self, operators: list, anchors: dict[tuple[int, int], DataFrame], k: list[int], cfg: Settings, seed: int, init: str = "kmeans"):
+        self.cfg, self.count, self.c0 = cfg, len(operators), 1.0
+        self.pairs: list[_Pair] = []
+        for (i, j), a in sorted(anchors.items()):
+            one, two = (operators[n].degree.select(F.col("user_id").alias(u)) for n, u in ((i, "u1"), (j, "u2")))
+            both = store(a.select("u1", "u2").join(one, "u1", "left_semi").join(two, "u2", "left_semi"), "anchors")
+            n = both.count()
+            if n > 1:
+                self.pairs.append(_Pair((i, j), both, cfg.theta / (n * (n - 1))))
         self.nets: list[_Net] = []
-        for i, s in enumerate(S):
-            entries, d = normalised(s)
-            labels = lloyd(s.select(F.col("src").alias("user_id"), F.col("dst").alias("dim"), F.col("s").alias("x")), k[i], seed=seed)
-            total = d.agg(F.sum("d")).first()[0]
-            volume = np.sqrt(total / k[i]) if cfg.discrepancy_scale == "volume" else 1.0
-            vol = labels.join(d, "user_id").groupBy("cluster").agg(F.sum("d").alias("vol"))
-            one = F.transform(F.sequence(F.lit(0), F.lit(k[i] - 1)), lambda c: F.when(c == F.col("cluster"), F.sqrt(F.col("d") / F.col("vol"))).otherwise(0.0))
-            side = anchors.select(F.col("u1" if i == 0 else "u2").alias("user_id"), F.lit(1.0).alias("_a"))
-            x = labels.join(d, "user_id").join(F.broadcast(vol), "cluster").join(side, "user_id", "left").select("user_id", (F.coalesce("_a", F.lit(0.0)) * volume / F.sqrt("d")).alias("t"), one.alias("x"))
-            self.nets.append(_Net(entries, self._with_product(store(x, "x"), entries), k[i]))
-        self.links = anchors.count()
-        self.c0 = cfg.theta / (self.links * (self.links - 1)) if self.links > 1 else 0.0
-        b = [n.state.filter("t > 0").select("user_id", "t", "x") for n in self.nets]
-        for n, rows in zip(self.nets, b, strict=True):
-            got = sums(rows, ["t", "x"], lambda c: {"g": (c["t"][:, None] * c["x"]).T @ (c["t"][:, None] * c["x"])})
-            n.gram = got.get("g", np.zeros((n.k, n.k)))
-        both = anchors.join(b[0].select(F.col("user_id").alias("u1"), F.col("t").alias("t1"), F.col("x").alias("x1")), "u1").join(b[1].select(F.col("user_id").alias("u2"), F.col("t").alias("t2"), F.col("x").alias("x2")), "u2")
-        got = sums(both, ["t1", "x1", "t2", "x2"], lambda c: {"p": (c["t1"][:, None] * c["x1"]).T @ (c["t2"][:, None] * c["x2"])})
-        self.p = got.get("p", np.zeros((k[0], k[1])))  # B1' B2
-
-    def _with_product(self, x: DataFrame, entries: DataFrame, extra: tuple[str, ...] = ()) -> DataFrame:
+        for i, op in enumerate(operators):
+            rows, width = start_rows(op, k[i], init, seed)
+            links = [p for p, pair in enumerate(self.pairs) if i in pair.nets]
+            volume = np.sqrt(op.degree.agg(F.sum("d")).first()[0] / width) if cfg.discrepancy_scale == "volume" and width else 1.0
+            x = rows.join(op.degree, "user_id")
+            for m, p in enumerate(links):
+                side = self.pairs[p].anchors.select(F.col(self._side(p, i)).alias("user_id"), F.lit(float(volume)).alias(f"t{m}"))
+                x = x.join(side, "user_id", "left").withColumn(f"t{m}", F.coalesce(f"t{m}", F.lit(0.0)) / F.sqrt("d"))
+            names = [f"t{m}" for m in range(len(links))]
+            net = _Net(op, None, width, links)
+            net.state = self._with_product(net, store(x.select("user_id", *names, F.col("vec").alias("x")), "x"))
+            got = sums(net.state, ["x", *names], lambda c, names=names: {t: (c[t][:, None] * c["x"]).T @ (c[t][:, None] * c["x"]) for t in names}) if names else {}
+            net.grams = [got.get(t, np.zeros((width, width))) for t in names]
+            self.nets.append(net)
+        for p, pair in enumerate(self.pairs):
+            (i, j), joined = pair.nets, pair.anchors
+            for n, u, o in ((i, "u1", "one"), (j, "u2", "two")):
+                joined = joined.join(self._scaled(n, p, self.nets[n].state, u, o), u)
+            got = sums(joined, ["one", "two"], lambda c: {"p": c["one"].T @ c["two"]})
+            pair.cross = got.get("p", np.zeros((self.nets[i].k, self.nets[j].k)))
+
+    def _side(self, p: int, i: int) -> str:
+        return "u1" if self.pairs[p].nets[0] == i else "u2"
+
+    def _scaled(self, i: int, p: int, state: DataFrame, key: str, name: str) -> DataFrame:
+        """key, name: a network's anchor rows of a pair, scaled."""
+        t = f"t{self.nets[i].links.index(p)}"
+        return state.filter(F.col(t) > 0).select(F.col("user_id").alias(key), F.transform("x", lambda v: v * F.col(t)).alias(name))
+
+    def _with_product(self, n: _Net, x: DataFrame, extra: tuple[str, ...] = ()) -> DataFrame:
         """x with lx = L x, stored."""
-        s = spmm(entries, x.select("user_id", F.col("x").alias("vec"))).withColumnRenamed("vec", "sx")
+        s = n.operator.scaled(x.select("user_id", F.col("x").alias("vec"))).withColumnRenamed("vec", "sx")
         gap = F.when(F.col("sx").isNull(), F.col("x")).otherwise(F.zip_with("x", "sx", lambda a, b: a - b))
-        return store(x.join(s, "user_id", "left").select("user_id", "t", "x", gap.alias("lx"), *extra), "state")
+        return store(x.join(s, "user_id", "left").select("user_id", *self._names(n), "x", gap.alias("lx"), *extra), "state")
+
+    @staticmethod
+    def _names(n: _Net) -> list[str]:
+        return [f"t{m}" for m in range(len(n.links))]
 
     def weight(self, i: int) -> float:
-        return (self.cfg.alpha, self.cfg.beta)[i]
+        return (self.cfg.alpha, self.cfg.beta)[min(i, 1)]
 
     def _moved(self, n: _Net) -> DataFrame:
-        """user_id, t, x, lx, x0 after the last accepted step."""
+        """user_id, t..., x, lx, x0 after the last accepted step."""
         if n.z is None:
             return n.state.withColumn("x0", F.lit(None).cast(_ROW))
-        r = n.r
-        return map_rows(n.z, ["x", "g", "lx", "lg"], lambda c: {"x": np.hstack([c["x"], c["g"]]) @ r, "lx": np.hstack([c["lx"], c["lg"]]) @ r, "x0": c["x"]}, f"user_id long, t double, x {_ROW}, lx {_ROW}, x0 {_ROW}", keep=("user_id", "t"))
+        r, names = n.r, self._names(n)
+        made = lambda c: {"x": np.hstack([c["x"], c["g"]]) @ r, "lx": np.hstack([c["lx"], c["lg"]]) @ r, "x0": c["x"]}
+        return map_rows(n.z, ["x", "g", "lx", "lg"], made, f"user_id long, {''.join(f'{t} double, ' for t in names)}x {_ROW}, lx {_ROW}, x0 {_ROW}", keep=("user_id", *names))
 
     def grams(self, i: int) -> Grams:
-        n, other = self.nets[i], self.nets[1 - i]
+        n, names = self.nets[i], self._names(self.nets[i])
         state = self._moved(n)
         if n.z is not None and n.steps % self.cfg.refresh == 0:
-            state = self._with_product(store(state.select("user_id", "t", "x", "x0"), "x"), n.entries, ("x0",))
-        mine, theirs = ("u1", "u2") if i == 0 else ("u2", "u1")
-        rows = self._moved(other).filter("t > 0").select(F.col("user_id").alias(theirs), F.transform("x", lambda v: v * F.col("t")).alias("o"))
-        o = self.anchors.join(rows, theirs).select(F.col(mine).alias("user_id"), "o")
-        own, p, w, c0 = n.gram, self.p if i == 0 else self.p.T, self.weight(i), self.c0
-        width, far = n.k, other.k
+            state = self._with_product(n, store(state.select("user_id", *names, "x", "x0"), "x"), ("x0",))
+        far, cross, others = [], [], []
+        for m, p in enumerate(n.links):
+            pair = self.pairs[p]
+            j = pair.nets[1] if pair.nets[0] == i else pair.nets[0]
+            rows = self._scaled(j, p, self._moved(self.nets[j]), self._side(p, j), f"o{m}")
+            state = state.join(pair.anchors.join(rows, self._side(p, j)).select(F.col(self._side(p, i)).alias("user_id"), f"o{m}"), "user_id", "left")
+            far.append(self.nets[j].k)
+            cross.append(pair.cross if pair.nets[0] == i else pair.cross.T)
+            others.append(self.nets[j].grams[self.nets[j].links.index(p)])
+        own, w, width, factors = n.grams, self.weight(i), n.k, [self.pairs[p].factor for p in n.links]
 
         def gradient(c):
-            o_ = c["o"] if c["o"].shape[1] else np.zeros((len(c["t"]), far))
-            pull = c["t"][:, None] * ((c["t"][:, None] * c["x"]) @ own - o_ @ p.T)
-            return {"x": c["x"], "lx": c["lx"], "x0": c["x0"] if c["x0"].shape[1] else np.zeros((len(c["t"]), width)), "o": o_, "g": 2 * w * c["lx"] + 4 * c0 * pull}
+            g = 2 * w * c["lx"]
+            out = {"x": c["x"], "lx": c["lx"], "x0": c["x0"] if c["x0"].shape[1] else np.zeros((len(g), width))}
+            for m, t in enumerate(names):
+                o = c[f"o{m}"] if c[f"o{m}"].shape[1] else np.zeros((len(g), far[m]))
+                tt = c[t][:, None]
+                g = g + 4 * factors[m] * tt * ((tt * c["x"]) @ own[m] - o @ cross[m].T)
+                out[f"o{m}"] = o
+            return out | {"g": g}
 
-        keep = f"user_id long, t double, x {_ROW}, lx {_ROW}, x0 {_ROW}, o {_ROW}, g {_ROW}"
-        g = store(map_rows(state.join(o, "user_id", "left"), ["t", "x", "lx", "x0", "o"], gradient, keep, keep=("user_id", "t")), "gradient")
-        sg = spmm(n.entries, g.select("user_id", F.col("g").alias("vec"))).withColumnRenamed("vec", "sg")
+        rows_of = ["x", "lx", "x0", *(f"o{m}" for m in range(len(names)))]
+        schema = f"user_id long, {''.join(f'{t} double, ' for t in names)}" + ", ".join(f"{c} {_ROW}" for c in [*rows_of, "g"])
+        g = store(map_rows(state, [*names, *rows_of], gradient, schema, keep=("user_id", *names)), "gradient")
+        sg = n.operator.scaled(g.select("user_id", F.col("g").alias("vec"))).withColumnRenamed("vec", "sg")
         lg = F.when(F.col("sg").isNull(), F.col("g")).otherwise(F.zip_with("g", "sg", lambda a, b: a - b))
-        z = store(g.join(sg, "user_id", "left").select("user_id", "t", "x", "lx", "x0", "o", "g", lg.alias("lg")), "step")
+        z = store(g.join(sg, "user_id", "left").select(*g.columns, lg.alias("lg")), "step")
         drop_stored(g)
 
         def parts(c):
             zz, lz = np.hstack([c["x"], c["g"]]), np.hstack([c["lx"], c["lg"]])
-            tz = (c["t"][:, None] * zz)[c["t"] > 0]
-            return {"zz": zz.T @ zz, "zlz": zz.T @ lz, "nn": tz.T @ tz, "cross": tz.T @ c["o"][c["t"] > 0], "back": c["x0"].T @ zz}
+            out = {"zz": zz.T @ zz, "zlz": zz.T @ lz, "back": c["x0"].T @ zz}
+            for m, t in enumerate(names):
+                at = c[t] > 0
+                tz = (c[t][:, None] * zz)[at]
+                out[f"nn{m}"], out[f"cross{m}"] = tz.T @ tz, tz.T @ c[f"o{m}"][at]
+            return out
 
-        got = sums(z, ["t", "x", "lx", "x0", "o", "g", "lg"], parts)
+        got = sums(z, [*names, *rows_of, "g", "lg"], parts)
         old = n.z
         n.z, n.steps = z, n.steps + 1
         if old is not None:
             drop_stored(old)
+        n.raw = [(got[f"nn{m}"], got[f"cross{m}"]) for m in range(len(names))]
+        roots = [np.sqrt(f) for f in factors]
+        nn = [q * a for q, (a, _) in zip(roots, n.raw, strict=True)] or np.zeros((2 * width, 2 * width))
+        side = np.hstack([q * b for q, (_, b) in zip(roots, n.raw, strict=True)]) if names else np.zeros((2 * width, 1))
+        other = sum(f * float((o**2).sum()) for f, o in zip(factors, others, strict=True))
         back = got["back"] if n.steps > 1 else None
-        self.last = Grams(got["zz"], (got["zlz"] + got["zlz"].T) / 2, got["nn"], got["cross"], float((other.gram**2).sum()), back)
-        return self.last
+        return Grams(got["zz"], (got["zlz"] + got["zlz"].T) / 2, nn, side, other, back)
 
     def advance(self, i: int, r: np.ndarray) -> None:
         """The anchor Gram matrices after the step follow from R, without a job."""
         n = self.nets[i]
-        n.r, n.gram = r, r.T @ self.last.nn @ r
-        cross = r.T @ self.last.cross
-        self.p = cross if i == 0 else cross.T
+        n.r = r
+        for m, p in enumerate(n.links):
+            nn, cross = n.raw[m]
+            n.grams[m] = r.T @ nn @ r
+            pair = self.pairs[p]
+            pair.cross = r.T @ cross if pair.nets[0] == i else (r.T @ cross).T
 
     def norm(self, i: int) -> float:
         n = self.nets[i]
@@ -136,55 +217,151 @@ class TableProblem:
         return float(np.linalg.norm(got - np.eye(n.k)))
 
 
-def mutual_tables(aligned: AlignedSet, S: list[DataFrame], k: list[int], cfg: Settings, seed: int) -> DataFrame:
-    """The table that MutualResult reads. Two networks; users without similarity take their anchor's cluster, or -1."""
-    if len(S) != 2:
-        raise ValueError("the table engine joins two networks")
-    spark = S[0].sparkSession
-    has = [store(degrees(s).filter("d > 0").select("user_id"), "live") for s in S]
-    anchors = aligned.anchors[0, 1].join(has[0].withColumnRenamed("user_id", "u1"), "u1", "left_semi").join(has[1].withColumnRenamed("user_id", "u2"), "u2", "left_semi").select("u1", "u2")
-    problem = TableProblem(S, store(anchors, "anchors"), k, cfg, seed)
+def start_rows(op, k: int, init: str, seed: int) -> tuple[DataFrame, int]:
+    """user_id, vec with X'X = I over users with similarity, and k, cut to their number."""
+    k = min(k, op.degree.count())
+    if init == "kmeans":
+        labels = lloyd_rows(op.similarity_rows(), k, seed=seed)
+        vol = labels.join(op.degree, "user_id").groupBy("cluster").agg(F.sum("d").alias("vol"))
+        one = F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda c: F.when(c == F.col("cluster"), F.sqrt(F.col("d") / F.col("vol"))).otherwise(0.0))
+        return labels.join(op.degree, "user_id").join(F.broadcast(vol), "cluster").select("user_id", one.alias("vec")), k
+    if init == "spectral":
+        return spectral_rows(op, k, seed), k
+    return _orthonormal(_drawn(op, k, seed)), k
+
+
+def _drawn(op, width: int, seed: int) -> DataFrame:
+    draw = F.transform(F.sequence(F.lit(1), F.lit(width)), lambda c: F.xxhash64("user_id", c, F.lit(seed)).cast("double") / float(1 << 63))
+    return store(op.degree.select("user_id", draw.alias("vec")), "block")
+
+
+def _orthonormal(x: DataFrame) -> DataFrame:
+    """Rows of orthonormal columns of the same span, by two Cholesky factors of their Gram matrix. Stored."""
+    for _ in range(2):
+        g = sums(x, ["vec"], lambda c: {"g": c["vec"].T @ c["vec"]})["g"]
+        turn = np.linalg.inv(np.linalg.cholesky(g + 1e-15 * np.trace(g) * np.eye(len(g)))).T
+        x = store(map_rows(x, ["vec"], lambda c, t=turn: {"vec": c["vec"] @ t}, f"user_id long, vec {_ROW}"), "block")
+    return x
+
+
+def spectral_rows(op, k: int, seed: int = 0, rounds: int = 150, tol: float = 1e-9) -> DataFrame:
+    """user_id, vec: the k largest eigenvectors of the normalised similarity, by block orthogonal iteration on it plus the
+    identity; ends when the sum of the k values settles, as arrays do."""
+    width = min(2 * k + 5, op.degree.count())
+    q, before, top = _orthonormal(_drawn(op, width, seed)), -np.inf, None
+    for _ in range(rounds):
+        s = op.scaled(q).withColumnRenamed("vec", "sv")
+        nxt = store(q.join(s, "user_id", "left").select("user_id", F.col("vec").alias("was"), F.coalesce("sv", F.transform("vec", lambda v: v * 0.0)).alias("sv")), "block")
+        m = sums(nxt, ["was", "sv"], lambda c: {"m": c["was"].T @ c["sv"]})["m"]
+        w, v = np.linalg.eigh((m + m.T) / 2)
+        top, now = v[:, ::-1][:, :k], np.sort(w)[::-1][:k].sum()
+        if now - before <= tol * max(abs(now), 1.0):
+            break
+        before = now
+        old, q = q, _orthonormal(nxt.select("user_id", F.zip_with("was", "sv", lambda a, b: a + b).alias("vec")))
+        drop_stored(old)
+    return store(map_rows(nxt, ["was"], lambda c: {"vec": c["was"] @ top}, f"user_id long, vec {_ROW}"), "eigenvectors")
+
+
+def hard_clusters(rows: DataFrame, k: int, how: str, seed: int) -> DataFrame:
+    """user_id, cluster of confidence rows (user_id, vec): argmax, or K-means on rows of unit length, the better of a start
+    from those and of a drawn one."""
+    size = F.transform("vec", lambda v: F.abs(v))
+    start = rows.select("user_id", (F.array_position(size, F.array_max(size)) - 1).cast("int").alias("cluster"))
+    if how == "argmax":
+        return start
+    unit = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda a, v: a + v * v))
+    long = FeatureTable(rows.select("user_id", F.posexplode(F.transform("vec", lambda v: v / F.greatest(unit, F.lit(1e-300)))).alias("dim", "x")))
+    both = [lloyd_rows(long, k, rounds=50, start=start), lloyd_rows(long, k, rounds=50, seed=seed)]
+    costs = [x.agg(F.sum("d2")).first()[0] or 0.0 for x in both]
+    return both[0 if costs[0] <= costs[1] else 1].select("user_id", "cluster")
+
+
+def mutual_tables(aligned: AlignedSet, S: list, k: list[int], cfg: Settings, seed: int, how: str = "kmeans_rows", init: str = "kmeans") -> DataFrame:
+    """The table that MutualResult reads. S: closeness of each network, as entries or as a FactorOperator. Users without
+    similarity take their anchor's cluster, or -1."""
+    spark = aligned.nets[0].users.sparkSession
+    operators = [s if isinstance(s, FactorOperator) else EntryOperator(s) for s in S]
+    problem = TableProblem(operators, {p: aligned.anchors[p] for p in aligned.pairs()}, k, cfg, seed, init)
     steps = run(problem, cfg)
-    out, labels = None, []
-    for i, n in enumerate(problem.nets):
-        d = degrees(S[i])
-        rows = problem._moved(n).join(d, "user_id").select("user_id", F.transform("x", lambda v: v / F.sqrt("d")).alias("vec"))
+    labels = []
+    for n in problem.nets:
+        rows = problem._moved(n).join(n.operator.degree, "user_id").select("user_id", F.transform("x", lambda v: v / F.sqrt("d")).alias("vec"))
         rows = store(rows, "rows")
-        unit = F.sqrt(F.aggregate("vec", F.lit(0.0), lambda a, v: a + v * v))
-        long = rows.select("user_id", F.posexplode(F.transform("vec", lambda v: v / unit)).alias("dim", "x")).withColumn("dim", F.col("dim").cast("long"))
-        size = F.transform("vec", lambda v: F.abs(v))
-        start = rows.select("user_id", (F.array_position(size, F.array_max(size)) - 1).cast("int").alias("cluster"))
-        labels.append((rows, lloyd(long, k[i], start=start)))
+        labels.append((rows, hard_clusters(rows, n.k, how, seed)))
+    out = None
     for i, (rows, label) in enumerate(labels):
-        mine, theirs = ("u1", "u2") if i == 0 else ("u2", "u1")
-        other = labels[1 - i][1].select(F.col("user_id").alias(theirs), F.col("cluster").alias("_c"))
-        lent = aligned.anchors[0, 1].join(other, theirs).filter(F.col("_c") < k[i]).select(F.col(mine).alias("user_id"), "_c")
-        every = aligned.nets[i].users.join(label, "user_id", "left").join(lent, "user_id", "left").join(rows, "user_id", "left")
-        part = every.select(F.lit("user").alias("kind"), F.lit(i).alias("net"), "user_id", F.coalesce("cluster", "_c", F.lit(-1)).cast("int").alias("cluster"), "vec")
+        every, lent = aligned.nets[i].users.join(label, "user_id", "left"), []
+        for p, (a, b) in enumerate(aligned.pairs()):
+            if i in (a, b):
+                mine, theirs, j = ("u1", "u2", b) if i == a else ("u2", "u1", a)
+                other = labels[j][1].select(F.col("user_id").alias(theirs), F.col("cluster").alias(f"_c{p}")).filter(F.col(f"_c{p}") < problem.nets[i].k)
+                every = every.join(aligned.anchors[a, b].join(other, theirs).select(F.col(mine).alias("user_id"), f"_c{p}"), "user_id", "left")
+                lent.append(f"_c{p}")
+        part = every.join(rows, "user_id", "left").select(F.lit("user").alias("kind"), F.lit(i).alias("net"), "user_id", F.coalesce("cluster", *lent, F.lit(-1)).cast("int").alias("cluster"), "vec")
         out = part if out is None else out.union(part)
-    told = spark.createDataFrame([(("step"), s["net"], s["iter"], s["f"], float(s["c"]), s["q"], float(s["tau"]), s["l1"], s["grad_norm"], s["backtracks"], bool(s["accepted"])) for s in steps], "kind string, net int, iter int, f double, c double, q double, tau double, l1 double, grad_norm double, backtracks int, accepted boolean")
-    ends = spark.createDataFrame([("end", i, max([s["iter"] for s in steps if s["net"] == i], default=0), problem.residual(i)) for i in range(2)], "kind string, net int, iter int, residual double")
+    told = spark.createDataFrame([("step", s["net"], s["iter"], s["f"], float(s["c"]), s["q"], float(s["tau"]), s["l1"], s["grad_norm"], s["backtracks"], bool(s["accepted"])) for s in steps], "kind string, net int, iter int, f double, c double, q double, tau double, l1 double, grad_norm double, backtracks int, accepted boolean")
+    ends = spark.createDataFrame([("end", i, max([s["iter"] for s in steps if s["net"] == i], default=0), problem.residual(i)) for i in range(problem.count)], "kind string, net int, iter int, residual double")
     return store(out.unionByName(told, allowMissingColumns=True).unionByName(ends, allowMissingColumns=True), "mutual")
 
 
-def spectral_partition(users: DataFrame, S: DataFrame, k: int, seed: int = 0, rounds: int = 30) -> DataFrame:
-    """user_id, cluster by the relaxed normalised cut: block orthogonal iteration on tables, then Lloyd on unit rows."""
-    entries, d = normalised(S)
-    width = k + 4
-    draw = F.transform(F.sequence(F.lit(1), F.lit(width)), lambda c: F.xxhash64("user_id", c, F.lit(seed)).cast("double") / float(1 << 63))
-    x = store(d.select("user_id", draw.alias("vec")), "block")
-    for _ in range(rounds):
-        g = sums(x, ["vec"], lambda c: {"g": c["vec"].T @ c["vec"]})["g"]
-        turn = np.linalg.inv(np.linalg.cholesky(g + 1e-13 * np.trace(g) * np.eye(len(g)))).T
-        q = store(map_rows(x, ["vec"], lambda c, t=turn: {"vec": c["vec"] @ t}, f"user_id long, vec {_ROW}"), "block")
-        s = spmm(entries, q).withColumnRenamed("vec", "sv")
-        nxt = store(q.join(s, "user_id", "left").select("user_id", F.when(F.col("sv").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "sv", lambda a, b: a + b)).alias("vec"), F.col("vec").alias("was")), "block")
-        drop_stored(x)
-        x = nxt
-    m = sums(x, ["vec", "was"], lambda c: {"m": c["was"].T @ c["vec"]})["m"]
-    _, v = np.linalg.eigh((m + m.T) / 2)
-    top = v[:, ::-1][:, :k]
-    rows = map_rows(x, ["was"], lambda c: {"vec": c["was"] @ top / np.maximum(np.linalg.norm(c["was"] @ top, axis=1, keepdims=True), 1e-300)}, f"user_id long, vec {_ROW}")
-    long = rows.select("user_id", F.posexplode("vec").alias("dim", "x")).withColumn("dim", F.col("dim").cast("long"))
-    label = lloyd(long, k, seed=seed)
+def spectral_partition(users: DataFrame, S: DataFrame, k: int, seed: int = 0) -> DataFrame:
+    """user_id, cluster by the relaxed normalised cut: eigenvectors, then K-means as hard_clusters does it."""
+    op = EntryOperator(S)
+    k = min(k, op.degree.count())
+    rows = spectral_rows(op, k, seed).join(op.degree, "user_id").select("user_id", F.transform("vec", lambda v: v / F.sqrt("d")).alias("vec"))
+    label = hard_clusters(store(rows, "rows"), k, "kmeans_rows", seed)
     return users.join(label, "user_id", "left").select("user_id", F.coalesce("cluster", F.lit(-1)).alias("cluster"))
+
+
+def propagation_tables(aligned: AlignedSet, S: list[DataFrame], k: list[int], restart: float, hops: int, gamma: float, seed: int, rounds: int) -> list[DataFrame]:
+    """Propagation on tables: one walk over the users of both networks as a table of entries, its restart series by
+    repeated products, and the factor of its symmetric part by orthogonal iteration. Users of network i are 2 id + i."""
+    key = lambda c, i: (2 * F.col(c) + i).cast("long")
+    anchors = aligned.anchors[0, 1].select(key("u1", 0).alias("a"), key("u2", 1).alias("b"))
+    users = store(reduce(DataFrame.union, [n.users.select(key("user_id", i).alias("user_id")) for i, n in enumerate(aligned.nets[:2])]), "users")
+    anchors = store(anchors.join(users, F.col("a") == F.col("user_id"), "left_semi").join(users, F.col("b") == F.col("user_id"), "left_semi"), "anchors")
+    linked = anchors.select(F.col("a").alias("src")).union(anchors.select(F.col("b").alias("src"))).withColumn("stay", F.lit(1.0 - gamma))
+    steps = []
+    for i, s in enumerate(S[:2]):
+        d = degrees(s).filter("d > 0").select(F.col("user_id").alias("src"), "d")
+        steps.append(s.join(d, "src").select(key("src", i).alias("src"), key("dst", i).alias("dst"), (F.col("s") / F.col("d")).alias("w")))
+    inner = reduce(DataFrame.union, steps).join(linked, "src", "left").select("src", "dst", (F.col("w") * F.coalesce("stay", F.lit(1.0))).alias("w"))
+    hop = anchors.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(anchors.select("b", "a")).withColumn("w", F.lit(float(gamma)))
+    walk = store(inner.union(hop), "walk")
+    turned = walk.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")
+
+    def series(q: DataFrame, entries: DataFrame) -> DataFrame:
+        total = q.select("user_id", F.transform("vec", lambda v: v * restart).alias("vec"))
+        term = q
+        for _ in range(hops):
+            term = store(spmm(entries, term).select("user_id", F.transform("vec", lambda v: v * (1 - restart)).alias("vec")), "term")
+            more = term.select("user_id", F.transform("vec", lambda v: v * restart).alias("more"))
+            total = total.join(more, "user_id", "left").select("user_id", F.when(F.col("more").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "more", lambda a, b: a + b)).alias("vec"))
+        return total
+
+    def image(q: DataFrame) -> DataFrame:
+        """user_id, was (q), vec (the symmetric part of the series times q)."""
+        there, back = series(q, walk), series(q, turned).withColumnRenamed("vec", "back")
+        both = there.join(back, "user_id").select("user_id", F.zip_with("vec", "back", lambda a, b: (a + b) / 2).alias("vec"))
+        return store(q.withColumnRenamed("vec", "was").join(both, "user_id"), "image")
+
+    width = min(users.count(), 2 * max(k) + 5)
+    draw = F.transform(F.sequence(F.lit(1), F.lit(width)), lambda c: F.xxhash64("user_id", c, F.lit(seed)).cast("double") / float(1 << 63))
+    q, before = _orthonormal(store(users.select("user_id", draw.alias("vec")), "block")), -np.inf
+    for n in range(rounds + 1):
+        made = image(q)
+        m = sums(made, ["was", "vec"], lambda c: {"m": c["was"].T @ c["vec"]})["m"]
+        w, v = np.linalg.eigh((m + m.T) / 2)
+        now = np.sort(w)[::-1][: max(k)].sum()
+        if n == rounds or now - before <= 1e-6 * max(abs(now), 1.0):
+            break
+        before = now
+        q = _orthonormal(made.select("user_id", F.zip_with("was", "vec", lambda a, b: a + b).alias("vec")))
+    top = v[:, ::-1][:, : max(k)] * np.sqrt(np.maximum(w[::-1][: max(k)], 0))
+    factor = store(map_rows(made, ["was"], lambda c: {"vec": c["was"] @ top}, f"user_id long, vec {_ROW}"), "factor")
+    out = []
+    for i, n in enumerate(aligned.nets[:2]):
+        mine = factor.filter(F.col("user_id") % 2 == i).select(F.floor(F.col("user_id") / 2).cast("long").alias("user_id"), F.posexplode("vec").alias("dim", "x"))
+        out.append(n.users.join(lloyd(mine, k[i], rounds=50, seed=seed), "user_id", "left").select("user_id", F.coalesce("cluster", F.lit(-1)).alias("cluster")))
+    return out

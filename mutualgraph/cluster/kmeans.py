@@ -1,48 +1,107 @@
-"""Lloyd's rounds on sparse rows in tables."""
+"""Lloyd's rounds on tables, through products of rows with the k centres only."""
 
 from __future__ import annotations
 
+from functools import cached_property
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..storage import store
+from ..linalg.blocks import spmm, sums
+from ..storage import drop_stored, store
+
+
+class FeatureTable:
+    """Sparse rows (user_id, dim, x), stored."""
+
+    def __init__(self, features: DataFrame):
+        self.features = store(features.select("user_id", F.col("dim").cast("long").alias("dim"), "x"), "features")
+
+    @cached_property
+    def users(self) -> DataFrame:
+        """user_id, xx (squared length)."""
+        return store(self.features.groupBy("user_id").agg(F.sum(F.col("x") * F.col("x")).alias("xx")), "users")
+
+    def times(self, rows: DataFrame) -> DataFrame:
+        """Rows (user_id: a dimension, vec), summed by user with weights x."""
+        return spmm(self.features.select(F.col("user_id").alias("src"), F.col("dim").alias("dst"), F.col("x").alias("w")), rows)
+
+    def turned(self, rows: DataFrame) -> DataFrame:
+        """Rows (user_id, vec), summed by dimension with weights x."""
+        return spmm(self.features.select(F.col("dim").alias("src"), F.col("user_id").alias("dst"), F.col("x").alias("w")), rows)
+
+
+class SquareTable:
+    """Rows of a symmetric matrix that is known by its products alone: times(rows) -> rows. users: user_id, xx (0 where
+    squared lengths aren't known; they only choose which row an empty cluster is given)."""
 
+    def __init__(self, users: DataFrame, times):
+        self.users, self.times, self.turned = users, times, times
 
-def centroids(features: DataFrame, labels: DataFrame) -> DataFrame:
-    """cluster, dim, c."""
-    n = labels.groupBy("cluster").agg(F.count("*").alias("n"))
-    return features.join(labels, "user_id").groupBy("cluster", "dim").agg(F.sum("x").alias("t")).join(F.broadcast(n), "cluster").select("cluster", "dim", (F.col("t") / F.col("n")).alias("c"))
 
+def _unit(k: int, value):
+    """A row of k numbers: `value` at the row's cluster, 0 elsewhere."""
+    return F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda c: F.when(c == F.col("cluster"), value).otherwise(F.lit(0.0)))
 
-def nearest(features: DataFrame, cent: DataFrame, users: DataFrame) -> DataFrame:
-    """user_id, cluster (the nearest centre, the lower on ties) and d2 less |x|^2. Features (user_id, dim, x) meet centres
-    on shared dimensions only; other clusters are |c|^2 away. The cluster table (K rows) is broadcast."""
-    norm = cent.groupBy("cluster").agg(F.sum(F.col("c") * F.col("c")).alias("cc"))
-    dots = features.join(cent, "dim").groupBy("user_id", "cluster").agg(F.sum(F.col("x") * F.col("c")).alias("xc"))
-    all_ = users.join(F.broadcast(norm)).join(dots, ["user_id", "cluster"], "left")
-    far = F.round(F.col("cc") - 2 * F.coalesce("xc", F.lit(0.0)), 12)
-    return all_.groupBy("user_id").agg(F.min(F.struct(far.alias("d2"), F.col("cluster"))).alias("m")).select("user_id", "m.cluster", "m.d2")
+
+def centroids(rows, labels: DataFrame, k: int) -> DataFrame:
+    """user_id (a dimension), vec: the k centres' values there. Stored."""
+    size = labels.groupBy("cluster").agg(F.count("*").alias("n"))
+    one = labels.join(F.broadcast(size), "cluster").select("user_id", _unit(k, 1 / F.col("n")).alias("vec"))
+    return store(rows.turned(one), "centres")
+
+
+def nearest(rows, centres: DataFrame, k: int) -> DataFrame:
+    """user_id, cluster (the nearest centre, the lower on ties) and d2, the squared distance. k numbers reach the driver."""
+    norm = sums(centres, ["vec"], lambda c: {"cc": (c["vec"] ** 2).sum(0)[None]}).get("cc")
+    cc = F.array(*[F.lit(float(x)) for x in (norm[0] if norm is not None else [0.0] * k)])
+    dots = rows.times(centres).withColumnRenamed("vec", "dots")
+    far = F.zip_with(F.coalesce("dots", F.array_repeat(F.lit(0.0), k)), cc, lambda x, q: F.round(q - 2 * x, 12))
+    all_ = rows.users.join(dots, "user_id", "left").select("user_id", "xx", far.alias("far"))
+    return all_.select("user_id", (F.array_position("far", F.array_min("far")) - 1).cast("int").alias("cluster"), (F.array_min("far") + F.col("xx")).alias("d2"))
 
 
 def step(features: DataFrame, labels: DataFrame) -> DataFrame:
     """user_id, cluster after one round."""
-    return nearest(features, centroids(features, labels), labels.select("user_id")).select("user_id", "cluster")
+    rows, k = FeatureTable(features), labels.agg(F.max("cluster")).first()[0] + 1
+    return nearest(rows, centroids(rows, labels, k), k).select("user_id", "cluster")
 
 
-def lloyd(features: DataFrame, k: int, rounds: int = 20, seed: int = 0, start: DataFrame | None = None) -> DataFrame:
-    """user_id, cluster. Begins with k rows drawn by a hash of user_id, or from labels; stops when nothing moves."""
-    features = store(features, "features")
-    users = store(features.select("user_id").distinct(), "users")
+def _filled(labels: DataFrame, k: int) -> DataFrame:
+    """labels with the farthest users moved to clusters that have none (k numbers and at most k ids reach the driver)."""
+    used = {r["cluster"] for r in labels.select("cluster").distinct().collect()}
+    empty = [c for c in range(k) if c not in used]
+    if not empty:
+        return labels
+    crowded = labels.groupBy("cluster").agg(F.count("*").alias("n")).filter("n > 1").select("cluster")
+    far = [r["user_id"] for r in labels.join(F.broadcast(crowded), "cluster", "left_semi").orderBy(F.col("d2").desc(), "user_id").limit(len(empty)).collect()]
+    move = labels.sparkSession.createDataFrame(list(zip(far, empty, strict=False)), "user_id long, to int")
+    return store(labels.join(F.broadcast(move), "user_id", "left").select("user_id", F.coalesce("to", "cluster").alias("cluster"), F.when(F.col("to").isNull(), F.col("d2")).otherwise(0.0).alias("d2")), "labels")
+
+
+def lloyd_rows(rows, k: int, rounds: int = 20, seed: int = 0, start: DataFrame | None = None) -> DataFrame:
+    """user_id, cluster, d2, stored. Begins with k rows drawn by a hash of user_id, or from labels; stops when nothing
+    moves. k is cut to the number of users; an empty cluster is given the farthest user."""
+    users = rows.users
+    k = min(k, users.count())
+    if not k:
+        return users.select("user_id", F.lit(0).alias("cluster"), F.lit(0.0).alias("d2"))
     if start is None:
-        chosen = users.orderBy(F.xxhash64("user_id", F.lit(seed)), "user_id").limit(k)
-        ids = [r["user_id"] for r in chosen.collect()]  # k ids
-        pick = users.sparkSession.createDataFrame([(u, c) for c, u in enumerate(ids)], "user_id long, cluster int")
-        start = nearest(features, features.join(F.broadcast(pick), "user_id").select("cluster", "dim", F.col("x").alias("c")), users).select("user_id", "cluster")
-    labels = store(start, "labels")
+        ids = [r["user_id"] for r in users.orderBy(F.xxhash64("user_id", F.lit(seed)), "user_id").limit(k).select("user_id").collect()]  # k ids
+        start = users.sparkSession.createDataFrame([(u, c) for c, u in enumerate(ids)], "user_id long, cluster int")
+        start = nearest(rows, centroids(rows, start, k), k)
+    labels = _filled(store(start if "d2" in start.columns else start.withColumn("d2", F.lit(0.0)), "labels"), k)
     for _ in range(rounds):
-        new = store(step(features, labels), "labels")
-        moved = new.join(labels.withColumnRenamed("cluster", "was"), "user_id").filter("cluster <> was").limit(1).count()
+        centres = centroids(rows, labels, k)
+        new = _filled(store(nearest(rows, centres, k), "labels"), k)
+        drop_stored(centres)
+        moved = new.join(labels.select("user_id", F.col("cluster").alias("was")), "user_id").filter("cluster <> was").limit(1).count()
         labels = new
         if not moved:
             break
     return labels
+
+
+def lloyd(features: DataFrame, k: int, rounds: int = 20, seed: int = 0, start: DataFrame | None = None) -> DataFrame:
+    """user_id, cluster of sparse rows (user_id, dim, x); as lloyd_rows."""
+    return lloyd_rows(FeatureTable(features), k, rounds, seed, start).select("user_id", "cluster")

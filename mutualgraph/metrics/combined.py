@@ -6,9 +6,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Fixed values: -1 for measures where higher is better, 1 where lower is.
-SIGN = {"ndbi": -1, "density": -1, "silhouette": -1, "mi": -1, "nmi": -1, "entropy": 1, "rand": 1, "vi": 1}
+SIGN = {"ndbi": -1, "density": -1, "silhouette": -1, "silhouette_sq": -1, "mi": -1, "nmi": -1, "entropy": 1, "rand": 1, "vi": 1}
 #: The four instances: quality and consensus measure.
 INSTANCES = [("entropy", "vi"), ("silhouette", "mi"), ("ndbi", "rand"), ("density", "nmi")]
+#: The same with the silhouette of squared distances, which is linear; a measure of its own.
+INSTANCES_SQ = [(q.replace("silhouette", "silhouette_sq"), c) for q, c in INSTANCES]
 
 
 def directions(spark: SparkSession) -> DataFrame:

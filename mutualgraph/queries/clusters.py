@@ -16,8 +16,8 @@ from .network import query, rounded, s2
 
 #: Path weights of the document views: links little, words most; no time, no location.
 DOC_WEIGHTS = {1: 0.05, 2: 0.05, 3: 0.05, 4: 0.05, 5: 0.8}
-#: Of the table networks: links and time; parts and suppliers join almost all pairs there.
-TABLE_WEIGHTS = {1: 0.2, 2: 0.2, 3: 0.2, 4: 0.2, 6: 0.2}
+#: A small network's clusters, and the published number: by the users of the smaller table network.
+SMALL, LARGE = 10, 50
 
 
 def doc_views(spark, d):
@@ -61,34 +61,138 @@ def nmi_truth_lang(spark, d):
     return parts[0].union(parts[1])
 
 
-def _mutual_tables(spark, d):
-    return mutual.mutual_cluster(table_nets(spark, d), [10, 10], TABLE_WEIGHTS)
+def net_clusters(spark, d) -> int:
+    return SMALL if net.events_net(spark, d).users.count() < 1000 else LARGE
 
 
-query("mutual_partition_net1")(lambda s, d: _mutual_tables(s, d).partition(0))
-query("mutual_partition_net2")(lambda s, d: _mutual_tables(s, d).partition(1))
+def joint_nets(spark, d, **options):
+    """The table networks, all seven paths with equal weights, row-normalised form."""
+    k = net_clusters(spark, d)
+    return mutual.mutual_cluster(table_nets(spark, d), [k, k], "uniform", "matrix", **options)
 
 
-@query("mutual_three_nets")
+query("mutual_partition_net1")(lambda s, d: joint_nets(s, d).partition(0))
+query("mutual_partition_net2")(lambda s, d: joint_nets(s, d).partition(1))
+query("mutual_trace_nets")(lambda s, d: joint_nets(s, d).trace())
+
+
+def _invariants(got, nets):
+    """net, users (with one row each), orthonormal, descended and settled: what any run must show, whatever it finds."""
+    first = F.min_by("f", "iter").alias("first")
+    steps = got.trace().groupBy("net").agg(first, F.max_by("f", "iter").alias("last"), F.min(F.col("f") <= F.col("c") + 1e-9).alias("bounded"))
+    users = None
+    for i, n in enumerate(nets):
+        part = got.partition(i).join(n.users.withColumn("known", F.lit(1)), "user_id", "left")
+        row = part.agg(F.count("*").alias("rows"), F.countDistinct("user_id").alias("users"), F.count("known").alias("known"), F.min("cluster").alias("least")).withColumn("net", F.lit(i))
+        users = row if users is None else users.union(row)
+    one = (F.col("rows") == F.col("users")) & (F.col("known") == F.col("rows")) & F.col("least").isNotNull()
+    return got.summary().join(steps, "net").join(users, "net").select("net", F.when(one, F.col("users")).alias("users"), (F.col("residual") < 1e-8).alias("orthonormal"), (F.col("bounded") & (F.col("last") <= F.col("first"))).alias("descended"), (F.col("rounds") <= 200).alias("settled"))
+
+
+_INVARIANT = "SELECT {0}::INT AS net, (SELECT count({1}) FROM {2}) AS users, true AS orthonormal, true AS descended, true AS settled"
+_ON_NETS = f"{_INVARIANT.format(0, '*', 'customer')} UNION ALL {_INVARIANT.format(1, 'DISTINCT user_id', 'events')}"
+
+
+@query("mutual_invariants_nets", _ON_NETS)
+def mutual_invariants_nets(spark, d):
+    two = table_nets(spark, d)
+    k = net_clusters(spark, d)
+    return _invariants(mutual.mutual_cluster(two, [k, k], "uniform", "matrix"), two.nets)
+
+
+@query("mutual_invariants_pair", _ON_NETS)
+def mutual_invariants_pair(spark, d):
+    """The same for the symmetric form of closeness."""
+    two = table_nets(spark, d)
+    return _invariants(mutual.mutual_cluster(two, [SMALL, SMALL], "uniform", "pair", max_iter=40), two.nets)
+
+
+@query("mutual_invariants_docs", " UNION ALL ".join(_INVARIANT.format(i, "*", f"documents WHERE doc_id % 5 <> {i}") for i in (0, 1)))
+def mutual_invariants_docs(spark, d):
+    views = doc_views(spark, d)
+    return _invariants(mutual.mutual_cluster(views, [4, 4], DOC_WEIGHTS, "matrix"), views.nets)
+
+
+@query("mutual_three_nets", f"{_ON_NETS} UNION ALL {_INVARIANT.format(2, 'DISTINCT conv_id', 'conversations')}")
 def mutual_three_nets(spark, d):
+    """Three networks, all paths: orders, events and conversations."""
     three = net.three_networks(spark, d).stored()
-    return mutual.mutual_cluster(three, [5, 5, 5], {1: 0.5, 4: 0.5}).summary()
+    return _invariants(mutual.mutual_cluster(three, [5, 5, 5], "uniform", "matrix", max_iter=60), three.nets)
+
+
+def _named(parts):
+    """net, user_id, block: the smallest user of each one's cluster, so that numbering doesn't matter."""
+    out = None
+    for n, p in zip(("net1", "net2"), parts, strict=True):
+        low = p.groupBy("cluster").agg(F.min("user_id").alias("block"))
+        rows = p.join(low, "cluster").select(F.lit(n).alias("net"), "user_id", "block")
+        out = rows if out is None else out.union(rows)
+    return out
+
+
+_BLOCKS = "(SELECT CAST(floor(sqrt(count(DISTINCT user_id) / 1.5)) AS BIGINT) FROM events)"
+_PLANTED = f"SELECT net, user_id, min(user_id) OVER (PARTITION BY net, user_id % {_BLOCKS}) AS block FROM (SELECT 'net1' AS net, c_custkey AS user_id FROM customer UNION ALL SELECT DISTINCT 'net2', user_id FROM events)"
+
+
+def planted(name):
+    """A method on networks with planted communities: its partitions must be those."""
+
+    def keep(f):
+        def run(spark, d):
+            two = net.planted_networks(spark, d).stored()
+            blocks = net.planted_blocks(spark, d)
+            return _named(f(two, [blocks, blocks]))
+
+        return query(name, _PLANTED)(run)
+
+    return keep
 
 
-query("spectral_net1")(lambda s, d: baselines.normalized_cut(net.orders_net(s, d), 10))
-query("baseline_ncut_net1")(lambda s, d: baselines.normalized_cut(net.orders_net(s, d), 10))
-query("baseline_ncut_net2")(lambda s, d: baselines.normalized_cut(net.events_net(s, d), 10))
-query("baseline_kmeans_net1")(lambda s, d: baselines.kmeans_rows(net.orders_net(s, d), 10))
-query("baseline_kmeans_net2")(lambda s, d: baselines.kmeans_rows(net.events_net(s, d), 10))
-query("baseline_ncut_closeness_net2")(lambda s, d: baselines.normalized_cut(net.events_net(s, d), 10, S=s2(s, d)))
-query("baseline_kmeans_closeness_net2")(lambda s, d: baselines.kmeans_rows(net.events_net(s, d), 10, S=s2(s, d)))
-query("baseline_ncut_closeness_net1")(lambda s, d: baselines.normalized_cut(net.orders_net(s, d), 10, S=closeness.closeness(net.orders_net(s, d).stored(), TABLE_WEIGHTS)))
-query("baseline_kmeans_closeness_net1")(lambda s, d: baselines.kmeans_rows(net.orders_net(s, d), 10, S=closeness.closeness(net.orders_net(s, d).stored(), TABLE_WEIGHTS)))
+def _both(got):
+    return got.partition(0), got.partition(1)
+
+
+planted("planted_joint")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix")))
+planted("planted_joint_pair_form")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "pair")))
+planted("planted_joint_block_schedule")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix", schedule="block")))
+planted("planted_joint_argmax")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix", how="argmax")))
+planted("planted_joint_spectral_start")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix", init="spectral")))
+planted("planted_joint_printed_scale")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix", discrepancy_scale="printed")))
+planted("planted_joint_euclidean_steps")(lambda two, k: _both(mutual.mutual_cluster(two, k, "social", "matrix", gradient="euclidean")))
+planted("planted_joint_tables")(lambda two, k: _both(mutual.mutual_cluster(two, k, {1: 1.0}, "pair", engine="tables", max_iter=1, how="argmax")))
+planted("planted_ncut")(lambda two, k: [baselines.normalized_cut(n, kk) for n, kk in zip(two.nets, k, strict=True)])
+planted("planted_ncut_closeness")(lambda two, k: [baselines.normalized_cut(n, kk, weights="social", form="matrix") for n, kk in zip(two.nets, k, strict=True)])
+planted("planted_kmeans")(lambda two, k: [baselines.kmeans_rows(n, kk, restarts=10) for n, kk in zip(two.nets, k, strict=True)])
+planted("planted_kmeans_closeness")(lambda two, k: [baselines.kmeans_rows(n, kk, weights="social", form="matrix", restarts=10) for n, kk in zip(two.nets, k, strict=True)])
+planted("planted_propagation")(lambda two, k: baselines.propagation(two, k, weights="social"))
+
+
+query("baseline_ncut_net1")(lambda s, d: baselines.normalized_cut(net.orders_net(s, d).stored(), 10))
+query("baseline_ncut_net2")(lambda s, d: baselines.normalized_cut(net.events_net(s, d).stored(), 10))
+query("baseline_kmeans_net1")(lambda s, d: baselines.kmeans_rows(net.orders_net(s, d).stored(), 10))
+query("baseline_kmeans_net2")(lambda s, d: baselines.kmeans_rows(net.events_net(s, d).stored(), 10))
+for _i, _net in ((1, net.orders_net), (2, net.events_net)):
+    query(f"baseline_ncut_closeness_net{_i}")(lambda s, d, n=_net: baselines.normalized_cut(n(s, d).stored(), 10, weights="uniform"))
+    query(f"baseline_kmeans_closeness_net{_i}")(lambda s, d, n=_net: baselines.kmeans_rows(n(s, d).stored(), 10, weights="uniform"))
+
+
+@query("spectral_net1", "SELECT true AS orthonormal, true AS smallest")
+def spectral_net1(spark, d):
+    """The relaxed normalised cut's rows of net1's links: orthonormal, and no partition's cost lies below theirs."""
+    n = net.orders_net(spark, d).stored()
+    return baselines.spectral_check(n, 10)
+
+
+@query("baseline_propagation_nets")
+def baseline_propagation_nets(spark, d):
+    two = table_nets(spark, d)
+    k = net_clusters(spark, d)
+    got = baselines.propagation(two, [k, k])
+    return got[0].select(F.lit("net1").alias("net"), "user_id", "cluster").union(got[1].select(F.lit("net2").alias("net"), "user_id", "cluster"))
 
 
 def _propagated(spark, d):
-    views = doc_views(spark, d)
-    return baselines.propagation(views, [4, 4], mutual.similarities(views, DOC_WEIGHTS, "matrix"))
+    return baselines.propagation(doc_views(spark, d), [4, 4], weights=DOC_WEIGHTS, form="matrix")
 
 
 query("baseline_propagation_net_a")(lambda s, d: _propagated(s, d)[0])
@@ -108,16 +212,43 @@ def kmeans_step(spark, d):
     return kmeans.step(long, e.select(F.col("vec_id").alias("user_id"), F.col("label").alias("cluster")))
 
 
+#: The published grids.
+SIGMAS = [0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 1.0]
+THETAS = [0.001, 0.01, 0.1, 1.0, 10.0, 100.0, 1000.0]
+
+
+def _net_bench(spark, d):
+    return sweeps.Bench.of(net.aligned_tables(spark, d))
+
+
+def _net_grid(spark, d):
+    """Ten numbers of clusters, and the fixed one: 10 to 100 and 50, or a fifth of them on small networks."""
+    k = net_clusters(spark, d)
+    return [k // 5 * n for n in range(1, 11)], k
+
+
+def sweep_k_nets(spark, d, side):
+    grid, k = _net_grid(spark, d)
+    return sweeps.run_k_sweep(_net_bench(spark, d), side, grid, k)
+
+
+query("sweep_sigma_nets")(lambda s, d: sweeps.run_sigma_sweep(_net_bench(s, d), SIGMAS, [net_clusters(s, d)] * 2))
+query("sweep_k1_nets")(lambda s, d: sweep_k_nets(s, d, 1))
+query("sweep_k2_nets")(lambda s, d: sweep_k_nets(s, d, 2))
+query("sweep_theta_nets")(lambda s, d: sweeps.run_theta_sweep(_net_bench(s, d), THETAS, [net_clusters(s, d)] * 2))
+
+
 def _bench(spark, d):
-    return sweeps.Bench.of(net.aligned_documents(spark, d), DOC_WEIGHTS)
+    return sweeps.Bench.of(net.aligned_documents(spark, d), DOC_WEIGHTS, exact=True)
 
 
-query("sweep_sigma")(lambda s, d: sweeps.run_sigma_sweep(_bench(s, d), [0.1, 0.2, 0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 1.0], [4, 4]))
+query("sweep_sigma")(lambda s, d: sweeps.run_sigma_sweep(_bench(s, d), SIGMAS, [4, 4]))
 query("sweep_k1")(lambda s, d: sweeps.run_k_sweep(_bench(s, d), 1, [2, 4, 6, 8, 10, 12, 14, 16, 18, 20], 4))
 query("sweep_k2")(lambda s, d: sweeps.run_k_sweep(_bench(s, d), 2, [2, 4, 6, 8, 10, 12, 14, 16, 18, 20], 4))
-query("sweep_theta")(lambda s, d: sweeps.run_theta_sweep(_bench(s, d), [0.001, 0.01, 0.1, 1.0, 10.0, 100.0, 1000.0], [4, 4]))
-query("sweep_theta_printed")(lambda s, d: sweeps.run_theta_sweep(_bench(s, d), [0.001, 1.0, 1000.0, 1e6], [4, 4], discrepancy_scale="printed"))
-query("ablation")(lambda s, d: sweeps.run_ablation(net.aligned_documents(s, d), [4, 4], {"words and links": DOC_WEIGHTS, "links": {1: 0.25, 2: 0.25, 3: 0.25, 4: 0.25}}))
+query("sweep_theta")(lambda s, d: sweeps.run_theta_sweep(_bench(s, d), THETAS, [4, 4]))
+query("sweep_theta_printed")(lambda s, d: sweeps.run_theta_sweep(_bench(s, d), [*THETAS, 1e6], [4, 4], discrepancy_scale="printed"))
+query("ablation")(lambda s, d: sweeps.run_ablation(net.aligned_documents(s, d), [4, 4], {"words and links": DOC_WEIGHTS, "links": "social", "attributes": {5: 0.9, 7: 0.1}}, exact=True))
+query("convergence_nets")(lambda s, d: sweeps.convergence(_net_bench(s, d), [net_clusters(s, d)] * 2))
 query("convergence")(lambda s, d: sweeps.convergence(_bench(s, d), [4, 4]))
 
 
@@ -140,7 +271,6 @@ def weight_learning(spark, d):
 
 
 
-
 @query("factorised_product", f"WITH {sql.closeness(2, sql.UNIFORM, 'matrix')} SELECT src AS user_id, round(sum(s * (dst % 7)), 6) AS a, round(sum(s), 6) AS b FROM S GROUP BY 1")
 def factorised_product(spark, d):
     """Row-normalised closeness times two columns, from its factors."""

@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from ..model.hetnet import AlignedSet, HetNet
 
 
+#: Post ids of a line are id * LINES + line: more lines than a text of two gigabytes can have.
+LINES = 1 << 31
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -76,7 +80,7 @@ def document_view(spark: SparkSession, sf_dir: str, side: int, frequency: tuple[
     letter runs as words (in 2 documents at least and 5 % of them at most), source as location; weak planted follow links."""
     docs = table(spark, sf_dir, "documents").filter(F.col("doc_id") % 5 != side)
     lines = docs.select("doc_id", "source", F.posexplode(F.split("text", "\n")).alias("line", "body")).filter(F.col("line") % 2 == side)
-    lines = lines.withColumn("post_id", F.col("doc_id") * 100_000 + F.col("line"))
+    lines = lines.withColumn("post_id", F.col("doc_id") * LINES + F.col("line"))
     words = lines.select("post_id", "doc_id", F.explode(F.array_distinct(tokens(F.col("body")))).alias("attr"))
     many = docs.agg((F.count("*") * frequency[1]).alias("most"))
     held = words.groupBy("attr").agg(F.countDistinct("doc_id").alias("df")).join(F.broadcast(many)).filter((F.col("df") >= frequency[0]) & (F.col("df") <= F.col("most")))
@@ -100,7 +104,7 @@ def aligned_documents(spark: SparkSession, sf_dir: str) -> AlignedSet:
 
 def conversations_net(spark: SparkSession, sf_dir: str) -> HetNet:
     """Conversations as users, turns as posts, letter runs as words, roles as locations; each follows the one before."""
-    t = table(spark, sf_dir, "conversations").withColumn("post_id", F.col("conv_id") * 100_000 + F.col("turn"))
+    t = table(spark, sf_dir, "conversations").withColumn("post_id", F.col("conv_id") * LINES + F.col("turn"))
     words = t.select("post_id", F.lit("word").alias("kind"), F.explode(F.array_distinct(tokens(F.col("text")))).alias("attr"))
     roles = t.select("post_id", F.lit("location").alias("kind"), F.col("role").alias("attr"))
     users = t.select(F.col("conv_id").alias("user_id")).distinct()
@@ -115,3 +119,27 @@ def three_networks(spark: SparkSession, sf_dir: str) -> AlignedSet:
     keys = third.users.select(F.col("user_id").alias("u2"))
     to = lambda net: net.users.join(keys, F.col("user_id") == F.col("u2")).select(F.col("user_id").alias("u1"), "u2")
     return AlignedSet([*two.nets, third], two.anchors | {(0, 2): to(two.nets[0]), (1, 2): to(two.nets[1])})
+
+
+def planted_blocks(spark: SparkSession, sf_dir: str) -> int:
+    """How many blocks the planted networks have: about ten users of the smaller network each at sf0.01."""
+    users = table(spark, sf_dir, "events").agg(F.countDistinct("user_id")).first()[0]
+    return int((users / 1.5) ** 0.5)
+
+
+def planted_networks(spark: SparkSession, sf_dir: str) -> AlignedSet:
+    """Customers and event users with known communities, for tests of whole methods: users whose keys leave the same
+    remainder by the number of blocks all follow each other, and every second user follows one more at random. Aligned by
+    equal keys (a fixed slice). Links grow as users times the block size."""
+    blocks = planted_blocks(spark, sf_dir)
+    none = spark.createDataFrame([], "post_id long, user_id long"), spark.createDataFrame([], "post_id long, kind string, attr string")
+    nets = []
+    for name, users in (("net1", table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"))), ("net2", table(spark, sf_dir, "events").select("user_id").distinct())):
+        users = users.withColumn("block", F.col("user_id") % blocks)
+        other = users.select(F.col("user_id").alias("dst"), "block")
+        inside = users.join(other, "block").select(F.col("user_id").alias("src"), "dst")
+        count = users.agg((F.max("user_id") + 1).alias("n"))
+        noise = users.filter("user_id % 2 = 0").join(F.broadcast(count)).select(F.col("user_id").alias("src"), F.pmod(F.xxhash64("user_id"), F.col("n")).alias("dst"))
+        noise = noise.join(other.select("dst"), "dst", "left_semi").select("src", "dst")
+        nets.append(HetNet(name, users.select("user_id"), inside.union(noise).filter("src <> dst").distinct(), *none))
+    return AlignedSet(nets, {(0, 1): key_anchors(spark, sf_dir)})
