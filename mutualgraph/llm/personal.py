@@ -119,24 +119,28 @@ def disclosing_marks(found: DataFrame, docs: DataFrame, doubt: float, most: floa
     values = held.select("_key", F.explode(F.array_distinct(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], F.lower(s["value"]))))).alias("value"))
     per_text = store(values.groupBy("_key", "value").agg(F.count("*").alias("n")), "values")
     digest = lambda seed: F.sum(F.xxhash64("_key", F.lit(seed)).cast("decimal(20,0)"))
-    protected = store(per_text.groupBy("value").agg(F.md5(F.concat_ws(":", F.count("*"), digest(1), digest(2))).alias("group"), F.sum("n").alias("n_value")), "protected")
+    protected = store(per_text.groupBy("value").agg(F.unhex(F.md5(F.concat_ws(":", F.count("*"), digest(1), digest(2)))).alias("group"), F.sum("n").alias("n_value")), "protected")
     shared = join_small(per_text, protected, "value", "inner", protected.count(), small).groupBy("_key", "group").agg(F.first("n").alias("n"), F.first("n_value").alias("n_value"))
-    texts = held.groupBy("_key").agg(F.any_value("_text").alias("_text"), F.count("*").alias("_n"))
-    marks = store(texts.select("_key", "_n", F.explode(_marks(F.col("_text"))).alias("mark")), "held-marks")
-    total = F.lit(float(found.count()))
+    shared = store(shared, "shared")
+
+    # Counted with map-side sums: what moves grows with tasks and vocabulary, not with words.
+    all_marks = docs.select(F.explode(_marks(F.coalesce(F.col("text").cast("string"), F.lit("")))).alias("mark"))
+    known = store(all_marks.groupBy("mark").agg(F.count("*").alias("n_mark")), "marks")
+    total = float(found.count())
+    # As n_both <= n_value and c < 1, only marks this rare can pass; all others go before anything is joined by text.
+    rare = lambda n_value: F.pow(F.lit(total), 1 - most) * F.pow(n_value, most) * 1.000001
+    largest = shared.agg(F.max("n_value")).first()[0] or 0
+    common = known.filter(F.col("n_mark") > rare(F.lit(float(largest)))).select("mark")
+    texts = held.groupBy("_key").agg(F.any_value("_text").alias("_text"))
+    marks = texts.select("_key", F.explode(_marks(F.col("_text"))).alias("mark"))
+    marks = join_small(marks, common, "mark", "left_anti", common.count(), small).join(known, "mark")
+    pairs = store(marks.join(shared, "_key").filter(F.col("n_mark") <= rare(F.col("n_value"))), "pairs")
+
+    both = pairs.groupBy("group", "mark").agg(F.sum("n").alias("n_both"), F.count("*").alias("texts"), F.first("n_value").alias("n_value"), F.first("n_mark").alias("n_mark"))
     certain = F.col("texts") / (F.col("texts") + F.lit(float(doubt)))
     share = F.log2(certain * F.col("n_both") * total / (F.col("n_mark") * F.col("n_value"))) / F.log2(total / F.col("n_value"))
-    told = F.when(total > F.col("n_value"), F.round(share, 9) >= most)
-    both = shared.join(marks, "_key").groupBy("group", "mark").agg(F.sum("n").alias("n_both"), F.count("*").alias("texts"), F.first("n_value").alias("n_value"))
-    # A mark stands in as many documents at least as hold it beside a span: pairs too low with that count can't pass with the whole one.
-    least = marks.groupBy("mark").agg(F.sum("_n").alias("n_mark"))
-    both = store(both.join(least, "mark").filter(told).drop("n_mark"), "together")
-    candidates = store(both.select("mark").distinct(), "candidates")
-    all_marks = docs.select(F.explode(_marks(F.coalesce(F.col("text").cast("string"), F.lit("")))).alias("mark"))
-    n_marks = candidates.count()
-    known = join_small(all_marks, candidates, "mark", "left_semi", n_marks, small).groupBy("mark").agg(F.count("*").alias("n_mark")) if n_marks else candidates.withColumn("n_mark", F.lit(1))
-    flagged = both.join(known, "mark").filter(told).select("group", "mark")
-    at = shared.join(marks, "_key").join(flagged, ["group", "mark"])
+    flagged = store(both.filter(F.when(F.lit(total) > F.col("n_value"), F.round(share, 9) >= most)).select("group", "mark"), "flagged")
+    at = join_small(pairs, flagged, ["group", "mark"], "left_semi", flagged.count(), small)
     return store(at.groupBy("_key").agg(F.array_sort(F.collect_set("mark")).alias("_marks")), "disclosing")
 
 
@@ -146,7 +150,7 @@ def _with_base(docs: DataFrame) -> DataFrame:
     rows = docs.select(F.struct(*docs.columns).alias("_row"), "doc_id", text.alias("_text")).withColumn("_spans", base_spans(F.col("_text")))
     rows = rows.withColumn("_secrets", secret_spans(F.col("_text"), F.col("_spans")))
     some = (F.size("_spans") > 0) | (F.size("_secrets") > 0)
-    return rows.select("_row", "doc_id", F.when(some, F.col("_text")).alias("_text"), "_spans", "_secrets", F.when(some, F.md5("_text")).alias("_key"))
+    return rows.select("_row", "doc_id", F.when(some, F.col("_text")).alias("_text"), "_spans", "_secrets", F.when(some, F.unhex(F.md5("_text"))).alias("_key"))
 
 
 def find(docs: DataFrame, keep_columns: bool = False, doubt: float = 0.5, most: float = 0.9, small: int = 1_000_000) -> DataFrame:
