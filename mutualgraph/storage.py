@@ -89,13 +89,13 @@ def _clean() -> None:
 
 
 #: Bytes of rows that may be broadcast, about (a hashed copy takes a few times that on the driver and each executor).
-BROADCAST_BYTES = 24 << 20
+BROADCAST_BYTES = 16 << 20
 _WIDTHS = {"boolean": 1, "string": 48, "binary": 64}
 
 
 def row_bytes(df: DataFrame) -> int:
     """About what a row takes: eight bytes a number, and a guess for what varies."""
-    return 16 + sum(_WIDTHS.get(kind, 128 if kind[:5] in ("array", "struc", "map<s") else 8) for _, kind in df.dtypes)
+    return 16 + sum(_WIDTHS.get(kind, 1024 if kind[:5] in ("array", "struc", "map<s") else 8) for _, kind in df.dtypes)
 
 
 def join_small(big: DataFrame, small: DataFrame, cond, how: str, rows: int, limit: int = 1_000_000) -> DataFrame:
