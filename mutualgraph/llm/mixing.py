@@ -55,9 +55,11 @@ def _described(docs: DataFrame, quality: Column | None) -> DataFrame:
 
 
 def _keyed(rows: DataFrame, seed: int) -> DataFrame:
-    """rows (SAME and _rank, 1 to n among interchangeable rows) with _key, the exponential sampling key, and its _place."""
+    """rows (SAME and _rank, 1 to n among interchangeable rows) with _key, the exponential sampling key, its _place, and _tie,
+    a hash that orders equal keys."""
     u = (F.shiftrightunsigned(F.xxhash64("_id", "_hash", "_rank", F.lit(seed)), 11).cast("double") + 0.5) / float(1 << 53)
     keyed = rows.withColumn("_key", -F.log(u) / F.col("_worth"))
+    keyed = keyed.withColumn("_tie", F.xxhash64(*SAME, "_rank", F.lit(seed + 1)))
     return keyed.withColumn("_place", F.floor(F.log2("_key") * float(1 << 40)).cast("long"))
 
 
@@ -65,7 +67,7 @@ def _narrow(docs: DataFrame, quality: Column | None, seed: int) -> tuple[DataFra
     """Stored keys of all rows, without texts; and the interchangeable ones (SAME and _n > 1)."""
     groups = store(_described(docs, quality).groupBy(*SAME).agg(F.count("*").alias("_n")), "sized")
     ranked = groups.withColumn("_rank", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_n")))).drop("_n")
-    return store(_keyed(ranked, seed), "keys"), groups.filter("_n > 1")
+    return store(_keyed(ranked, seed).select("_id", "_src", "_size", "_key", "_tie", "_place"), "keys"), groups.filter("_n > 1")
 
 
 def _lines(narrow: DataFrame, weights, share: float, cap: float) -> tuple[DataFrame, int]:
@@ -92,9 +94,9 @@ def _lines(narrow: DataFrame, weights, share: float, cap: float) -> tuple[DataFr
         if most <= EDGE_ROWS or bits == 0:
             break
 
-    by_key = Window.partitionBy("source").orderBy("_key", *SAME, "_rank").rowsBetween(Window.unboundedPreceding, -1)
+    by_key = Window.partitionBy("source").orderBy("_key", "_tie").rowsBetween(Window.unboundedPreceding, -1)
     at_edge = _at(narrow, edge, bits, sources).withColumn("_sofar", F.col("_paid") + F.coalesce(F.sum("_size").over(by_key), F.lit(0)))
-    last = at_edge.filter(F.col("_sofar") + F.col("_size") / 2 <= F.col("_rest")).groupBy(F.col("source").alias("_s2")).agg(F.max(_tie()).alias("_last"))
+    last = at_edge.filter(F.col("_sofar") + F.col("_size") / 2 <= F.col("_rest")).groupBy(F.col("source").alias("_s2")).agg(F.max(F.struct("_key", "_tie")).alias("_last"))
     edge = edge.select(F.col("source").alias("_s"), "_from", (F.col("_from") + (1 << bits)).alias("_to"))
     goal = goal.join(edge, goal["source"].eqNullSafe(edge["_s"]), "left").join(last, goal["source"].eqNullSafe(last["_s2"]), "left")
     return store(goal.select(F.col("source").alias("_of"), F.col("source_size").alias("_ssize"), F.col("target").alias("_target"), "_epochs", "_from", "_to", "_last"), "lines"), sources
@@ -106,16 +108,10 @@ def _at(narrow: DataFrame, edge: DataFrame, bits: int, sources: int) -> DataFram
     return both.filter((F.col("_place") >= F.col("_from")) & (F.col("_place") < F.col("_from") + (1 << bits)))
 
 
-def _tie() -> Column:
-    """What orders rows; nulls become values, for comparisons."""
-    least = F.lit(-(1 << 63))
-    return F.struct(F.col("_key"), F.coalesce(F.col("_id"), least).alias("_i"), F.col("_size"), F.coalesce(F.col("_hash"), least).alias("_h"), F.col("_worth"), F.col("_rank"))
-
-
 def _decided(rows: DataFrame, lines: DataFrame, sources: int) -> DataFrame:
     out = join_small(rows, lines, rows["_src"].eqNullSafe(lines["_of"]), "inner", sources)
     at = F.col("_place") < F.col("_to")
-    more = F.col("_from").isNotNull() & ((F.col("_place") < F.col("_from")) | (at & F.coalesce(_tie() <= F.col("_last"), F.lit(False))))
+    more = F.col("_from").isNotNull() & ((F.col("_place") < F.col("_from")) | (at & F.coalesce(F.struct("_key", "_tie") <= F.col("_last"), F.lit(False))))
     return out.withColumn("_times", F.col("_epochs") + more.cast("long"))
 
 

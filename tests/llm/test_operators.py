@@ -122,10 +122,9 @@ def test_mixing_takes_what_a_plain_sort_takes(spark, monkeypatch, worth):
     got = Counter((r.source, r.doc_id, r["size"], r.taken) for r in mixing.mix(df, **options).collect())
     narrow, _ = mixing._narrow(*mixing._needed(df, options["quality"]), 20240501)
     target = {r.source: r.target for r in mixing.mix(df, **options).collect()}
-    least = -(1 << 63)
     want = Counter()
     for source, goal in target.items():
-        mine = sorted((r for r in narrow.collect() if r["_src"] == source), key=lambda r: (r["_key"], least if r["_id"] is None else r["_id"], r["_size"], r["_hash"], r["_worth"], r["_rank"]))
+        mine = sorted((r for r in narrow.collect() if r["_src"] == source), key=lambda r: (r["_key"], r["_tie"]))
         total = sum(r["_size"] for r in mine)
         rest, sofar, epochs = goal - goal // total * total, 0, goal // total
         taken = [i for i, r in enumerate(mine) if (sofar := sofar + r["_size"]) - r["_size"] / 2 <= rest and sofar - r["_size"] < rest]
