@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model.hetnet import HetNet
+from ..storage import join_small, store
 from .metapath import ATTRIBUTE, SOCIAL, path_counts, path_marginals
 
 
@@ -56,13 +57,30 @@ def _directed(pairs: DataFrame, form: str) -> DataFrame:
 
 
 def closeness(net: HetNet, weights: dict[int, float] | str = "uniform", form: str = "pair", self_paths: bool = False) -> DataFrame:
-    """src, dst, s: the weighted sum of path similarities. Unordered pairs are summed once, then written both ways."""
-    parts = []
-    for path, w in weights_of(weights).items():
-        p = _scored(net, path, form, self_paths)
-        parts.append(p.select("a", "b", (w * F.col("s")).alias("s"), *([(w * F.col("t")).alias("t")] if form == "matrix" else [])))
-    both = reduce(DataFrame.unionByName, parts).groupBy("a", "b").agg(F.sum("s").alias("s"), *([F.sum("t").alias("t")] if form == "matrix" else []))
-    return _directed(both, form)
+    """src, dst, s: the weighted sum of path similarities. Unordered pairs are summed once, then written both ways.
+
+    The network's relations are written once, since every path reads them. Counts of all paths meet in one sum by pair,
+    a column a path, and the marginals of all paths are one row a user, so users are looked up twice, not twice a path.
+    """
+    mix, net = weights_of(weights), net.stored()
+    counts = [symmetric_counts(net, p, self_paths).select("a", "b", *((F.col("cnt") if q == p else F.lit(None).cast("long")).alias(f"n{q}") for q in mix)) for p in mix]
+    sums = reduce(DataFrame.union, counts).groupBy("a", "b").agg(*(F.sum(f"n{p}").alias(f"n{p}") for p in mix))
+    each = [path_marginals(net, p, self_paths).select("user_id", F.lit(p).alias("path"), F.col("out").alias("o"), F.col("in").alias("i")) for p in mix]
+    wide = reduce(DataFrame.union, each).groupBy("user_id").agg(*(F.max(F.when(F.col("path") == p, F.col(c))).alias(f"{c}{p}") for p in mix for c in ("o", "i")))
+    wide = store(wide, "marginals")
+    a, b = (wide.select(F.col("user_id").alias(u), *(F.coalesce(f"{c}{p}", F.lit(0)).alias(f"{c}{p}{u}") for p in mix for c in ("o", "i"))) for u in ("a", "b"))
+    users = wide.count()
+    pairs = join_small(join_small(sums, a, "a", "inner", users), b, "b", "inner", users)
+
+    def total(below) -> Column:
+        return reduce(Column.__add__, [F.coalesce(F.lit(float(w)) * F.col(f"n{p}") / below(p), F.lit(0.0)) for p, w in mix.items()])
+
+    if form == "pair":
+        return _directed(pairs.select("a", "b", total(lambda p: F.nullif(F.col(f"o{p}a") + F.col(f"o{p}b"), F.lit(0))).alias("s")), form)
+    if form != "matrix":
+        raise ValueError(f"form {form}: pair or matrix")
+    out = lambda u: total(lambda p: F.nullif(F.col(f"o{p}{u}") + F.col(f"i{p}{u}"), F.lit(0)))
+    return _directed(pairs.select("a", "b", out("a").alias("s"), out("b").alias("t")), form)
 
 
 def symmetric_part(S: DataFrame) -> DataFrame:
