@@ -52,8 +52,8 @@ def _stats(n: int) -> str:
 
 query("net1_stats", _stats(1))(lambda s, d: describe(net.orders_net(s, d)))
 query("net2_stats", _stats(2))(lambda s, d: describe(net.events_net(s, d)))
-query("net_a_stats")(lambda s, d: describe(net.document_view(s, d, 0)))
-query("net_b_stats")(lambda s, d: describe(net.document_view(s, d, 1)))
+query("net_a_stats", _stats(3))(lambda s, d: describe(net.document_view(s, d, 0)))
+query("net_b_stats", _stats(4))(lambda s, d: describe(net.document_view(s, d, 1)))
 
 query("anchor_users", f"WITH {sql.ANCHORS} SELECT c_custkey AS user_id FROM customer WHERE c_custkey IN (SELECT u1 FROM anchors)")(lambda s, d: alignment.anchor_users(net.orders_net(s, d), net.key_anchors(s, d)))
 query("non_anchor_users", f"WITH {sql.ANCHORS} SELECT c_custkey AS user_id FROM customer WHERE c_custkey NOT IN (SELECT u1 FROM anchors)")(lambda s, d: alignment.non_anchor_users(net.orders_net(s, d), net.key_anchors(s, d)))
@@ -120,6 +120,7 @@ def s2(spark, d):
 
 query("closeness_top10", f"{_S2}, b AS (SELECT src, dst FROM (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY round(s, 9) DESC, dst) AS r FROM S) WHERE r <= 10), w AS (SELECT src, dst FROM b UNION SELECT dst, src FROM b) SELECT src, dst, round(s, 6) AS s FROM S JOIN w USING (src, dst)")(lambda s, d: rounded(closeness.sparsify(s2(s, d).withColumn("s", F.round("s", 9)), 10), "s"))
 query("top_pairs", f"{_S2} SELECT src, dst, round(s, 6) AS s FROM S WHERE src < dst ORDER BY round(s, 9) DESC, src, dst LIMIT 20")(lambda s, d: rounded(s2(s, d).filter("src < dst").withColumn("s", F.round("s", 9)).orderBy(F.col("s").desc(), "src", "dst").limit(20), "s"))
+query("degree_net1", f"WITH {sql.closeness(1, sql.UNIFORM)} SELECT src AS user_id, round(sum(s), 6) AS d FROM S GROUP BY 1")(lambda s, d: rounded(closeness.degrees(closeness.closeness(net.orders_net(s, d))), "d"))
 query("degree_net2", f"{_S2} SELECT src AS user_id, round(sum(s), 6) AS d FROM S GROUP BY 1")(lambda s, d: rounded(closeness.degrees(s2(s, d)), "d"))
 query("symmetric_part_net2", f"WITH {sql.closeness(2, sql.UNIFORM, 'matrix')} SELECT src, dst, round(sum(s) / 2, 6) AS s FROM (SELECT src, dst, s FROM S UNION ALL SELECT dst, src, s FROM S) GROUP BY 1, 2")(lambda s, d: rounded(closeness.symmetric_part(closeness.closeness(net.events_net(s, d), form="matrix")), "s"))
 query("closeness_profile", f"{_S2}, l AS (SELECT src, dst FROM follow2 UNION SELECT dst, src FROM follow2), n AS (SELECT count(*) AS n FROM users2) SELECT count(*) AS pairs, count(l.src) AS direct, count(*) - count(l.src) AS indirect, max(n * (n - 1)) AS possible FROM S LEFT JOIN l ON S.src = l.src AND S.dst = l.dst CROSS JOIN n")(lambda s, d: closeness.profile(s2(s, d), net.events_net(s, d).follow, net.events_net(s, d).users))

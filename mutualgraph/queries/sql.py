@@ -26,8 +26,25 @@ PART1 = "part1 AS (SELECT c_custkey AS user_id, c_nationkey % 10 AS cluster FROM
 PART2 = "part2 AS (SELECT DISTINCT user_id, CAST(user_id % 10 AS INTEGER) AS cluster FROM events)"
 
 
+def document_view(side: int, n: int) -> str:
+    """CTEs of a document view, as network n."""
+    a, b, c, d = ((31, 7, 17, 3), (37, 11, 13, 5))[side]
+    return f"""
+docs{n} AS (SELECT * FROM documents WHERE doc_id % 5 <> {side}),
+users{n} AS (SELECT doc_id AS user_id FROM docs{n}),
+lines{n} AS (SELECT * FROM (SELECT doc_id, source, unnest(range(len(string_split(text, chr(10))))) AS line, unnest(string_split(text, chr(10))) AS body FROM docs{n}) WHERE line % 2 = {side}),
+posts{n} AS (SELECT doc_id * 2147483648 + line AS post_id, doc_id AS user_id FROM lines{n}),
+words{n} AS (SELECT doc_id, doc_id * 2147483648 + line AS post_id, unnest(list_distinct(regexp_extract_all(lower(body), '\\p{{L}}{{3,}}'))) AS attr FROM lines{n}),
+held{n} AS (SELECT attr FROM words{n} GROUP BY attr HAVING count(DISTINCT doc_id) >= 2 AND count(DISTINCT doc_id) <= 0.05 * (SELECT count(*) FROM docs{n})),
+attr{n} AS (SELECT DISTINCT post_id, 'word' AS kind, attr FROM words{n} JOIN held{n} USING (attr) UNION SELECT DISTINCT doc_id * 2147483648 + line, 'location', source FROM lines{n}),
+follow{n} AS (SELECT DISTINCT src, dst FROM (
+  SELECT doc_id AS src, lead(doc_id) OVER (PARTITION BY lang ORDER BY doc_id) AS dst FROM docs{n}
+  UNION ALL SELECT doc_id, unnest([(doc_id * {a} + {b}) % (SELECT max(doc_id) + 1 FROM docs{n}), (doc_id * {c} + {d}) % (SELECT max(doc_id) + 1 FROM docs{n})]) FROM docs{n})
+  WHERE src <> dst AND dst IN (SELECT user_id FROM users{n}))"""
+
+
 def net(n: int) -> str:
-    return NET1 if n == 1 else NET2
+    return {1: NET1, 2: NET2}.get(n) or document_view(n - 3, n)
 
 
 def counts(n: int, path: int, name: str | None = None, self_paths: bool = False) -> str:
