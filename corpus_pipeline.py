@@ -44,7 +44,8 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: SQL can't express tokenising, Viterbi or MinHash; tests compare each stage with a brute-force version.
+#: SQL can't express tokenising, Viterbi or exponential keys; tests/llm compares what every stage keeps and makes of a whole
+#: table with plain Python (test_pipeline_stages_against_brute_force).
 ORACLE_SQL = None
 
 
