@@ -256,7 +256,8 @@ def without_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs that stay: one of each component, with its smallest doc_id, and all texts without words.
 
     A doc_id that one row alone has names that row. Rows without a doc_id, or with one that others have too, are told
-    apart by the digest of their set.
+    apart by the digest of their set. Of rows with equal sets one stays; null and empty texts all stay; an empty table
+    gives an empty one; other columns are kept, whatever their names but _id and _k_ and the digest's.
     """
     found = store(_grouped(docs, **options), "found")
     ids = store(found.groupBy(F.col("doc_id").alias("_id")).agg(F.count("*").alias("_n"), F.max("kept").alias("_kept")).filter("_kept"), "kept")

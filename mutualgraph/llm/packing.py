@@ -97,7 +97,8 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, size: int, end_id: int =
 
 
 def pack(docs: DataFrame, tokenizer_path: str, capacity: Capacity = Capacity(), score: str = "norm", end_id: int = 0, chunk: int = 16384, with_ids: bool = False) -> DataFrame:
-    """Pieces of all documents with sequence_id and offset. Null texts are empty (one id, the end).
+    """Pieces of all documents with sequence_id and offset. Null texts are empty (one id, the end); repeated rows and null
+    doc_ids have pieces of their own; any text length; an empty table gives an empty one; other columns are ignored.
 
     Pieces are dealt evenly, without a key, and each chunk of at most `chunk` pieces is packed in one task, so no group
     is gathered and memory is bounded; each chunk wastes less than one sequence. Sequence ids are unique, not dense.

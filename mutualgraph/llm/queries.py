@@ -1,4 +1,8 @@
-"""The thin queries over whole tables, one an operator, and their SQL where SQL can express them."""
+"""The thin queries over whole tables, one an operator, and their SQL where SQL can express them.
+
+Each gives a row for every row of its table (op4: for every piece), repeated rows, null ids and null texts included, and an
+empty table for an empty one, as its operator's docstring says; columns that an operator doesn't name don't matter.
+"""
 
 from __future__ import annotations
 

@@ -135,7 +135,8 @@ def with_end(ids: np.ndarray, offsets: np.ndarray, end_id: int) -> tuple[np.ndar
 
 
 def read_token_shards(manifest: DataFrame) -> DataFrame:
-    """Per document, from the files: doc_id, start (ids of all documents before it), n_tokens, ids_crc32."""
+    """Per document, from the files: doc_id, start (ids of all documents before it), n_tokens, ids_crc32. Rows as
+    write_token_shards() has them: repeated and null doc_ids included; an empty manifest gives an empty table."""
     # One row a shard, so this window is over shard files, not documents.
     before = Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
     shards = manifest.withColumn("base", F.coalesce(F.sum("n_ids").over(before), F.lit(0)))

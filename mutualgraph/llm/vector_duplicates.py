@@ -108,19 +108,23 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
     `axes`) put classes into cells so wide that a pair at the threshold lies in one cell or two neighbours but for a
     chance of `cell_miss`; cells are cut into blocks of about BLOCK, and each pair of neighbouring blocks counts collisions
     over all projections, checks pairs that reach the calibrated count by cosine in double precision, and returns
-    each vector's number of links and a spanning forest of them, never the pairs.
+    each vector's number of links and a spanning forest of them, never the pairs. A cosine equal to the threshold links.
+    Repeated rows are vectors of their own; component_id is the smallest vec_id reachable, null if none there has one; an
+    empty table gives an empty one; other columns, whatever their names, are ignored.
     """
     ship(vectors.sparkSession)
     half, need = calibrate(cosine, projections)
     read = store(_read(vectors, projections), "vectors")
     good = read.filter("dim > 0")
-    classes = store(good.groupBy("dim", "h1", "h2").agg(F.coalesce(F.min("vec_id"), F.lit(-(1 << 63))).alias("rep"), F.count("*").alias("n"), F.first("line").alias("line"), F.first("unit").alias("unit")), "classes")
+    # Classes have numbers of their own: vec_ids, which may be null or shared by different vectors, only name the outcome.
+    grouped = good.groupBy("dim", "h1", "h2").agg(F.min("vec_id").alias("least"), F.count("*").alias("n"), F.first("line").alias("line"), F.first("unit").alias("unit"))
+    classes = store(grouped.withColumn("rep", F.monotonically_increasing_id()), "classes")
     axes = min(projections, axes or cell_axes(classes.count()))
     width = cell_width(cosine, axes, cell_miss)
-    classes = classes.withColumn("cell", F.transform(F.slice("line", 1, axes), lambda x: F.floor(x / width).cast("int"))).drop("line")
+    in_cells = classes.withColumn("cell", F.transform(F.slice("line", 1, axes), lambda x: F.floor(x / width).cast("int"))).drop("line")
 
     # One row a cell: the projections of unit vectors lie within a few deviations, so cells don't grow with the data.
-    cells = store(classes.groupBy("dim", "cell").agg(F.count("*").alias("m")).withColumn("subs", F.ceil(F.col("m") / BLOCK).cast("int")).drop("m"), "cells")
+    cells = store(in_cells.groupBy("dim", "cell").agg(F.count("*").alias("m")).withColumn("subs", F.ceil(F.col("m") / BLOCK).cast("int")).drop("m"), "cells")
     n_cells = cells.count()
     near = cells.withColumn("to", F.array().cast("array<int>"))
     for k in range(axes):  # a neighbour's cell, axis by axis
@@ -133,7 +137,7 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
     ends = grid.select("dim", "cell", "sub", "task", F.lit(0).alias("side")).union(grid.filter(mine != theirs).select("dim", "ocell", "osub", "task", F.lit(1)))
     ends = store(ends.groupBy("dim", "cell", "sub").agg(F.collect_list(F.struct("task", "side")).alias("tasks")), "block-pairs")
 
-    placed = join_small(classes, cells, ["dim", "cell"], "inner", n_cells, small).withColumn("sub", F.pmod(F.xxhash64("rep"), F.col("subs")).cast("int"))
+    placed = join_small(in_cells, cells, ["dim", "cell"], "inner", n_cells, small).withColumn("sub", F.pmod(F.xxhash64("rep"), F.col("subs")).cast("int"))
     dealt = join_small(placed, ends, ["dim", "cell", "sub"], "inner", ends.count(), small // 10).select(F.explode("tasks").alias("t"), "rep", "n", "unit", "dim").select("t.task", "t.side", "rep", "n", "unit", "dim")
 
     def compare(t: pa.Table) -> pa.Table:
@@ -172,11 +176,15 @@ def vector_duplicates(vectors: DataFrame, cosine: float = 0.95, projections: int
 
     found = store(dealt.groupBy("task").applyInArrow(released(compare), "edge boolean, a long, b long"), "links")
     degree = found.filter("not edge").groupBy(F.col("a").alias("_node")).agg(F.sum("b").alias("_degree"))
-    label = connected_components(found.filter("edge").select("a", "b"))
-    of = classes.select("dim", "h1", "h2", "rep", "n").join(degree, F.col("rep") == F.col("_node"), "left").join(label, F.col("rep") == F.col("node"), "left")
-    of = of.select(F.col("dim").alias("_d"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), (F.col("n") - 1 + F.coalesce("_degree", F.lit(0))).alias("n_links"), F.coalesce("component", "rep").alias("_component"))
+    label = store(connected_components(found.filter("edge").select("a", "b")), "labels")
+    ids = classes.select("dim", "h1", "h2", "rep", "least", "n")
+    first = label.join(ids, F.col("rep") == F.col("node")).groupBy("component").agg(F.min("least").alias("first"))
+    named = label.join(first, "component").select("node", "first", F.lit(True).alias("linked"))
+    of = ids.join(degree, F.col("rep") == F.col("_node"), "left").join(named, F.col("rep") == F.col("node"), "left")
+    name = F.when(F.col("linked"), F.col("first")).otherwise(F.col("least"))
+    of = of.select(F.col("dim").alias("_d"), F.col("h1").alias("_h1"), F.col("h2").alias("_h2"), (F.col("n") - 1 + F.coalesce("_degree", F.lit(0))).alias("n_links"), name.alias("component_id"))
     out = good.join(of, (F.col("dim") == F.col("_d")) & (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2")))
-    rows = out.select("vec_id", "n_links", F.when(F.col("_component") != -(1 << 63), F.col("_component")).alias("component_id"))
+    rows = out.select("vec_id", "n_links", "component_id")
     rows = rows.union(read.filter("dim = 0").select("vec_id", F.lit(0).cast("long"), F.col("vec_id").alias("component_id")))
     return rows.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
 

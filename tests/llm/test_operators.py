@@ -710,3 +710,93 @@ def test_pipeline_stages(spark, docs, tiny):
     packed = corpus_pipeline.STAGES[-1][1](spark, now, tiny)
     assert Counter(r.doc_id for r in packed.filter("piece = 0").collect()) == Counter(r.doc_id for r in now.collect())
     assert corpus_pipeline.run(spark, tiny).count() > 0
+
+
+def test_pipeline_stages_against_brute_force(spark, tiny):
+    """What each stage keeps and makes of the whole table, in plain Python."""
+    now = spark.read.parquet(f"{tiny}/documents.parquet")
+    stages = dict(corpus_pipeline.STAGES)
+    before = {r.doc_id: r for r in now.collect()}
+
+    out = stages["language"](spark, now, tiny)
+    got = {r.doc_id: r for r in out.collect()}
+    assert set(got) == {i for i, r in before.items() if any(c.isalpha() for c in r.text or "")}
+    known = {r.doc_id: r.lang_pred for r in language.identify(now, language.fit(now)).collect()}
+    assert all(r.lang == known[i] and r.text == before[i].text for i, r in got.items())
+
+    now, before = spark.createDataFrame(list(got.values()), now.schema), got
+    got = {r.doc_id: r for r in stages["near duplicates"](spark, now, tiny).collect()}
+    want = components_of({i: shingle_set(r.text, 5) for i, r in before.items()}, 80)
+    assert set(got) == {i for i, c in want.items() if i == c} and all(got[i] == before[i] for i in got)
+
+    now, before = spark.createDataFrame(list(got.values()), now.schema), got
+    found = {r.doc_id: r for r in personal.find(now).collect()}
+    got = {r.doc_id: r for r in stages["personal data"](spark, now, tiny).collect()}
+    assert set(got) == set(before)
+    for i, r in before.items():
+        marks, at, safe = set(found[i]["_marks"] or []), 0, ""
+        spans = [(int(a), int(b), k) for k, a, b in (x.split(":") for x in base_spans(r.text).split(",") if x)]
+        base = list(spans)
+        secrets = [(m.start(), m.end(), "secret") for m in re.finditer("[A-Za-z0-9+/_-]{20,}", r.text) if re.search("[0-9]", m[0]) and re.search("[A-Za-z]", m[0]) and not any(a < m.end() and b > m.start() for a, b, _ in base)]
+        spans += secrets
+        spans += [(m.start(), m.end(), m[0].lower()) for m in re.finditer(r"[^\W\d_]{3,}", r.text) if m[0].lower() in marks and not any(a < m.end() and b > m.start() for a, b, _ in base + secrets)]
+        rank = {k: n for n, k in enumerate(personal.KINDS)}
+        for a, b, kind in sorted(spans, key=lambda x: (x[0], rank.get(x[2], 4))):
+            if a >= at:
+                safe += r.text[at:a] + (f"[{kind.upper()}]" if kind in rank else "[...]" if kind[:3] + "*" in marks else kind[:3] + "*")
+                at = b
+            at = max(at, b)
+        assert got[i].text == safe + r.text[at:], i
+
+    now = spark.createDataFrame(list(got.values()), now.schema)
+    times = {r.doc_id: r.epochs for r in mixing.mix(now).collect()}
+    mixed = stages["source mix"](spark, now, tiny).collect()
+    assert Counter(r.doc_id for r in mixed) == Counter({i: n for i, n in times.items() if n}) and all(r == got[r.doc_id] for r in mixed)
+
+    lib = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    want = Counter()
+    for r in mixed:
+        ids = lib.encode(r.text, add_special_tokens=False).ids + [0]
+        for p, at in enumerate(range(0, len(ids), 2048)):
+            want[r.doc_id, p, at, zlib.crc32(np.array(ids[at : at + 2048], "<u4").tobytes())] += 1
+    packed = stages["packing"](spark, spark.createDataFrame(mixed, now.schema), tiny).collect()
+    assert Counter((r.doc_id, r.piece, r.start, r.ids_crc32) for r in packed) == want
+    assert len({r.sequence_id for r in packed}) <= math.ceil(sum(r.length for r in packed) / 2048) + 1
+
+
+def test_pipeline_on_an_empty_table_and_on_one_text_of_megabytes(spark, empty, tmp_path):
+    rnd = random.Random(2)
+    long = " ".join("".join(rnd.choice("abcdefgh") for _ in range(rnd.randint(2, 9))) for _ in range(600_000))
+    for name, df in (("none", empty), ("long", spark.createDataFrame([(1, long, "en", "a", len(long)), (2, None, "en", None, None)], SCHEMA))):
+        (tmp_path / name).mkdir()
+        df.write.parquet(str(tmp_path / name / "documents.parquet"))
+        got = corpus_pipeline.run(spark, str(tmp_path / name)).select("doc_id", "length").collect()
+        assert (not got) if name == "none" else {r.doc_id for r in got} == {1} and sum(r.length for r in got) > 600_000
+
+
+def test_vectors_repeated_null_ids_clashes_and_ties(spark):
+    """Rows count one by one, also equal ones; a null vec_id links but names nothing; a cosine of the threshold links."""
+    a, b = [1.0, 0.0, 0.0], [0.95, math.sqrt(1 - 0.95**2), 0.0]
+    c = [0.95, 0.0, -math.sqrt(1 - 0.9499999**2)]  # just below 0.95 from a
+    rows = [(5, a), (5, a), (3, [2.0, 0.0, 0.0]), (None, [0.0, 1.0, 0.0]), (None, [0.0, 3.0, 0.0]), (9, c)]
+    clash = {x: F.lit("clash") for x in ("dim", "rep", "unit", "n", "line", "cell", "_node", "node", "component")}
+    got = Counter((r.vec_id, r.n_links, r.component_id, r.kept) for r in vector_duplicates.vector_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumns(clash)).collect())
+    assert got == Counter({(5, 2, 3, False): 2, (3, 2, 3, True): 1, (None, 1, None, True): 2, (9, 0, 9, True): 1})
+    tie = vector_duplicates.vector_duplicates(spark.createDataFrame([(1, [1.0, 0.0]), (2, [19.0, math.sqrt(39.0)])], "vec_id long, embedding array<double>")).collect()
+    assert all(r.n_links == (19 / 20 >= 0.95) for r in tie)
+
+
+def test_vectors_near_the_threshold_are_found(spark):
+    """Recall on planted pairs of cosine 0.95 to 0.97 among many vectors."""
+    rng = np.random.default_rng(8)
+    n, dim, planted = 12_000, 64, 1500
+    x = rng.standard_normal((n, dim))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    y = rng.standard_normal((planted, dim))
+    y -= (y * x[:planted]).sum(1, keepdims=True) * x[:planted]
+    y /= np.linalg.norm(y, axis=1, keepdims=True)
+    cos = rng.uniform(0.9501, 0.97, planted)[:, None]
+    both = np.vstack([x, cos * x[:planted] + np.sqrt(1 - cos**2) * y])
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(both)], "vec_id long, embedding array<double>")
+    got = {r.vec_id: r.n_links for r in vector_duplicates.vector_duplicates(rows).filter(f"vec_id >= {n}").collect()}
+    assert np.mean([got[n + i] >= 1 for i in range(planted)]) > 0.999
