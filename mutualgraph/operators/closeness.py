@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 
 from ..model.hetnet import HetNet
 from ..storage import join_small, store
-from .metapath import ATTRIBUTE, SOCIAL, path_counts, path_marginals
+from .metapath import ATTRIBUTE, SOCIAL, incidence, path_counts, path_marginals
+from .shared import held, shared_counts, shared_marginals
 
 
 def weights_of(weights: dict[int, float] | str = "uniform") -> dict[int, float]:
@@ -59,13 +60,19 @@ def _directed(pairs: DataFrame, form: str) -> DataFrame:
 def closeness(net: HetNet, weights: dict[int, float] | str = "uniform", form: str = "pair", self_paths: bool = False) -> DataFrame:
     """src, dst, s: the weighted sum of path similarities. Unordered pairs are summed once, then written both ways.
 
-    The network's relations are written once, since every path reads them. Counts of all paths meet in one sum by pair,
-    a column a path, and the marginals of all paths are one row a user, so users are looked up twice, not twice a path.
+    The network's relations are written once, since every path reads them, and so is what users have on the middle of the
+    symmetric paths. Counts of all paths meet in one sum by pair, a column a path, and the marginals of all paths are one row
+    a user, so users are looked up twice, not twice a path.
     """
     mix, net = weights_of(weights), net.stored()
-    counts = [symmetric_counts(net, p, self_paths).select("a", "b", *((F.col("cnt") if q == p else F.lit(None).cast("long")).alias(f"n{q}") for q in mix)) for p in mix]
-    sums = reduce(DataFrame.union, counts).groupBy("a", "b").agg(*(F.sum(f"n{p}").alias(f"n{p}") for p in mix))
-    each = [path_marginals(net, p, self_paths).select("user_id", F.lit(p).alias("path"), F.col("out").alias("o"), F.col("in").alias("i")) for p in mix]
+    counts = [symmetric_counts(net, p, self_paths).withColumn("path", F.lit(p)) for p in mix if p <= 2]
+    each = [path_marginals(net, p, self_paths).select("user_id", F.lit(p).alias("path"), F.col("out").alias("o"), F.col("in").alias("i")) for p in mix if p <= 2]
+    both = [p for p in mix if p > 2]
+    if both:
+        shared = held(incidence(net, both))
+        counts.append(shared_counts(shared, True, self_paths).select(F.col("src").alias("a"), F.col("dst").alias("b"), (2 * F.col("cnt")).alias("cnt"), "path"))
+        each.append(shared_marginals(shared, self_paths).filter("out > 0").select("user_id", "path", F.col("out").alias("o"), F.col("out").alias("i")))
+    sums = reduce(DataFrame.unionByName, counts).groupBy("a", "b").agg(*(F.sum(F.when(F.col("path") == p, F.col("cnt"))).alias(f"n{p}") for p in mix))
     wide = reduce(DataFrame.union, each).groupBy("user_id").agg(*(F.max(F.when(F.col("path") == p, F.col(c))).alias(f"{c}{p}") for p in mix for c in ("o", "i")))
     wide = store(wide, "marginals")
     a, b = (wide.select(F.col("user_id").alias(u), *(F.coalesce(f"{c}{p}", F.lit(0)).alias(f"{c}{p}{u}") for p in mix for c in ("o", "i"))) for u in ("a", "b"))

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import re
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.hetnet import HetNet
+from .shared import held, shared_counts, spread
 
 #: The seven paths by number: social ones 1 to 4, attribute ones 5 to 7.
 PATHS = {1: "U>U", 2: "U>U>U", 3: "U>U<U", 4: "U<U>U", 5: "U>P>W<P<U", 6: "U>P>T<P<U", 7: "U>P>L<P<U"}
@@ -84,20 +86,27 @@ def path_counts(net: HetNet, path: int, self_paths: bool = False, half: bool = F
     f = net.follow
     if path == 1:
         return f.select("src", "dst", F.lit(1).cast("long").alias("cnt"))
-    if path in SOCIAL:
-        left, right, mid = {2: ("src", "dst", ("dst", "src")), 3: ("src", "src", ("dst", "dst")), 4: ("dst", "dst", ("src", "src"))}[path]
-        one = f.select(F.col(left).alias("x"), F.col(mid[0]).alias("m"))
-        two = f.select(F.col(right).alias("y"), F.col(mid[1]).alias("m"))
-        pairs = one.join(two, "m").select("x", "y", F.lit(1).cast("long").alias("c"))
-    else:
-        c = net.user_attributes(KIND_OF[path])
-        one = c.select(F.col("user_id").alias("x"), "attr", "cnt")
-        two = c.select(F.col("user_id").alias("y"), "attr", F.col("cnt").alias("cnt2"))
-        pairs = one.join(two, "attr").select("x", "y", (F.col("cnt") * F.col("cnt2")).alias("c"))
-    keep = F.col("x") <= F.col("y") if half and path > 2 else F.lit(True)
-    if not self_paths:
-        keep = keep & (F.col("x") != F.col("y"))
-    return pairs.filter(keep).groupBy(F.col("x").alias("src"), F.col("y").alias("dst")).agg(F.sum("c").alias("cnt"))
+    if path == 2:
+        mid = f.groupBy(F.col("src").alias("m")).agg(F.count("*").alias("o")).join(f.groupBy(F.col("dst").alias("m")).agg(F.count("*").alias("i")), "m")
+        n = spread(mid.agg(F.sum(F.col("o") * F.col("i"))).first()[0] or 0)
+        one, two = f.select(F.col("src").alias("x"), F.col("dst").alias("m")), f.select(F.col("dst").alias("y"), F.col("src").alias("m"))
+        if n > 1:
+            one, two = one.repartition(n, "m"), two.repartition(n, "m").hint("merge")
+        pairs = one.join(two, "m")
+        pairs = pairs if self_paths else pairs.filter("x <> y")
+        return pairs.groupBy(F.col("x").alias("src"), F.col("y").alias("dst")).agg(F.count("*").alias("cnt"))
+    return shared_counts(held(incidence(net, [path])), half, self_paths).groupBy("src", "dst").agg(F.sum("cnt").alias("cnt"))
+
+
+def incidence(net: HetNet, paths: list[int]) -> DataFrame:
+    """path, user_id, attr, cnt: what a user has on the middle of symmetric paths (3 to 7), and how often."""
+    parts = [net.follow.select(F.lit(p).alias("path"), F.col(end).alias("user_id"), F.col(mid).cast("string").alias("attr"), F.lit(1).cast("long").alias("cnt")) for p, end, mid in ((3, "src", "dst"), (4, "dst", "src")) if p in paths]
+    kinds = {KIND_OF[p]: p for p in paths if p in KIND_OF}
+    if kinds:
+        number = F.coalesce(*(F.when(F.col("kind") == k, F.lit(p)) for k, p in kinds.items()))
+        of_kind = net.attributes.filter(F.col("kind").isin(*kinds)).select("post_id", number.alias("path"), "attr")
+        parts.append(of_kind.join(net.posts, "post_id").groupBy("path", "user_id", "attr").agg(F.count("*").alias("cnt")))
+    return reduce(DataFrame.union, parts)
 
 
 def path_marginals(net: HetNet, path: int, self_paths: bool = False) -> DataFrame:
