@@ -7,6 +7,7 @@ import __spark_entry__ as entry
 NAMES = [
     "map_signs",
     "metapath_len",
+    "metric_direction",
 ]
 
 
