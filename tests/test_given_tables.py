@@ -8,6 +8,7 @@ NAMES = [
     "map_signs",
     "metapath_len",
     "metric_direction",
+    "relative_gain",
 ]
 
 
