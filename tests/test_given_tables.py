@@ -9,6 +9,7 @@ NAMES = [
     "metapath_len",
     "metric_direction",
     "relative_gain",
+    "worked_example",
 ]
 
 
