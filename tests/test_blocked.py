@@ -16,6 +16,7 @@ from mutualgraph.operators.closeness import CrossedCloseness
 #: Queries whose rows are pairs of users: they leave the tasks that form them.
 PAIRS = [
     "path5_word",
+    "path6_time",
 ]
 
 
