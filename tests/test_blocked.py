@@ -17,6 +17,7 @@ from mutualgraph.operators.closeness import CrossedCloseness
 PAIRS = [
     "path5_word",
     "path6_time",
+    "path7_location",
 ]
 
 
