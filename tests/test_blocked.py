@@ -18,6 +18,7 @@ PAIRS = [
     "path5_word",
     "path6_time",
     "path7_location",
+    "path5_with_self",
 ]
 
 
