@@ -19,6 +19,7 @@ PAIRS = [
     "path6_time",
     "path7_location",
     "path5_with_self",
+    "sim_pair_p5",
 ]
 
 
