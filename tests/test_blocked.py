@@ -20,6 +20,7 @@ PAIRS = [
     "path7_location",
     "path5_with_self",
     "sim_pair_p5",
+    "sim_pair_p6",
 ]
 
 
