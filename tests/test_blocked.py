@@ -21,6 +21,7 @@ PAIRS = [
     "path5_with_self",
     "sim_pair_p5",
     "sim_pair_p6",
+    "ancestor_sim_p5",
 ]
 
 
