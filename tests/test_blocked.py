@@ -23,6 +23,7 @@ PAIRS = [
     "sim_pair_p6",
     "ancestor_sim_p5",
     "sim_matrix_p5",
+    "sim_matrix_p6",
 ]
 
 
