@@ -24,6 +24,7 @@ PAIRS = [
     "ancestor_sim_p5",
     "sim_matrix_p5",
     "sim_matrix_p6",
+    "closeness_attr_only",
 ]
 
 
