@@ -27,6 +27,7 @@ PAIRS = [
     "closeness_attr_only",
     "closeness_matrix_net2",
     "closeness_pair_net2",
+    "sim_matrix_p7",
 ]
 
 
