@@ -3,6 +3,8 @@
 import random
 import re
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -10,7 +12,7 @@ import __spark_entry__ as entry
 from mutualgraph.cluster.distributed import CrossedOperator, EntryOperator
 from mutualgraph.metrics import quality
 from mutualgraph.model.hetnet import HetNet
-from mutualgraph.operators import closeness, metapath, partitions, shared
+from mutualgraph.operators import blocked, closeness, metapath, partitions, shared
 from mutualgraph.operators.closeness import CrossedCloseness
 
 #: Queries whose rows are pairs of users: they leave the tasks that form them.
@@ -123,3 +125,31 @@ def test_heavy_attributes_are_not_copied(spark, monkeypatch):
     held = shared.held(spark.createDataFrame([(5, u, "x", 1) for u in range(90)] + [(5, 1000 + u, f"y{u}", 1) for u in range(900)], "path int, user_id long, attr string, cnt long"))
     got = shared.shared_counts(held, half=True)
     assert "CartesianProduct" in got._jdf.queryExecution().executedPlan().toString() and got.count() == 90 * 89 // 2
+
+
+@pytest.mark.parametrize("name", [n for n in PAIRS if "sim" in n or "closeness" in n])
+def test_pairs_leave_their_tasks_rounded(spark, tiny, name):
+    """Spark rounds a number by its decimal text, which takes longer than all else that a row does."""
+    plan = entry.queries()[name](spark, tiny)._jdf.queryExecution().executedPlan().toString()
+    assert "round(" not in plan, plan
+
+
+@pytest.mark.parametrize("kinds, each", [(720, 64), (221, 39)])
+def test_common_attributes_are_multiplied(monkeypatch, kinds, each):
+    """Two blocks of 1024 users with 64 of 720 attributes each (hours, at sf0.1): a product, not six million pairs one by one."""
+    monkeypatch.setattr(blocked, "_sparse", None)
+    draw, n = np.random.default_rng(1), 1024
+    rows, one = np.repeat(np.arange(n), each), np.concatenate([draw.choice(kinds, each, False) for _ in range(n)])
+    side = (pa.array([str(k) for k in range(kinds)]), rows, one, np.ones(len(rows), np.uint8))
+    dense = np.zeros((n, kinds))
+    dense[rows, one] = 1
+    assert (blocked.product(side, side, (n, n)) == dense @ dense.T).all()
+
+
+def test_closest_over_many_blocks(net, monkeypatch, small_blocks):
+    """Fewer are asked for than a block has users, and equal closeness is common: what falls out early stays out."""
+    monkeypatch.setattr(shared, "CROSS_SHARE", 0)
+    S = closeness.closeness(net, {6: 1.0})
+    want = rows(closeness.sparsify(S.withColumn("s", F.round("s", 2)), 1), "src", "dst", "s")
+    monkeypatch.setattr(shared, "CROSS_SHARE", 10**9)
+    assert want == rows(closeness.CrossedCloseness.of(net, {6: 1.0}).closest(1, 2), "src", "dst", "s")
